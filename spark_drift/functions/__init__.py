@@ -1,0 +1 @@
+"""Expressions and numeric kernels the operators are built from."""

@@ -1,0 +1 @@
+"""Drift operators: distances, degrees, mixtures, detectors, views, ensembles."""

@@ -1,0 +1 @@
+"""Readers, writers and a generator source."""
