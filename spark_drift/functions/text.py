@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.ml.clustering import LDA
 from pyspark.ml.feature import IDF, CountVectorizer
 from pyspark.ml.functions import vector_to_array
@@ -71,24 +73,72 @@ def vectors(docs: DataFrame, size: int = 5000) -> DataFrame:
     return IDF(inputCol="counts", outputCol="tfidf").fit(counts).transform(counts).drop("tokens_")
 
 
-def reduce(rows: DataFrame, column: str = "tfidf", rank: int = 10) -> DataFrame:
-    """``features``: uncentred projection on the first right singular vectors.
+BLOCK = 512
+
+
+def _gram_times(sparse: DataFrame, q: np.ndarray) -> np.ndarray:
+    """(A'A) q for the rows of sparse vectors: a partial product per task, summed by blocks
+    of matrix rows on the executors; a matrix of the vocabulary's height comes back."""
+    sent = sparse.sparkSession.sparkContext.broadcast(q)
+
+    def partial(batches):
+        q = sent.value
+        total = np.zeros_like(q)
+        for batch in batches:
+            lists = batch.column(0).combine_chunks() if hasattr(batch.column(0), "combine_chunks") else batch.column(0)
+            at = lists.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+            values = batch.column(1).flatten().to_numpy(zero_copy_only=False)
+            sizes = np.array([len(x) if x is not None else 0 for x in lists.to_pylist()], dtype=np.int64)
+            row = np.repeat(np.arange(len(sizes)), sizes)
+            for k in range(q.shape[1]):
+                y = np.bincount(row, values * q[at, k], len(sizes))
+                total[:, k] += np.bincount(at, values * y[row], len(q))
+        blocks = range(0, len(q), BLOCK)
+        yield pa.RecordBatch.from_arrays(
+            [pa.array([b // BLOCK for b in blocks], pa.int32()), pa.array([total[b : b + BLOCK].tobytes() for b in blocks], pa.binary())],
+            names=["block", "part"],
+        )
+
+    def add(key, table):
+        parts = [np.frombuffer(x, "<f8") for x in table.column("part").to_pylist()]
+        return pa.table({"block": pa.array([key[0].as_py()], pa.int32()), "part": pa.array([np.sum(parts, axis=0).tobytes()], pa.binary())})
+
+    schema = "block int, part binary"
+    rows = sparse.mapInArrow(partial, schema).groupBy("block").applyInArrow(add, schema).collect()
+    joined = b"".join(bytes(r["part"]) for r in sorted(rows, key=lambda r: r["block"]))
+    return np.frombuffer(joined, "<f8").reshape(q.shape)
+
+
+def right_vectors(rows: DataFrame, column: str, rank: int, passes: int = 5, extra: int = 10, seed: int = 0) -> np.ndarray:
+    """First right singular vectors of the uncentred rows by subspace iteration; signs fixed."""
+    plain = rows.select(F.unwrap_udt(column).alias("v")).select("v.size", "v.indices", "v.values")
+    size = plain.agg(F.max("size")).first()[0]
+    sparse = plain.where("indices is not null").select("indices", "values")
+    q = np.linalg.qr(np.random.Generator(np.random.PCG64(seed)).normal(size=(size, min(size, rank + extra))))[0]
+    for _ in range(passes):
+        product = _gram_times(sparse, q)
+        q, _ = np.linalg.qr(product)
+    product = _gram_times(sparse, q)
+    small = q.T @ product
+    order = np.argsort(-np.linalg.eigvalsh((small + small.T) / 2))
+    v = (q @ np.linalg.eigh((small + small.T) / 2)[1])[:, order[:rank]]
+    return v * np.sign(v[np.abs(v).argmax(0), np.arange(v.shape[1])])
+
 
-    The factor comes from the distributed matrix; rows are projected in one pass.
-    """
-    from pyspark.mllib.linalg import Vectors as OldVectors
-    from pyspark.mllib.linalg.distributed import RowMatrix
+def reduce(rows: DataFrame, column: str = "tfidf", rank: int = 10) -> DataFrame:
+    """``features``: the uncentred projection on the first right singular vectors."""
+    from spark_drift.plans.lineage import cut
 
-    matrix = RowMatrix(rows.select(column).rdd.map(lambda r: OldVectors.fromML(r[0])))
-    v = matrix.computeSVD(rank).V.toArray().copy()
-    v *= np.sign(v[np.abs(v).argmax(0), np.arange(v.shape[1])])  # signs do not depend on the run
-    sent = rows.sparkSession.sparkContext.broadcast(v)
+    rows = cut(rows)
+    sent = rows.sparkSession.sparkContext.broadcast(right_vectors(rows, column, rank))
 
     @F.pandas_udf("array<double>")
-    def onto(values):
-        return values.map(lambda a: (a @ sent.value).tolist())
+    def onto(indices: pd.Series, values: pd.Series) -> pd.Series:
+        v = sent.value
+        return pd.Series([(np.asarray(b) @ v[np.asarray(a, dtype=np.int64)]).tolist() for a, b in zip(indices, values, strict=True)])
 
-    return rows.withColumn("features", onto(vector_to_array(column)))
+    parts = F.unwrap_udt(column)
+    return rows.withColumn("features", onto(parts["indices"], parts["values"]))
 
 
 def topics(rows: DataFrame, k: int = 10, seed: int = 1, rounds: int = 20, gap: float = 0.05) -> DataFrame:

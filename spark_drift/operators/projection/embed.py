@@ -61,17 +61,24 @@ def affinities(d: np.ndarray, perplexity: float) -> np.ndarray:
     return np.maximum(p, 1e-12)
 
 
+def _scale(d: np.ndarray, rank: int) -> float:
+    """Typical distance to the ``rank``-th nearest partner; sets the width of the kernel,
+    whose exponent is a plain distance."""
+    k = min(rank, d.shape[1] - 1)
+    near = np.partition(d, k, axis=1)[:, k]
+    return max(float(np.median(near)), 1e-12)
+
+
 def centre_affinity(d: np.ndarray, sizes: np.ndarray, squared: bool = False) -> np.ndarray:
     """Joint affinity of old rows to component centres, weighted by the root of the size."""
-    sigma = max(float(np.median(d)), 1e-12)
-    p = np.sqrt(sizes)[None] * np.exp(-(d * d if squared else d) / (2 * sigma * sigma))
+    u = d / _scale(d, 0)
+    p = np.sqrt(sizes)[None] * np.exp(-(u * u if squared else u))
     return p / p.sum()
 
 
 def anchor_affinity(d: np.ndarray, own: np.ndarray) -> np.ndarray:
     """Joint affinity of old rows to anchors; 1 before normalising with a row's own anchor."""
-    sigma = max(float(np.median(d)), 1e-12)
-    p = np.exp(-d / (2 * sigma * sigma))
+    p = np.exp(-d / _scale(d, 1))
     rows = np.nonzero(own >= 0)[0]
     p[rows, own[rows]] = 1.0
     return p / p.sum()
