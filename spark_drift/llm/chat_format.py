@@ -64,7 +64,7 @@ def prepared_turns(conversations: DataFrame) -> DataFrame:
 def windows(
     conversations: DataFrame, budget: int = 2048, system_budget: int = 256, history: int = 256
 ) -> DataFrame:
-    """``conv_id, window, formatted, n_carried, n_turns, n_tokens, loss_spans, over_budget``.
+    """``conv_id, first_turn, formatted, n_carried, n_turns, n_tokens, loss_spans, over_budget``.
 
     ``loss_spans``: code-point offset and length of each target in ``formatted``.
     """
@@ -133,11 +133,9 @@ def windows(
         ),
     )
     tokens = F.aggregate("items", F.lit(0).cast("long"), lambda a, x: a + x["tokens"])
-    number = F.row_number().over(Window.partitionBy("ck", "cn", F.floor(F.col("first") / BLOCK)).orderBy("first"))
     return whole.select(
         F.when(~F.col("cn"), F.col("ck")).alias("conv_id"),
         F.col("first").alias("first_turn"),
-        number.alias("window_in_block"),
         F.concat_ws("", "pieces").alias("formatted"),
         F.size(F.filter("items", lambda x: x["carried"])).alias("n_carried"),
         F.size(F.filter("items", lambda x: ~x["carried"])).alias("n_turns"),

@@ -27,9 +27,10 @@ import hashlib
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from spark_drift.functions.expressions import place
 from spark_drift.llm.batches import slices
 from spark_drift.plans.lineage import shuffle_partitions
 
@@ -131,19 +132,6 @@ def spliced(text: str, following: str) -> str:
 FIRST = -(1 << 63)
 
 
-def _place(bounds: list[int], key: Column) -> Column:
-    """Number of bounds at or below ``key``, by binary search."""
-    if not bounds:
-        return F.lit(0)
-    table, steps = F.lit(bounds), []
-    step = 1 << (len(bounds).bit_length() - 1)
-    while step:
-        steps.append(step)
-        step >>= 1
-    fits = lambda at: (at <= len(bounds)) & (F.get(table, at - 1) <= key)
-    return F.aggregate(F.lit(steps), F.lit(0), lambda lo, s: F.when(fits(lo + s), lo + s).otherwise(lo))
-
-
 def with_next(docs: DataFrame, buckets: int | None = None) -> DataFrame:
     """Rows ``bucket, key, ghost, doc_id, text``, dealt and sorted so that each row is
     followed by the next document of its bucket; a ghost closes each bucket."""
@@ -157,9 +145,9 @@ def with_next(docs: DataFrame, buckets: int | None = None) -> DataFrame:
     shares = [k / buckets for k in range(1, buckets)]
     found = keyed.agg(F.percentile_approx("key", shares, 100 * buckets)).first()[0] if shares else []
     bounds = sorted(set(found or []))
-    dealt = keyed.withColumn("bucket", _place(bounds, F.col("key")))
+    dealt = keyed.withColumn("bucket", place(bounds, F.col("key")))
     # one row per bucket: the largest key, and which bucket it follows
-    heads = keyed.select("key").withColumn("bucket", _place(bounds, F.col("key"))).groupBy("bucket").agg(F.max("key").alias("head"))
+    heads = keyed.select("key").withColumn("bucket", place(bounds, F.col("key"))).groupBy("bucket").agg(F.max("key").alias("head"))
     rising = Window.orderBy("bucket")
     closes = F.coalesce(F.lead("bucket").over(rising), F.min("bucket").over(Window.partitionBy()))
     heads = heads.select("head", closes.alias("closes"))
