@@ -14,9 +14,10 @@ which it was copied and the arcs cut since; a token knows its two parts and the
 merge that made it. Whether an arc exists follows from these small tables and is
 entered into a transition table when first asked for.
 
-A pre-split word is encoded by running the automaton along its prefixes: for each
-prefix exactly one token sequence is accepted, so one state per position is
-enough. Work is linear in the word's length times the longest token.
+A pre-split word is encoded by walking the automaton with the longest token first; of
+all sequences that spell a word exactly one is accepted. Where no token can go on, the
+position is marked dead and the walk steps back to a shorter token, so each position is
+given up at most once and work is linear in the word's length times the longest token.
 
 Edge cases: null and empty texts have no ids and decode to the empty text; the
 text of the vocabulary's special tokens becomes their id, as the library has it;
@@ -27,6 +28,8 @@ from __future__ import annotations
 
 import hashlib
 import json
+import re
+import struct
 import unicodedata
 from functools import lru_cache
 
@@ -41,7 +44,9 @@ from spark_drift.llm.batches import slices, texts
 
 #: Unicode White_Space, as a character class
 SPACES = "\\t\\n\\x0b\\x0c\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
+#: entries kept by a worker: encoded words, and transitions of the automaton
 WORD_CACHE = 400_000
+TABLE = 600_000
 
 
 def default_vocabulary() -> str:
@@ -84,6 +89,25 @@ def split_pattern() -> str:
     )
 
 
+#: from this code point on, letters and numbers are left to the full pattern
+FAST_BELOW = 0x558
+
+
+@lru_cache(1)
+def fast_patterns() -> tuple[str, str]:
+    """The same split for texts below ``FAST_BELOW``, and what finds a text that is not."""
+
+    def listed(kind: str) -> str:
+        return "".join(f"\\u{c:04x}" for c in range(FAST_BELOW) if unicodedata.category(chr(c))[0] == kind)
+
+    letters, numbers, blanks = listed("L"), listed("N"), "\\t\\n\\x0b\\x0c\\r \\x85\\xa0"
+    split = (
+        f"'(?:[stmd]|re|ve|ll)| ?[{letters}]+| ?[{numbers}]+| ?[^{blanks}{letters}{numbers}]+"
+        f"|[{blanks}]+(?![^{blanks}])|[{blanks}]+"
+    )
+    return split, f"[\\u{FAST_BELOW:04x}-\\U0010ffff]"
+
+
 class MergeAutomaton:
     """Deterministic automaton over tokens, built merge by merge."""
 
@@ -96,7 +120,7 @@ class MergeAutomaton:
         self.home = [-1] * size  # state behind all arcs with that label
         self.parent, self.copied = [-1], [0]
         self.cuts: dict[tuple[int, int], int] = {}
-        self.table: dict[tuple[int, int], bool] = {}
+        self.table: dict[int, bool] = {}
         results = {w for _, _, w in merges}
         if len(results) != len(merges):
             raise ValueError("two merges make the same token")
@@ -123,7 +147,17 @@ class MergeAutomaton:
                 self.cuts[target, w] = rank
         self.table.clear()
         self.vocabulary = {labels[t]: t for t in range(size) if self.home[t] >= 0}
-        self.prefixes = {x[:k] for x in self.vocabulary for k in range(1, len(x) + 1)}
+        self.sizes = [len(x) for x in labels]
+        #: longest token that may start with a byte pair, and the longest token inside a token's start
+        self.reach: dict[bytes, int] = {}
+        self.shorter = [-1] * size
+        for label, t in self.vocabulary.items():
+            self.reach[label[:2]] = max(self.reach.get(label[:2], 0), len(label))
+            for k in range(len(label) - 1, 0, -1):
+                inner = self.vocabulary.get(label[:k])
+                if inner is not None:
+                    self.shorter[t] = inner
+                    break
 
     def _arc(self, state: int, label: int, at: int) -> bool:
         """Is there a ``label`` arc out of ``state`` after merge number ``at``?"""
@@ -143,38 +177,52 @@ class MergeAutomaton:
 
     def arc(self, state: int, label: int) -> bool:
         """The finished automaton's transition, entered in the table on first use."""
-        known = self.table.get((state, label))
+        key = state << 24 | label
+        known = self.table.get(key)
         if known is None:
-            if len(self.table) > 2_000_000:
+            if len(self.table) >= TABLE:
                 self.table.clear()
-            known = self.table[state, label] = self._arc(state, label, 1 << 60)
+            known = self.table[key] = self._arc(state, label, 1 << 60)
         return known
 
+    def _longest(self, word: bytes, at: int) -> int:
+        """The longest token that starts at a position, -1 if none does."""
+        get = self.vocabulary.get
+        for e in range(min(len(word), at + max(1, self.reach.get(word[at : at + 2], 1))), at, -1):
+            t = get(word[at:e])
+            if t is not None:
+                return t
+        return -1
+
     def encode(self, word: bytes) -> list[int]:
         n = len(word)
         whole = self.vocabulary.get(word)
         if whole is not None and self.arc(0, whole):
             return [whole]
-        state = [-1] * (n + 1)
-        token, back = [-1] * (n + 1), [0] * (n + 1)
-        state[0] = 0
-        vocabulary, prefixes, home, arc = self.vocabulary, self.prefixes, self.home, self.arc
-        for i in range(n):
-            s = state[i]
-            if s < 0:
-                continue
-            for e in range(i + 1, n + 1):
-                piece = word[i:e]
-                if piece not in prefixes:
-                    break
-                t = vocabulary.get(piece)
-                if t is not None and arc(s, t):
-                    state[e], token[e], back[e] = home[t], t, i
-        out, e = [], n
-        while e:
-            out.append(token[e])
-            e = back[e]
-        return out[::-1]
+        home, sizes, shorter, known = self.home, self.sizes, self.shorter, self.table.get
+        out: list[int] = []
+        dead: set[int] = set()
+        at, state = 0, 0
+        token = self._longest(word, 0)
+        while at < n:
+            end = at + sizes[token]
+            if token >= 0 and end not in dead:
+                goes = known(state << 24 | token)
+                if self.arc(state, token) if goes is None else goes:
+                    out.append(token)
+                    at, state = end, home[token]
+                    token = self._longest(word, at) if at < n else -1
+                    continue
+            token = shorter[token] if token >= 0 else -1
+            while token < 0:
+                if not out:
+                    raise ValueError("the vocabulary cannot spell this word")
+                dead.add(at)
+                last = out.pop()
+                at -= sizes[last]
+                state = home[out[-1]] if out else 0
+                token = shorter[last]
+        return out
 
 
 class Codec:
@@ -196,14 +244,17 @@ class Codec:
             def __missing__(self, word: str) -> bytes:
                 if len(self) >= WORD_CACHE:
                     self.clear()
-                ids = np.array(automaton.encode(word.encode()), dtype="<u4").tobytes()
+                found = automaton.encode(word.encode())
+                ids = struct.pack(f"<{len(found)}I", *found)
                 if len(word) <= 64:
                     self[word] = ids
                 return ids
 
         marks = sorted(self.special, key=len, reverse=True)
         stops = regex.compile("(" + "|".join(map(regex.escape, marks)) + ")") if marks else None
-        self._ready = (Words(), regex.compile(self.pattern).findall, stops)
+        full, (fast, beyond) = regex.compile(self.pattern).findall, map(re.compile, fast_patterns())
+        find = lambda text: fast.findall(text) if beyond.search(text) is None else full(text)
+        self._ready = (Words(), find, stops)
         return self._ready
 
     def encode(self, text: str) -> bytes:
