@@ -128,11 +128,14 @@ def fit_prototypes(labelled: DataFrame, per_language: int = 400, dimensions: int
     digest lies below that share of the range.
     """
     labelled = labelled.where("lang is not null and text is not null")
-    counts = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
-    share = F.least(F.lit(1.0), F.lit(float(per_language)) / F.col("n"))
-    limits = counts.select("lang", (share * float(1 << 32)).cast("long").alias("below"))
+    # one number per language comes to the driver, which holds a prototype of each anyway
+    counts = labelled.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()
+    if not counts:
+        return {}
+    limits = [(r["lang"], int(min(1.0, per_language / r["n"]) * (1 << 32))) for r in counts]
+    below = F.element_at(F.create_map(*[F.lit(x) for pair in limits for x in pair]), F.col("lang"))
     draw = F.pmod(F.xxhash64(F.col("doc_id").cast("string"), F.lit("language")), F.lit(1 << 32))
-    chosen = labelled.withColumn("draw", draw).join(limits, "lang").where("draw < below").select("lang", "text")
+    chosen = labelled.where(draw < below).select("lang", "text")
 
     def bundle(batches):
         profiler, sums = Profiler(dimensions), {}
