@@ -334,11 +334,11 @@ def training_rows(spark: SparkSession, sf_dir: str) -> DataFrame:
     return interact.training_rows(places(spark, sf_dir), membership(spark, sf_dir), "l2").select("sample_id", "comp_id")
 
 
-@query(f"with {PLACES_SQL} select p.sample_id, d.lang, length(d.text)::bigint as chars from pl p left join documents d on d.doc_id = p.sample_id where {_inside_sql('x', 'y')}")
+@query(f"with {PLACES_SQL} select p.sample_id, coalesce(d.lang, '') as lang, coalesce(length(d.text), -1)::bigint as chars from pl p left join documents d on d.doc_id = p.sample_id where {_inside_sql('x', 'y')}")
 def selection_detail(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = places(spark, sf_dir)
     raw = read(spark, sf_dir, "documents").select(F.col("doc_id").alias("sample_id"), "lang", F.char_length("text").cast("long").alias("chars"))
-    return interact.detail(p, raw, interact.lasso(p, POLYGON)).select("sample_id", "lang", "chars")
+    return interact.detail(p, raw, interact.lasso(p, POLYGON)).select("sample_id", "lang", "chars").fillna({"lang": "", "chars": -1})
 
 
 @query(f"with {DENSITY_SQL} select i, comp_id from best where r = 1 and comp_id not in (2)")
