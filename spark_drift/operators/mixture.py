@@ -69,8 +69,12 @@ def assign(df: DataFrame, features: list[str], mix: Mixture, gate: str = "chi2",
     """``df`` with ``comp_id, provisional, log_density`` (replacing columns of these names);
     ties go to the smallest id."""
     df = df.drop("comp_id", "provisional", "log_density")
-    logs = log_densities(features, mix)
-    d2 = mahalanobis(features, mix)
+    # the quadratic forms become columns once; all else is arithmetic on them
+    _, logdet = numeric.factors(mix.cov)
+    names = df.columns
+    df = df.select("*", *[d.alias(f"d2_{k}_") for k, d in enumerate(mahalanobis(features, mix))])
+    d2 = [F.col(f"d2_{k}_") for k in range(len(mix.ids))]
+    logs = [F.lit(-0.5 * (float(logdet[k]) + mix.dims * LOG2PI)) - 0.5 * d for k, d in enumerate(d2)]
     score = logs
     if gate == "posterior":
         score = [c + F.lit(math.log(mix.n[k] / mix.n.sum())) for k, c in enumerate(logs)]
@@ -91,7 +95,7 @@ def assign(df: DataFrame, features: list[str], mix: Mixture, gate: str = "chi2",
             total = term if total is None else total + term
         ok = 1.0 / total > level
     return out.select(
-        *df.columns, F.col("best_.comp_id").alias("comp_id"), (~ok).alias("provisional"), F.col("best_.logpdf").alias("log_density")
+        *names, F.col("best_.comp_id").alias("comp_id"), (~ok).alias("provisional"), F.col("best_.logpdf").alias("log_density")
     )
 
 
