@@ -60,7 +60,7 @@ select event_type, n, m, round(b, 6) as between, round(w, 6) as within_ref, roun
 from b join w using (event_type) join v using (event_type)"""
 )
 def energy_by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rounded(energy.energy_distance(*halves(spark, sf_dir), ["x"], ["event_type"]), *TERMS)
+    return rounded(energy.energy_distance(*halves(spark, sf_dir), ["x"], ["event_type"], "sorted"), *TERMS)
 
 
 UNBIASED_SQL = f"""with {HALVES_SQL},
