@@ -75,43 +75,57 @@ def kernel_series(
     return both.groupBy("key").applyInPandas(run, f"key string, {SERIES}")
 
 
-def stepwise_series(
-    train: DataFrame, stream: DataFrame, t: str, features: list[str], times: list, cfg: OnlineConfig | None = None, sample: int = 20_000
-) -> DataFrame:
-    """Series by distributed steps over the given time points.
+class Stepper:
+    """Drift steps as distributed jobs over batches of any size.
 
-    Component fits start from a bounded sample (``mixture.fit``); assignment, absorption and
-    the degree use all rows.
+    Component fits start from a bounded sample (``mixture.fit``); assignment, absorption
+    and the degree use all rows. Only the components, one row each, come to the driver.
+    ``pool`` and ``ref`` are written tables, so a step's plan does not grow with time.
     """
-    cfg = cfg or OnlineConfig()
-    spark = train.sparkSession
-    _, mix = mixture.select(train, features, range(1, cfg.most + 1), cfg.kind, cfg.seed)
-    ref = cut(mixture.assign(train.select(*features), features, mix).select(*features, "comp_id"))
-    pool = None
-    rows = []
-    for at in times:
-        batch = stream.where(F.col(t) == at).select(t, *features)
-        marked = cut(mixture.assign(batch, features, mix, cfg.gate, cfg.level))
+
+    def __init__(self, train: DataFrame, features: list[str], cfg: OnlineConfig | None = None, mix: numeric.Mixture | None = None) -> None:
+        self.features, self.cfg = list(features), cfg or OnlineConfig()
+        self.mix = mix if mix is not None else self._fitted(train)
+        self.ref = self._assigned(train)
+        self.pool: DataFrame | None = None
+
+    def _fitted(self, rows: DataFrame) -> numeric.Mixture:
+        return mixture.select(rows, self.features, range(1, self.cfg.most + 1), self.cfg.kind, self.cfg.seed)[1]
+
+    def _assigned(self, rows: DataFrame) -> DataFrame:
+        return cut(mixture.assign(rows.select(*self.features), self.features, self.mix).select(*self.features, "comp_id"))
+
+    def step(self, batch: DataFrame, at: float) -> tuple | None:
+        """``(t, n, degree, components, pool, births)`` of one batch; none if it has no rows."""
+        features, cfg = self.features, self.cfg
+        rows = batch.select(*features, F.lit(at).cast("double").alias("t_"))
+        marked = cut(mixture.assign(rows, features, self.mix, cfg.gate, cfg.level))
         n = marked.count()
         if not n:
-            continue
-        mix = mixture.absorb(marked, features, mix, cfg)
+            return None
+        self.mix = mixture.absorb(marked, features, self.mix, cfg)
         rejected = marked.where("provisional").select(*features)
-        pool = rejected if pool is None else cut(pool.union(rejected))
-        size, births = pool.count(), 0
-        need = cfg.min_pool if cfg.min_pool is not None else mix.n.mean() / 2
+        self.pool = rejected if self.pool is None else cut(self.pool.union(rejected))
+        size, births = self.pool.count(), 0
+        need = cfg.min_pool if cfg.min_pool is not None else self.mix.n.mean() / 2
         if size >= max(need, len(features) + 2):
-            _, new = mixture.select(pool, features, range(1, cfg.most + 1), cfg.kind, cfg.seed)
-            first = int(mix.ids.max()) + 1
+            new = self._fitted(self.pool)
             births = len(new.ids)
-            mix = numeric.Mixture(
-                np.concatenate([mix.ids, first + np.arange(births)]), np.concatenate([mix.n, new.n]), np.concatenate([mix.mean, new.mean]),
-                np.concatenate([mix.cov, new.cov]), np.concatenate([mix.born, np.full(births, float(at))]),
+            self.mix = numeric.Mixture(
+                np.concatenate([self.mix.ids, int(self.mix.ids.max()) + 1 + np.arange(births)]),
+                np.concatenate([self.mix.n, new.n]), np.concatenate([self.mix.mean, new.mean]),
+                np.concatenate([self.mix.cov, new.cov]), np.concatenate([self.mix.born, np.full(births, float(at))]),
             )
-            ref = cut(mixture.assign(ref.select(*features), features, mix).select(*features, "comp_id"))
-            late = mixture.assign(marked.where("provisional").select(t, *features), features, mix)
+            self.ref = self._assigned(self.ref)
+            late = mixture.assign(marked.where("provisional").select(*features, "t_"), features, self.mix)
             marked = marked.where("not provisional").unionByName(late)
-            pool, size = None, 0
-        value = degree.drift_degree(ref, marked, t, features).first()["degree"]
-        rows.append((float(at), n, float(value), len(mix.ids), size, births))
-    return spark.createDataFrame(rows, SERIES)
+            self.pool, size = None, 0
+        value = degree.drift_degree(self.ref, marked, "t_", features).first()["degree"]
+        return float(at), n, float(value), len(self.mix.ids), size, births
+
+
+def stepwise_series(train: DataFrame, stream: DataFrame, t: str, features: list[str], times: list, cfg: OnlineConfig | None = None) -> DataFrame:
+    """Series by distributed steps over the given time points."""
+    stepper = Stepper(train, features, cfg)
+    rows = [stepper.step(stream.where(F.col(t) == at), at) for at in times]
+    return train.sparkSession.createDataFrame([r for r in rows if r], SERIES)

@@ -16,6 +16,8 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from spark_drift.functions import numeric
 from spark_drift.functions.numeric import Mixture, OnlineConfig, OnlineState
+from spark_drift.operators import mixture
+from spark_drift.operators.online import SERIES, Stepper
 
 EVENTS = "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string"
 
@@ -50,10 +52,14 @@ def fresh(events: DataFrame, late: str) -> DataFrame:
 
 
 class BatchMonitor:
-    """``foreachBatch`` target: one drift step per micro-batch, replays skipped by batch id."""
-
-    def __init__(self, train: np.ndarray, features: list[str], cfg: OnlineConfig | None = None, sink: Callable[[dict], None] | None = None) -> None:
-        self.cfg, self.features, self.sink = cfg or OnlineConfig(), features, sink
+    """``foreachBatch`` target for thin streams: one drift step per micro-batch on the driver,
+    replays skipped by batch id. A micro-batch above ``max_rows`` is refused; streams with
+    such batches take ``StepwiseMonitor``."""
+
+    def __init__(
+        self, train: np.ndarray, features: list[str], cfg: OnlineConfig | None = None, sink: Callable[[dict], None] | None = None, max_rows: int = 100_000
+    ) -> None:
+        self.cfg, self.features, self.sink, self.max_rows = cfg or OnlineConfig(), features, sink, max_rows
         self.ref = train
         mix = numeric.select_order(train, self.cfg.most, self.cfg.kind, self.cfg.seed)
         self.state = OnlineState(mix, train[:0], np.zeros(0, np.int64))
@@ -63,7 +69,10 @@ class BatchMonitor:
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
         if batch_id <= self.last:
             return
-        x = np.array([[float(v) for v in r] for r in batch.select(*self.features).collect()]).reshape(-1, len(self.features))
+        taken = batch.select(*self.features).limit(self.max_rows + 1).collect()
+        if len(taken) > self.max_rows:
+            raise ValueError(f"a micro-batch of more than {self.max_rows} rows: use StepwiseMonitor")
+        x = np.array([[float(v) for v in r] for r in taken]).reshape(-1, len(self.features))
         self.last = batch_id
         if not len(x):
             return
@@ -79,6 +88,61 @@ class BatchMonitor:
             self.sink(row)
 
 
+class StepwiseMonitor:
+    """``foreachBatch`` target for batches of any size: each is one distributed step.
+
+    With ``state_path`` the components, the pool and what was reported are written after
+    each batch, in a folder of its number and marked complete last; a monitor made anew on
+    that path goes on from the newest complete folder, and batches it has seen are skipped.
+    """
+
+    def __init__(
+        self, train: DataFrame, features: list[str], cfg: OnlineConfig | None = None, state_path: str | None = None,
+        sink: Callable[[dict], None] | None = None,
+    ) -> None:
+        self.path, self.sink, self.last, self.rows = state_path, sink, -1, []
+        found = self._newest(train.sparkSession) if state_path else None
+        if found is None:
+            self.stepper = Stepper(train, features, cfg)
+            return
+        spark = train.sparkSession
+        home, self.last = found
+        self.stepper = Stepper(train, features, cfg, mixture.from_table(spark.read.parquet(f"{home}/components")))
+        pool = spark.read.parquet(f"{home}/pool")
+        self.stepper.pool = pool if not pool.isEmpty() else None
+        series = spark.read.schema(SERIES).parquet(f"{home}/series").orderBy("t")
+        self.rows = [r.asDict() for r in series.collect()]
+
+    def _newest(self, spark: SparkSession) -> tuple[str, int] | None:
+        root = spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        fs = root.getFileSystem(spark._jsc.hadoopConfiguration())
+        if not fs.exists(root):
+            return None
+        names = [s.getPath().getName() for s in fs.listStatus(root)]
+        done = [int(n) for n in names if n.isdigit() and fs.exists(spark._jvm.org.apache.hadoop.fs.Path(f"{self.path}/{n}/series/_SUCCESS"))]
+        return (f"{self.path}/{max(done)}", max(done)) if done else None
+
+    def __call__(self, batch: DataFrame, batch_id: int) -> None:
+        if batch_id <= self.last:
+            return
+        row = self.stepper.step(batch, batch_id)
+        self.last = batch_id
+        if row is None:
+            return
+        self.rows.append(dict(zip([c.split()[0] for c in SERIES.split(", ")], row, strict=True)))
+        if self.path:
+            self._save(batch.sparkSession, f"{self.path}/{batch_id}")
+        if self.sink:
+            self.sink(self.rows[-1])
+
+    def _save(self, spark: SparkSession, home: str) -> None:
+        s = self.stepper
+        mixture.table(spark, s.mix).write.mode("overwrite").parquet(f"{home}/components")
+        pool = s.pool if s.pool is not None else s.ref.select(*s.features).limit(0)
+        pool.write.mode("overwrite").parquet(f"{home}/pool")
+        spark.createDataFrame([tuple(r.values()) for r in self.rows], SERIES).coalesce(1).write.mode("overwrite").parquet(f"{home}/series")
+
+
 STATE = "n double, mean string, cov string, ref string"
 OUTPUT = "key string, seen long, degree double"
 

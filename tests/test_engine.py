@@ -106,6 +106,29 @@ def test_kernel_and_batch_monitor_agree(spark):
     assert series["degree"].iloc[-1] > series["degree"].iloc[0]
 
 
+def test_stepwise_monitor_equals_series_and_goes_on_after_a_restart(spark, tmp_path):
+    random = np.random.default_rng(4)
+    train = spark.createDataFrame(random.normal(size=(200, 2)).tolist(), "a double, b double")
+    rows = [(float(k), *map(float, r)) for k in range(4) for r in random.normal(3.0 * k, 1, size=(60, 2))]
+    stream = spark.createDataFrame(rows, "t double, a double, b double")
+    cfg = nu.OnlineConfig(most=2)
+    series = online.stepwise_series(train, stream, "t", ["a", "b"], [0.0, 1.0, 2.0, 3.0], cfg).orderBy("t").collect()
+    assert sum(r["births"] for r in series) > 0
+    home = str(tmp_path / "state")
+    monitor = monitors.StepwiseMonitor(train, ["a", "b"], cfg, home)
+    for k in (0, 1):
+        monitor(stream.where(F.col("t") == k), k)
+    monitor = monitors.StepwiseMonitor(train, ["a", "b"], cfg, home)
+    assert monitor.last == 1
+    for k in (1, 2, 3):  # the first is a replay
+        monitor(stream.where(F.col("t") == k), k)
+    assert [r["components"] for r in monitor.rows] == [r["components"] for r in series]
+    assert [r["degree"] for r in monitor.rows] == pytest.approx([r["degree"] for r in series], abs=1e-6)
+    thin = monitors.BatchMonitor(np.zeros((9, 2)) + np.arange(9)[:, None], ["a", "b"], cfg, max_rows=10)
+    with pytest.raises(ValueError, match="StepwiseMonitor"):
+        thin(stream, 0)
+
+
 def test_scores_add_up(spark):
     reports = spark.createDataFrame([(0, 105), (0, 150), (0, 230)], "run int, t long")
     truth = spark.createDataFrame([(1, 100), (2, 200)], "drift_no int, t long")
