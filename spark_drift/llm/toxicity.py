@@ -48,7 +48,7 @@ def corrected_risk(z_pos: np.ndarray, z_unl: np.ndarray, prior: float) -> tuple[
     return float(prior * loss(z_pos).mean()), float(loss(-z_unl).mean() - prior * loss(-z_pos).mean())
 
 
-def fit_pu(rows: Rows, prior: float, rounds: int = 120, rate: float = 2.0, l1: float = 2e-4, screen: float = 4.0) -> Linear:
+def fit_pu(rows: Rows, prior: float, rounds: int = 120, rate: float = 2.0, l1: float = 2e-4, screen: float = 3.0) -> Linear:
     """Accelerated proximal descent on the non-negative risk. ``rows.y``: 1 confirmed, 0 unlabelled."""
     pos = rows.y == 1
     prior = min(max(prior, 1e-3), 0.5)
