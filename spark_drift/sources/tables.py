@@ -45,3 +45,29 @@ def write_parts(df: DataFrame, path: str, by: list[str]) -> None:
 def payload(df: DataFrame) -> DataFrame:
     """One JSON document per row, for a front end."""
     return df.select(F.to_json(F.struct("*")).alias("json"))
+
+
+def rows(spark: SparkSession, path: str, schema: str, kind: str = "parquet", stream: bool = False, files_per_trigger: int = 100) -> DataFrame:
+    """Rows of ``parquet``, ``csv`` (with a header) or ``json`` files under a stated schema.
+
+    The schema is never inferred, so no pass is spent on it and a batch and a stream agree;
+    a value that does not fit its type is null in text formats.
+    """
+    if kind not in ("parquet", "csv", "json"):
+        raise ValueError(f"unknown kind of file: {kind}")
+    reader = spark.readStream.option("maxFilesPerTrigger", files_per_trigger) if stream else spark.read
+    if kind == "csv":
+        reader = reader.option("header", True).option("escape", '"')
+    return reader.schema(schema).format(kind).load(path)
+
+
+def ticks(spark: SparkSession, rows_per_second: int = 10) -> DataFrame:
+    """A stream ``t, i`` at a steady rate, to drive demonstrations and load tests."""
+    rate = spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).load()
+    return rate.select(F.col("timestamp").alias("t"), F.col("value").alias("i"))
+
+
+def append_parts(stream: DataFrame, path: str, checkpoint: str, by: list[str]):
+    """A started query that appends a stream to Parquet, partitioned, each row once; it takes
+    what there is and stops, so that a scheduler can call it again."""
+    return stream.writeStream.partitionBy(*by).option("checkpointLocation", checkpoint).trigger(availableNow=True).start(path, "parquet", "append")

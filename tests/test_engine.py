@@ -170,6 +170,27 @@ def test_stream_windows_equal_batch(spark, small, tmp_path):
     assert key(spark.sql("select * from sd_t")) == key(batch)
 
 
+@pytest.mark.parametrize("kind", ["parquet", "csv", "json"])
+def test_files_read_alike_in_batch_and_stream(spark, small, tmp_path, kind):
+    schema = "event_id long, event_type string, value double, props string"
+    given = tables.read(spark, small, "events").select("event_id", "event_type", "value", "props")
+    writer = given.repartition(2).write.format(kind)
+    (writer.option("header", True).option("escape", '"') if kind == "csv" else writer).save(str(tmp_path / "in"))
+    want = sorted(map(tuple, given.collect()))
+    assert sorted(map(tuple, tables.rows(spark, str(tmp_path / "in"), schema, kind).collect())) == want
+    live = tables.rows(spark, str(tmp_path / "in"), schema, kind, stream=True, files_per_trigger=1)
+    for _ in range(2):  # the second call finds nothing new
+        tables.append_parts(live, str(tmp_path / "out"), str(tmp_path / "mark"), ["event_type"]).awaitTermination(60)
+    back = spark.read.parquet(str(tmp_path / "out")).select("event_id", "event_type", "value", "props")
+    assert sorted(map(tuple, back.collect())) == want
+    with pytest.raises(ValueError, match="unknown kind"):
+        tables.rows(spark, "x", schema, "orc")
+
+
+def test_ticks_are_a_stream(spark):
+    assert tables.ticks(spark).isStreaming
+
+
 def test_stream_drops_replays_and_keeps_state(spark, small, tmp_path):
     source = tmp_path / "in"
     rows = tables.read(spark, small, "events").limit(400)
