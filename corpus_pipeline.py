@@ -26,8 +26,9 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays."""
-    return simhash.keep_one(docs, radius=RADIUS)
+    """One document of each group of near copies stays: linked by the fingerprints, or by five-word
+    shingles with a Jaccard similarity of 0.8 or more."""
+    return simhash.keep_similar_one(docs, RADIUS)
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,8 +41,7 @@ def encoding_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
     return bpe.encode_documents(docs, ["doc_id", "source"])
 
 
-#: differing bits that link two documents; of pairs with a similarity of 0.8 or more over
-#: five-word shingles two bits miss 7.5 % and four bits 4.8 % (sf0.1), both without a link under 0.5
+#: differing bits of the three-word fingerprints that link two documents
 RADIUS = 4
 
 STAGES = [

@@ -20,6 +20,7 @@ empty table gives an empty result; other columns are ignored.
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 import numpy as np
@@ -28,7 +29,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from spark_drift.llm.batches import payloads, slices
+from spark_drift.llm.batches import mix64, payloads, slices
 from spark_drift.plans.lineage import cut
 
 SEED = 42
@@ -299,6 +300,206 @@ def near_duplicates(docs: DataFrame, shingle_words: int = 3, radius: int = 2, ch
     return marked.join(rooted.join(names, "root").select("fp", "root", "component_id"), "fp")
 
 
+# ------------------------------------------------------------ exact similarity
+
+
+def shingle_set(text: bytes, shingle_words: int = 5) -> np.ndarray:
+    """Sorted distinct XXH64 values of all word shingles; a shorter text is one shingle."""
+    words = text.lower().split()
+    if not words:
+        return np.zeros(0, np.uint64)
+    last = max(1, len(words) - shingle_words + 1)
+    return np.unique(np.array([xxhash.xxh64_intdigest(b" ".join(words[i : i + shingle_words]), SEED) for i in range(last)], np.uint64))
+
+
+def vote_bits(hashes: np.ndarray) -> int:
+    """64-bit majority vote over distinct shingle values."""
+    if not len(hashes):
+        return 0
+    votes = np.zeros(64, np.int64)
+    for start in range(0, len(hashes), 1 << 14):
+        part = hashes[start : start + (1 << 14)].astype("<u8")
+        votes += np.unpackbits(part.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return int(np.packbits(votes * 2 > len(hashes), bitorder="little").view("<u8")[0])
+
+
+def print_set(hashes: np.ndarray) -> list[int]:
+    """Four fingerprints of one set, by independent hashes."""
+    out = [vote_bits(hashes)]
+    for _ in range(3):
+        hashes = mix64(hashes + np.uint64(1))
+        out.append(vote_bits(hashes))
+    return out
+
+
+def least_common(n: int, similarity: float) -> int:
+    """Shingles that a set of ``n`` shares at least with any set of that Jaccard similarity."""
+    return math.ceil(similarity * n - 1e-9)
+
+
+def marked_sets(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5) -> DataFrame:
+    """``(doc_id, text_hash, node, fp, prefix, short_fp)`` per row. ``short_fp`` is the query's
+    fingerprint of three words, the others are of the shingle set: ``node`` names the shingle set; of two
+    sets of that similarity the prefixes, their smallest values, share one at least."""
+
+    def run(batches):
+        for part in slices(batches, "text"):
+            nodes, fps, prefixes, short = [], [], [], []
+            for x in payloads(part):
+                s = shingle_set(x, shingle_words)
+                nodes.append(xxhash.xxh64_intdigest(s.tobytes(), SEED))
+                fps.append(np.array(print_set(s), np.uint64).view(np.int64))
+                short.append(fingerprint(x))
+                prefixes.append(s[: len(s) - least_common(len(s), similarity) + 1].view(np.int64))
+            yield pa.RecordBatch.from_arrays(
+                [
+                    part.column(0), part.column(1), pa.array(np.array(nodes, np.uint64).view(np.int64)),
+                    pa.array(fps, pa.list_(pa.int64())), pa.array(prefixes, pa.list_(pa.int64())),
+                    pa.array(np.array(short, np.uint64).view(np.int64)),
+                ],
+                names=["doc_id", "text_hash", "node", "fp", "prefix", "short_fp"],
+            )
+
+    lean = docs.select(
+        F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("binary").alias("text")
+    )
+    return lean.mapInArrow(run, "doc_id long, text_hash long, node long, fp array<long>, prefix array<long>, short_fp long")
+
+
+def _dealt(members: DataFrame, key: str, chunk: int) -> DataFrame:
+    """Members of the groups of two or more, those of large groups once per pair of chunks ``p, q``."""
+    sizes = members.groupBy(key).agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    parts = F.ceil(F.col("n") / F.lit(chunk)).cast("long")
+    mine = F.pmod(F.xxhash64("node"), parts)
+    each = F.transform(
+        F.sequence(F.lit(0).cast("long"), parts - 1), lambda x: F.struct(F.least(mine, x).alias("p"), F.greatest(mine, x).alias("q"))
+    )
+    return members.join(sizes, key).select(*members.columns, F.inline(each))
+
+
+def _all_near(fps: np.ndarray, i: np.ndarray, j: np.ndarray, radius: int) -> np.ndarray:
+    """For pairs of rows: does each of their fingerprints differ in ``radius`` bits at most?"""
+    ok = np.ones(len(i), bool)
+    for k in range(fps.shape[1]):
+        rest = np.nonzero(ok)[0]
+        ok[rest] = sliced_pairs(fps[i[rest], k], fps[j[rest], k], radius)
+    return ok
+
+
+def _near_groups(batches, radius: int):
+    """Of each bucket the members that ``radius`` links, as groups named by their members."""
+
+    def flush(rows):
+        edges = np.nonzero(np.any(rows[1:, :3] != rows[:-1, :3], axis=1))[0] + 1
+        starts = np.concatenate([[0], edges])
+        sizes = np.diff(np.concatenate([starts, [len(rows)]]))
+        nodes, fps = rows[:, 3], np.ascontiguousarray(rows[:, 4:]).view(np.uint64)
+        found: dict[tuple, None] = {}
+        twos = starts[sizes == 2]
+        for s in twos[_all_near(fps, twos, twos + 1, radius)]:
+            found[tuple(sorted(nodes[s : s + 2].tolist()))] = None
+        for s, size in zip(starts[sizes > 2], sizes[sizes > 2], strict=True):
+            own = fps[s : s + size]
+            planes, label = planes_of(own[:, 0]), np.arange(size)
+            for at in range(0, size, 256):
+                i, j = np.nonzero(sliced_matches(own[at : at + 256, 0], planes, radius, int(size)))
+                i, j = i[i + at < j] + at, j[i + at < j]
+                near = _all_near(own, i, j, radius)
+                label = forest(int(size), np.concatenate([np.arange(size), i[near]]), np.concatenate([label, j[near]]))
+            order = np.argsort(label, kind="stable")
+            for group in np.split(order, np.nonzero(np.diff(label[order]))[0] + 1):
+                if len(group) > 1:
+                    found[tuple(sorted(nodes[s : s + size][group].tolist()))] = None
+        names = [xxhash.xxh64_intdigest(np.array(g, np.int64).tobytes(), SEED) for g in found]
+        many = np.array([len(g) for g in found], np.int64)
+        return pa.RecordBatch.from_arrays(
+            [pa.array(np.repeat(np.array(names, np.uint64), many).view(np.int64)), pa.array(np.array([x for g in found for x in g], np.int64))],
+            names=["grp", "node"],
+        )
+
+    held = np.zeros((0, 8), np.int64)
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        rows = np.concatenate([held, np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in range(8)], axis=1)])
+        # the last bucket may go on in the next batch
+        other = np.nonzero(np.any(rows[:, :3] != rows[-1, :3], axis=1))[0]
+        end = int(other[-1]) + 1 if len(other) else 0
+        done, held = rows[:end], rows[end:]
+        if len(done):
+            yield flush(done)
+    if len(held):
+        yield flush(held)
+
+
+def similar_links(nodes: np.ndarray, sets: list[np.ndarray], similarity: float) -> list[tuple[int, int]]:
+    """Links that connect all members whose sets are similar enough; pairs that are
+    connected already are not compared again."""
+    label, sizes = np.arange(len(nodes)), np.array([len(s) for s in sets])
+    out = []
+    for i in range(len(nodes) - 1):
+        rest = np.arange(i + 1, len(nodes))
+        low, high = np.minimum(sizes[i], sizes[rest]), np.maximum(sizes[i], sizes[rest])
+        for j in rest[low >= similarity * high - 1e-9]:
+            if label[i] == label[j]:
+                continue
+            common = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+            if common >= similarity * (sizes[i] + sizes[j] - common) - 1e-9:
+                out.append((int(nodes[i]), int(nodes[j])))
+                label[label == label[j]] = label[i]
+    return out
+
+
+def similar_groups(
+    docs: DataFrame, near: int = 4, similarity: float = 0.8, shingle_words: int = 5, radius: int = 24, chunk: int = 2048, few: int = 256
+) -> DataFrame:
+    """``doc_id, text_hash, root`` per row: rows of one root are connected by pairs whose
+    shingle sets have that Jaccard similarity or more, or whose three-word fingerprints
+    differ in ``near`` bits at most.
+
+    Sets that share a prefix value meet in a bucket, which misses no such pair; there the
+    bit-sliced comparison drops those of whose four fingerprints one is beyond ``radius``, and
+    the sets decide on the rest. The ids of these alone are broadcast.
+    """
+    marked = cut(marked_sets(docs, similarity, shingle_words))
+    named = F.struct(F.coalesce("doc_id", "text_hash").alias("id"), "text_hash")
+    nodes = cut(marked.groupBy("node").agg(F.min(named).alias("one"), F.first("fp").alias("fp"), F.first("prefix").alias("prefix")))
+    met = _dealt(nodes.select(F.explode("prefix").alias("bucket"), "node"), "bucket", chunk)
+    prints = [F.col("fp")[k].alias(f"f{k}") for k in range(4)]
+    met = met.select("bucket", "p", "q", "node").join(nodes.select("node", *prints), "node").select("bucket", "p", "q", "node", "f0", "f1", "f2", "f3")
+    met = met.repartition("bucket", "p", "q").sortWithinPartitions("bucket", "p", "q", "node")
+    groups = cut(met.mapInArrow(lambda it: _near_groups(it, radius), "grp long, node long").distinct())
+    wanted = nodes.select("node", "one.id", "one.text_hash").join(groups.select("node").distinct(), "node")
+    texts = docs.select(F.xxhash64("text").alias("text_hash"), F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"))
+    texts = texts.withColumn("id", F.coalesce("id", "text_hash")).join(F.broadcast(wanted), ["id", "text_hash"]).dropDuplicates(["node"]).select("node", "text")
+
+    def packed(batches):
+        for part in slices(batches, "text"):
+            sets = [shingle_set(x, shingle_words).tobytes() for x in payloads(part)]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.binary())], names=["node", "items"])
+
+    def exact(table: pa.Table) -> pa.Table:
+        names = table.column("node").to_numpy()
+        sets = [np.frombuffer(x, np.uint64) for x in table.column("items").to_pylist()]
+        found = np.array(similar_links(names, sets, similarity), np.int64).reshape(-1, 2)
+        return pa.table({"a": found[:, 0], "b": found[:, 1]})
+
+    sets = texts.mapInArrow(packed, "node long, items binary")
+    pairs = _dealt(groups, "grp", few).join(sets, "node").groupBy("grp", "p", "q").applyInArrow(exact, "a long, b long")
+    prints = marked.select("node", F.col("short_fp").alias("fp")).distinct()
+    reps = cut(prints.groupBy("fp").agg(F.min("node").alias("b")))
+    same = prints.join(reps, "fp").where("node <> b").select(F.col("node").alias("a"), "b")
+    ends = [reps.toDF(c, f"{c}_node") for c in "ab"]
+    close = links(reps.select("fp"), near, chunk).join(ends[0], "a").join(ends[1], "b").select(F.col("a_node").alias("a"), F.col("b_node").alias("b"))
+    roots = components(pairs.union(same).union(close))
+    return marked.select("doc_id", "text_hash", "node").join(roots, "node", "left").select("doc_id", "text_hash", F.coalesce("root", "node").alias("root"))
+
+
+def keep_similar_one(docs: DataFrame, near: int = 4, similarity: float = 0.8, shingle_words: int = 5) -> DataFrame:
+    """``docs`` with one row left of each group of ``similar_groups``."""
+    return _keep_first(docs, similar_groups(docs, near, similarity, shingle_words))
+
+
 def keep_one(docs: DataFrame, shingle_words: int = 3, radius: int = 2) -> DataFrame:
     """``docs`` with one row left of each group of near copies, columns unchanged.
 
@@ -306,7 +507,10 @@ def keep_one(docs: DataFrame, shingle_words: int = 3, radius: int = 2) -> DataFr
     hash; among repeated rows one. Rows without an id cannot be named in a group
     and all stay.
     """
-    found = near_duplicates(docs, shingle_words, radius)
+    return _keep_first(docs, near_duplicates(docs, shingle_words, radius))
+
+
+def _keep_first(docs: DataFrame, found: DataFrame) -> DataFrame:
     best = F.min(F.struct("doc_id", "text_hash")).alias("best")
     winners = found.where("doc_id is not null").groupBy("root").agg(best).select("best.doc_id", "best.text_hash")
     names = docs.columns

@@ -292,6 +292,30 @@ def test_near_duplicates_equal_brute_force(spark, small, docs, empty):
     assert ids.count("3") + ids.count("4") + ids.count("5") == 1
 
 
+@pytest.mark.parametrize("chunk", [2048, 4])
+def test_near_dedup_stage_links_every_pair_of_similar_texts(spark, chunk):
+    rnd = random.Random(5)
+    texts = [sentence(500 + k, 120) for k in range(12)]
+    for k in range(12):
+        words = texts[k].split()
+        words[20 + k] = "changed"  # 111 of 121 shingles are shared
+        texts.append(" ".join(words))
+        for at in rnd.sample(range(0, 120, 10), 5):
+            words[at] = "other"
+        texts.append(" ".join(words))
+    sets = [{tuple(w[i : i + 5]) for i in range(len(w) - 4)} for w in map(str.split, texts)]
+    alike = [(a, b) for b in range(len(texts)) for a in range(b) if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])]
+    far = [(a, b) for a, b in alike if (simhash.fingerprint(texts[a].encode()) ^ simhash.fingerprint(texts[b].encode())).bit_count() > 4]
+    assert far  # four bits miss them
+    frame = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    root = {r["doc_id"]: r["root"] for r in simhash.similar_groups(frame, chunk=chunk, few=chunk).collect()}
+    assert all(root[a] == root[b] for a, b in alike) and len(set(root.values())) >= 12
+    import corpus_pipeline
+
+    kept = {r["doc_id"] for r in corpus_pipeline.near_dedup_stage(spark, frame, "").collect()}
+    assert not [p for p in alike if kept.issuperset(p)]
+
+
 @pytest.mark.parametrize(("radius", "chunk"), [(2, 2048), (2, 16), (4, 32)])
 def test_links_of_crowded_buckets(spark, radius, chunk):
     rnd = random.Random(radius)
