@@ -24,13 +24,13 @@ from spark_drift.workloads import detectors, seasonal, topics
 
 @query()
 def w1_compare_means(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All detectors on planted changes of the mean (short form: 30 segments, two seeds)."""
-    return detectors.compare(spark, "mean", rows=18_000, segments=30, tune_seeds=(100,), seeds=(0, 1))
+    """All detectors on planted changes of the mean: 99 changes, ten seeds."""
+    return detectors.compare(spark, "mean")
 
 
 @query()
 def w2_compare_spreads(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return detectors.compare(spark, "spread", rows=18_000, segments=30, tune_seeds=(100,), seeds=(0, 1))
+    return detectors.compare(spark, "spread")
 
 
 # ------------------------------------------------------------------- over-estimation

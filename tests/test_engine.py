@@ -208,3 +208,13 @@ def test_entry_and_names(spark, small, monkeypatch):
     entry = importlib.import_module("__spark_entry__")
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize(("name", "kind"), [("w1_compare_means", "mean"), ("w2_compare_spreads", "spread")])
+def test_registered_comparisons_run_the_full_form(monkeypatch, name, kind):
+    from spark_drift.queries import workloads
+
+    asked = []
+    monkeypatch.setattr(workloads.detectors, "compare", lambda *a, **k: asked.append((a, k)))
+    getattr(workloads, name)(None, "")
+    assert asked == [((None, kind), {})]
