@@ -1,24 +1,28 @@
 """Removing lines that many documents share, by a sharded minimal perfect hash.
 
-Plan. (1) Each document's distinct line keys are hashed inside the JVM and
-counted by hash, with partial counts before the shuffle: one very common line
-becomes one partial count per task. (2) Hashes found in ``min_docs`` documents or
-more are dealt to shards by hash; each shard builds, in its own task, a minimal
-perfect hash (levels of bit arrays, the index of a key being the rank of its bit)
-and two compact arrays at these indexes: a fingerprint of the hash and its
-document count. (3) Documents probe the arrays; no line is joined or moved.
-Shards are shipped to the probing tasks in passes of at most ``pass_bytes``, each
-pass a broadcast of checked size, so that the index may outgrow any one memory: a
-further pass marks further lines and the documents are scanned again.
+Plan. (1) Each document's distinct line keys are hashed inside the JVM; the distinct
+documents of each hash are counted, first by hash and document, then by hash, so one
+very common line spreads over all tasks. (2) All distinct line hashes are dealt to
+shards; each shard builds, in its own task, a minimal perfect hash (levels of bit
+arrays, the index of a key being the rank of its bit) and two compact arrays at these
+indexes: a fingerprint of the hash and its document count. (3) Documents probe the
+arrays, and the count found there decides about each line; no line is joined.
+
+An index of at most ``index_bytes`` is shipped whole to the probing tasks, a broadcast of
+checked size, and documents are scanned once more. A larger one stays where it is: each
+batch of documents sends its hashes, packed, to their shards, these answer with the
+common ones, and a document meets its answers by a digest of its text. Shards and texts
+that hold more than a thousandth of all such traffic are split.
 
 A line key is the line without blanks at both ends, A-Z in lower case. 64-bit line
-hashes stand for keys, and a probe compares the low 32 bits of the hash besides
-the perfect index, so a line outside the index is taken for a member with
-probability 2**-32.
-
-Edge cases: a null or empty text is one empty line and stays; a text of which
-all lines go becomes the empty text and its row stays; an empty table gives an
-empty result; other columns, whatever their names, pass through untouched.
+hashes stand for keys. Every line of the indexed table is in the index; a line of
+another table passes for a member with probability 2**-32, as the arrays keep 32 bits.
+
+Documents are told apart by ``doc_id``: rows of one id are one document, and a line counts
+once for it. Edge cases: a row without an id is a document of its own (equal texts
+without an id count once); a null or empty text is one empty line and stays; a text of which
+all lines go becomes the empty text and its row stays; repeated rows stay; an empty
+table gives an empty result; other columns, whatever their names, pass through untouched.
 """
 
 from __future__ import annotations
@@ -30,7 +34,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -44,20 +48,16 @@ _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 ADDED = ("kept_text", "n_lines", "n_dropped")
 
 
-def line_hash(line: bytes) -> tuple[int, bool]:
-    """Hash of a line's key and whether the key is empty."""
-    key = line.strip().lower()
-    return xxhash.xxh64_intdigest(key, SEED), not key
-
-
-def common_hashes(docs: DataFrame, min_docs: int = 10, min_chars: int = 1) -> DataFrame:
-    """``(hash, docs)`` of the line keys that ``min_docs`` documents or more contain."""
+def line_counts(docs: DataFrame, min_chars: int = 1) -> DataFrame:
+    """``(hash, docs)`` of all distinct line keys: how many documents contain each."""
     lines = F.split(F.translate("text", _UPPER, _LOWER), "\n")
     keys = F.transform(lines, lambda x: F.btrim(x, F.lit(BLANKS)))
     keys = F.filter(keys, lambda k: F.char_length(k) >= min_chars)
     hashes = F.array_distinct(F.transform(keys, lambda k: F.xxhash64(k)))
-    found = docs.select(F.explode(hashes).alias("hash")).groupBy("hash").agg(F.count(F.lit(1)).alias("docs"))
-    return found.where(F.col("docs") >= min_docs)
+    # a row without an id is told from ids by the second number
+    named = F.coalesce(F.col("doc_id").cast("long"), F.xxhash64("text")).alias("of")
+    each = docs.select(named, F.col("doc_id").isNull().alias("nameless"), F.explode(hashes).alias("hash"))
+    return each.groupBy("hash").agg(F.count_distinct("of", "nameless").alias("docs"))
 
 
 # ------------------------------------------------------ minimal perfect hash
@@ -94,11 +94,11 @@ class PerfectShard:
             np.array(spans, dtype=np.int64),
             np.sort(left),
             np.zeros(len(keys), np.uint32),
-            np.zeros(len(keys), np.int64),
+            np.zeros(len(keys), np.uint32),
         )
         at = shard.index(keys)
         shard.prints[at] = keys.astype(np.uint32)
-        shard.counts[at] = counts
+        shard.counts[at] = np.minimum(counts, (1 << 32) - 1)
         return shard
 
     def index(self, keys: np.ndarray) -> np.ndarray:
@@ -128,7 +128,7 @@ class PerfectShard:
             return np.zeros(len(keys), np.int64)
         at = self.index(keys)
         same = (at >= 0) & (self.prints[np.maximum(at, 0)] == keys.astype(np.uint32))
-        return np.where(same, self.counts[np.maximum(at, 0)], 0)
+        return np.where(same, self.counts[np.maximum(at, 0)], 0).astype(np.int64)
 
     def dump(self) -> bytes:
         out = io.BytesIO()
@@ -145,11 +145,11 @@ def shard_of(hashes: np.ndarray, shards: int) -> np.ndarray:
     return ((hashes >> np.uint64(33)) % np.uint64(shards)).astype(np.int64)
 
 
-def build_index(common: DataFrame, shard_keys: int = 32768) -> DataFrame:
+def build_index(counts: DataFrame, shard_keys: int = 1 << 17) -> DataFrame:
     """``(shard, shards, n, blob)``: one perfect hash per shard, built on the executors."""
-    common = cut(common)
-    shards = max(1, -(-common.count() // shard_keys))
-    dealt = common.withColumn("shard", F.shiftrightunsigned("hash", 33) % F.lit(shards))
+    counts = cut(counts)
+    shards = max(1, -(-counts.count() // shard_keys))
+    dealt = counts.withColumn("shard", F.shiftrightunsigned("hash", 33) % F.lit(shards))
 
     def build(key, rows):
         hashes = rows["hash"].to_numpy(np.int64).view(np.uint64)
@@ -160,91 +160,161 @@ def build_index(common: DataFrame, shard_keys: int = 32768) -> DataFrame:
     return cut(dealt.groupBy("shard").applyInPandas(build, schema))
 
 
-def passes_of(index: DataFrame, pass_bytes: int) -> list[tuple[int, int]]:
-    """Ranges of shard numbers whose arrays fit ``pass_bytes`` together.
-
-    Shards are near equal in size, so ranges of equal length serve; only the total
-    and the largest size come to the driver."""
-    total = index.agg(F.sum(F.length("blob")), F.max(F.length("blob")), F.first("shards")).first()
-    if total[0] is None:
-        return []
-    each = max(1, pass_bytes // total[1])
-    return [(a, min(a + each, total[2]) - 1) for a in range(0, total[2], each)]
-
-
-_LOADED: dict[str, dict[int, PerfectShard]] = {}
-
-
 def kept_lines(
-    docs: DataFrame, min_docs: int = 10, min_chars: int = 1, pass_bytes: int = 64 << 20, shard_keys: int = 32768
+    docs: DataFrame, min_docs: int = 10, min_chars: int = 1, index_bytes: int = 64 << 20, shard_keys: int = 1 << 17
 ) -> DataFrame:
-    """Columns of ``docs`` plus ``kept_text, n_lines, n_dropped`` (inside a struct ``added``)."""
-    index = build_index(common_hashes(docs, min_docs, min_chars), shard_keys)
-    spans = passes_of(index, pass_bytes)
-    names = docs.columns
-    marked = docs.select(
-        F.struct(*[F.col(f"`{c}`") for c in names]).alias("row"), F.lit(None).cast("binary").alias("dropped")
-    )
-    for low, high in spans or [(0, -1)]:
-        rows = index.where(F.col("shard").between(low, high)).collect()
-        shards = rows[0]["shards"] if rows else 1
-        sent = docs.sparkSession.sparkContext.broadcast({r["shard"]: bytes(r["blob"]) for r in rows})
-        marked = _probe(marked, sent, shards, last=(low, high) == (spans or [(0, -1)])[-1])
-    return marked
+    """Columns of ``docs`` (as struct ``row``) plus ``kept_text, n_lines, n_dropped`` (as struct ``added``)."""
+    index = build_index(line_counts(docs, min_chars), shard_keys)
+    size = index.agg(F.coalesce(F.sum(F.length("blob")), F.lit(0)), F.coalesce(F.max("shards"), F.lit(1))).first()
+    if size[0] <= index_bytes:
+        return _probe_here(docs, index, size[1], min_docs, min_chars)
+    return _probe_there(docs, index, size[1], min_docs, min_chars)
+
+
+def _hashed(payload: list[bytes], min_chars: int) -> tuple[list[list[bytes]], np.ndarray, np.ndarray, np.ndarray]:
+    """Lines of each text, their hashes, which of them have a key long enough, and where texts begin."""
+    split = [x.split(b"\n") for x in payload]
+    keys = [line.strip().lower() for lines in split for line in lines]
+    hashes = np.array([xxhash.xxh64_intdigest(k, SEED) for k in keys], dtype=np.uint64)
+    if min_chars > 1:
+        full = np.array([len(k.decode("utf-8", "replace")) >= min_chars for k in keys], dtype=bool)
+    else:
+        full = np.array([len(k) >= min_chars for k in keys], dtype=bool)
+    return split, hashes, full, np.cumsum([0, *map(len, split)])
+
+
+def _answers(tables: dict[int, PerfectShard], shards: int, hashes: np.ndarray) -> np.ndarray:
+    """Document counts of hashes, each read from its own shard."""
+    counts = np.zeros(len(hashes), np.int64)
+    where = shard_of(hashes, shards)
+    order = np.argsort(where, kind="stable")
+    edges = np.nonzero(np.diff(where[order]))[0] + 1
+    for mine in np.split(order, edges):
+        if len(mine) and int(where[mine[0]]) in tables:
+            counts[mine] = tables[int(where[mine[0]])].lookup(hashes[mine])
+    return counts
+
+
+def _without(row: pa.Array, split: list[list[bytes]], drop: np.ndarray, bounds: np.ndarray) -> pa.RecordBatch:
+    """The batch that goes out: rows with their texts less the dropped lines."""
+    kept, gone = [], []
+    for k, lines in enumerate(split):
+        mask = drop[bounds[k] : bounds[k + 1]]
+        gone.append(int(mask.sum()))
+        kept.append(b"\n".join([x for x, d in zip(lines, mask, strict=True) if not d] if gone[-1] else lines))
+    columns = [pa.array(kept, pa.binary()).cast(pa.string()), pa.array([len(x) for x in split], pa.int64()), pa.array(gone, pa.int64())]
+    return pa.RecordBatch.from_arrays([row, pa.StructArray.from_arrays(columns, names=list(ADDED))], names=["row", "added"])
+
+
+def _packed(docs: DataFrame) -> DataFrame:
+    """``row, text``: all columns in a struct, and the text's bytes."""
+    return docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("text").cast("binary").alias("text"))
+
+
+def _out_schema(source: DataFrame) -> T.StructType:
+    tail = T._parse_datatype_string("added struct<kept_text:string,n_lines:bigint,n_dropped:bigint>")
+    return T.StructType([source.schema["row"], *tail.fields])
+
 
+_LOADED: dict[str, dict[int, PerfectShard]] = {}
 
-def _probe(marked: DataFrame, sent, shards: int, last: bool) -> DataFrame:
-    """One pass: lines found in the shipped shards are marked in the bitmap ``dropped``."""
-    source = marked.select("row", F.col("row.text").cast("binary").alias("text"), "dropped")
 
+def _probe_here(docs: DataFrame, index: DataFrame, shards: int, min_docs: int, min_chars: int) -> DataFrame:
+    """The whole index in each probing task."""
+    blobs = {r["shard"]: bytes(r["blob"]) for r in index.select("shard", "blob").collect()}
+    sent = docs.sparkSession.sparkContext.broadcast(blobs)
     token = uuid.uuid4().hex
+    source = _packed(docs)
 
     def run(batches):
         if token not in _LOADED:  # once per Python worker
             _LOADED.clear()
             _LOADED[token] = {k: PerfectShard.load(v) for k, v in sent.value.items()}
-        tables = _LOADED[token]
         for part in slices(batches, "text"):
-            split = [x.split(b"\n") for x in payloads(part)]
-            hashed = [line_hash(x) for lines in split for x in lines]
-            hashes = np.array([h for h, _ in hashed], dtype=np.uint64)
-            blank = np.array([e for _, e in hashed], dtype=bool)
-            counts = np.zeros(len(hashes), np.int64)
-            where = shard_of(hashes, shards)
-            for s, table in tables.items():
-                mine = where == s if shards > 1 else slice(None)
-                counts[mine] = table.lookup(hashes[mine])
-            drop = (counts > 0) & ~blank
-            bounds = np.cumsum([0, *map(len, split)])
-            before = part.column(2).to_pylist()
-            for k, old in enumerate(before):
-                if old is not None:
-                    n = bounds[k + 1] - bounds[k]
-                    drop[bounds[k] : bounds[k + 1]] |= np.unpackbits(np.frombuffer(old, np.uint8), count=n).astype(bool)
-            if not last:
-                packed = [np.packbits(drop[a:b]).tobytes() for a, b in zip(bounds, bounds[1:], strict=False)]
+            split, hashes, full, bounds = _hashed(payloads(part), min_chars)
+            drop = full & (_answers(_LOADED[token], shards, hashes) >= min_docs)
+            yield _without(part.column(0), split, drop, bounds)
+
+    return source.mapInArrow(run, _out_schema(source))
+
+
+def _hot(rows: DataFrame, keys: list[str], amount: Column, share: int = 1000) -> DataFrame:
+    """``keys.., ways``: the keys with more than a thousandth of everything, hence fewer than
+    ``share`` of them, and into how many parts each is split."""
+    by = rows.groupBy(*keys).agg(F.sum(amount).alias("n"))
+    total = by.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    fair = max(1, total // share)
+    return by.where(F.col("n") > fair).select(*keys, F.ceil(F.col("n") / F.lit(fair)).cast("int").alias("ways"))
+
+
+def _probe_there(docs: DataFrame, index: DataFrame, shards: int, min_docs: int, min_chars: int) -> DataFrame:
+    """Hashes travel to the shards, answers to the documents."""
+    named = [F.xxhash64("text").alias("k1"), F.xxhash64("text", F.lit("second")).alias("k2")]
+    lean = docs.select(*named, F.col("text").cast("binary").alias("text"))
+
+    def ask(batches):
+        for part in slices(batches, "text"):
+            names = np.stack([part.column(k).to_numpy(zero_copy_only=False) for k in (0, 1)], axis=1)
+            first = np.unique(names, axis=0, return_index=True)[1]  # copies in a batch ask once
+            values = payloads(part)
+            _, hashes, full, bounds = _hashed([values[k] for k in first], min_chars)
+            of = np.repeat(np.arange(len(first)), np.diff(bounds))[full]
+            asked = np.unique(np.stack([hashes[full], of.astype(np.uint64)], axis=1), axis=0)
+            where = shard_of(asked[:, 0], shards)
+            order = np.argsort(where, kind="stable")
+            for mine in np.split(order, np.nonzero(np.diff(where[order]))[0] + 1):
+                if not len(mine):
+                    continue
+                who = names[first][asked[mine, 1].astype(np.int64)]
+                message = np.stack([asked[mine, 0].view(np.int64), who[:, 0], who[:, 1]], axis=1)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0), pa.array(packed, pa.binary())], names=["row", "dropped"]
+                    [pa.array([int(where[mine[0]])]), pa.array([message.astype("<i8").tobytes()], pa.binary())], names=["shard", "blob"]
                 )
-                continue
-            kept, gone = [], []
-            for k, lines in enumerate(split):
-                mask = drop[bounds[k] : bounds[k + 1]]
-                gone.append(int(mask.sum()))
-                kept.append(b"\n".join([x for x, d in zip(lines, mask, strict=True) if not d] if gone[-1] else lines))
-            added = pa.StructArray.from_arrays(
-                [
-                    pa.array(kept, pa.binary()).cast(pa.string()),
-                    pa.array([len(x) for x in split], pa.int64()),
-                    pa.array(gone, pa.int64()),
-                ],
-                names=list(ADDED),
-            )
-            yield pa.RecordBatch.from_arrays([part.column(0), added], names=["row", "added"])
-
-    tail = "added struct<kept_text:string,n_lines:bigint,n_dropped:bigint>" if last else "dropped binary"
-    schema = T.StructType([source.schema["row"], *T._parse_datatype_string(tail).fields])
-    return source.mapInArrow(run, schema)
+
+    asked = cut(lean.mapInArrow(ask, "shard long, blob binary"))
+    hot = _hot(asked, ["shard"], F.length("blob"))
+    ways = F.coalesce("ways", F.lit(1))
+    tables = index.join(F.broadcast(hot), "shard", "left").select(
+        "shard", F.explode(F.sequence(F.lit(0), ways - 1)).alias("way"), F.lit(0).alias("kind"), "blob"
+    )
+    asked = asked.join(F.broadcast(hot), "shard", "left").select("shard", F.pmod(F.xxhash64("blob"), ways).cast("int").alias("way"), F.lit(1).alias("kind"), "blob")
+
+    def answer(batches):
+        table, of = None, None
+        for part in slices(batches, "blob"):
+            shard, way, kind = (part.column(k).to_pylist() for k in (0, 1, 2))
+            found = []
+            for s, w, k, blob in zip(shard, way, kind, part.column(3).to_pylist(), strict=True):
+                if k == 0:  # a shard's arrays come before its questions
+                    table, of = PerfectShard.load(blob), (s, w)
+                    continue
+                message = np.frombuffer(blob, "<i8").reshape(-1, 3)
+                common = table.lookup(message[:, 0].view(np.uint64)) >= min_docs if of == (s, w) else np.zeros(len(message), bool)
+                found.append(message[common])
+            rows = np.concatenate(found) if found else np.zeros((0, 3), np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(rows[:, k])) for k in (1, 2, 0)], names=["k1", "k2", "hash"])
+
+    both = tables.unionByName(asked).repartition("shard", "way").sortWithinPartitions("shard", "way", "kind")
+    gone = both.mapInArrow(answer, "k1 long, k2 long, hash long").groupBy("k1", "k2").agg(F.collect_set("hash").alias("gone"))
+    crowd = _hot(docs.select(*named), ["k1", "k2"], F.lit(1)).withColumnsRenamed({"k1": "h1", "k2": "h2"})
+    same = (F.col("k1") == F.col("h1")) & (F.col("k2") == F.col("h2"))
+    source = _packed(docs).withColumns({"k1": F.xxhash64(F.col("row.text")), "k2": F.xxhash64(F.col("row.text"), F.lit("second"))})
+    part_of = F.pmod(F.xxhash64("row.doc_id"), ways).cast("int")
+    source = source.join(F.broadcast(crowd), same, "left").select("row", "text", "k1", "k2", part_of.alias("way"))
+    gone = gone.join(F.broadcast(crowd), same, "left").select("k1", "k2", F.explode(F.sequence(F.lit(0), ways - 1)).alias("way"), "gone")
+    met = source.join(gone, ["k1", "k2", "way"], "left").select("row", "text", "gone")
+
+    def run(batches):
+        for part in slices(batches, "text"):
+            split, hashes, full, bounds = _hashed(payloads(part), min_chars)
+            drop = np.zeros(len(hashes), bool)
+            for k, found in enumerate(part.column(2).to_pylist()):
+                if found:
+                    mine = slice(bounds[k], bounds[k + 1])
+                    drop[mine] = full[mine] & np.isin(hashes[mine].view(np.int64), np.array(found, np.int64))
+            yield _without(part.column(0), split, drop, bounds)
+
+    return met.mapInArrow(run, _out_schema(met))
 
 
 def drop_common_lines(docs: DataFrame, min_docs: int = 10, min_chars: int = 1) -> DataFrame:

@@ -109,16 +109,17 @@ QUERIES = {
 }
 
 LINES_SQL = r"""
-with l as (select doc_id, u.line, u.pos
-  from documents, unnest(string_split(coalesce(text, ''), chr(10))) with ordinality as u(line, pos)),
-k as (select doc_id, line, pos,
+with d as (select doc_id, text, row_number() over () as r from documents),
+l as (select r, doc_id, coalesce(doc_id::varchar, 'text ' || md5(text)) as document, u.line, u.pos
+  from d, unnest(string_split(coalesce(text, ''), chr(10))) with ordinality as u(line, pos)),
+k as (select r, doc_id, document, line, pos,
   translate(trim(line, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)),
     'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz') as key from l),
-c as (select key from k where key <> '' group by key having count(distinct doc_id) >= 10),
+c as (select key from k where key <> '' group by key having count(distinct document) >= 10),
 m as (select k.*, c.key is not null as gone from k left join c using (key))
-select doc_id, count(*)::bigint as n_lines, count(*) filter (where gone)::bigint as n_dropped,
+select any_value(doc_id) as doc_id, count(*)::bigint as n_lines, count(*) filter (where gone)::bigint as n_dropped,
   sha256(coalesce(string_agg(line, chr(10) order by pos) filter (where not gone), '')) as kept_sha256
-from m group by doc_id
+from m group by r
 """
 
 ORACLES = {

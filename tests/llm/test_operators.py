@@ -560,12 +560,12 @@ def brute_lines(rows, least):
     return out
 
 
-@pytest.mark.parametrize(("pass_bytes", "shard_keys"), [(64 << 20, 32768), (1, 2)])
-def test_lines_equal_brute_force(spark, docs, empty, pass_bytes, shard_keys):
+@pytest.mark.parametrize(("index_bytes", "shard_keys"), [(64 << 20, 32768), (64 << 20, 5), (1, 1 << 17), (1, 2)])
+def test_lines_equal_brute_force(spark, docs, empty, index_bytes, shard_keys):
     texts = [f"Shared Line\n own {k}\n  shared line \r\nÉtat\n{'x' * (k % 3)}\n" for k in range(12)]
     texts += [f"pair {k // 2}\nrest {k}" for k in range(12)] + [None, "", "shared line", "\n\n", "état"] + [t for _, t, *_ in EDGE]
     frame = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id long, text string")
-    kept = line_dedup.kept_lines(frame, min_docs=2, pass_bytes=pass_bytes, shard_keys=shard_keys)
+    kept = line_dedup.kept_lines(frame, min_docs=2, index_bytes=index_bytes, shard_keys=shard_keys)
     got = {r["row"]["doc_id"]: (r["added"]["n_lines"], r["added"]["n_dropped"], r["added"]["kept_text"]) for r in kept.collect()}
     assert [got[k] for k in range(len(texts))] == brute_lines(texts, 2)
     out = line_dedup.drop_common_lines(docs)
@@ -573,6 +573,34 @@ def test_lines_equal_brute_force(spark, docs, empty, pass_bytes, shard_keys):
     assert line_dedup.drop_common_lines(empty).count() == 0
 
 
+@pytest.mark.parametrize("index_bytes", [64 << 20, 0])
+def test_lines_count_documents_not_rows(spark, tmp_path, index_bytes):
+    rows = [(7, f"told twelve times\nrow {k}") for k in range(12)]  # one document on many rows
+    rows += [(100 + k, "told by ten\nelse") for k in range(9)] + [(109, "TOLD by ten  ")]
+    rows += [(None, "no id\ntold by none")] * 15 + [(None, f"nameless {k}\ntold without ids") for k in range(10)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = line_dedup.kept_lines(frame, index_bytes=index_bytes)
+    got = Counter((r["row"]["doc_id"], r["row"]["text"], r["added"]["kept_text"]) for r in kept.collect())
+    gone = {"told by ten", "TOLD by ten  ", "told without ids"}
+    want = Counter((d, t, "\n".join([x for x in t.split("\n") if x not in gone])) for d, t in rows)
+    assert got == want
+    frame.write.parquet(str(tmp_path / "documents.parquet"))
+    con = duckdb.connect()
+    con.execute(f"create view documents as select * from '{tmp_path}/documents.parquet/*.parquet'")
+    twin = con.execute(queries.ORACLES["op10_line_dedup"]).fetchall()
+    digest = lambda x: hashlib.sha256(x.encode()).hexdigest()
+    drops = lambda t: sum(x in gone for x in t.split("\n"))
+    assert Counter(twin) == Counter((d, t.count("\n") + 1, drops(t), digest("\n".join([x for x in t.split("\n") if x not in gone]))) for d, t in rows)
+
+
+def test_line_probe_plans(spark, small):
+    frame = spark.read.parquet(f"{small}/documents.parquet").select("doc_id", "text")
+    plan = lambda size: line_dedup.kept_lines(frame, index_bytes=size)._jdf.queryExecution().executedPlan().toString()
+    here, there = plan(64 << 20), plan(0)
+    assert here.count("MapInArrow") == 1 and "Exchange" not in here
+    assert there.count("MapInArrow") == 2 and "Exchange hashpartitioning(shard" in there
+
+
 # ------------------------------------------------------------------ SQL and pipeline
 
 
