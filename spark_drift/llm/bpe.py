@@ -11,13 +11,15 @@ of one label lead to one state, its *home*, so the automaton stays deterministic
 Written out, such a table has a row for most tokens and a column for each token.
 Instead states are kept copy-on-write: a state knows its parent, the merge at
 which it was copied and the arcs cut since; a token knows its two parts and the
-merge that made it. Whether an arc exists follows from these small tables and is
-entered into a transition table when first asked for.
+merge that made it. Whether an arc exists follows from these small tables.
 
-A pre-split word is encoded by walking the automaton with the longest token first; of
-all sequences that spell a word exactly one is accepted. Where no token can go on, the
-position is marked dead and the walk steps back to a shorter token, so each position is
-given up at most once and work is linear in the word's length times the longest token.
+Words are read byte by byte through a second table, the first one determinised over
+bytes. A row stands for all ways in which the bytes so far may go on: for each place
+where a token may have begun, the state there and how far into the vocabulary's trie its
+bytes lead. Of all token sequences that spell the bytes so far exactly one is accepted;
+its last token is the row's label. A (row, byte) entry is worked out when first met and
+looked up ever after, so a word costs one look-up a byte, and nothing is ever taken
+back: the ids are the labels met, read from the word's end, each token's length back.
 
 Edge cases: null and empty texts have no ids and decode to the empty text; the
 text of the vocabulary's special tokens becomes their id, as the library has it;
@@ -44,9 +46,10 @@ from spark_drift.llm.batches import slices, texts
 
 #: Unicode White_Space, as a character class
 SPACES = "\\t\\n\\x0b\\x0c\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
-#: entries kept by a worker: encoded words, and transitions of the automaton
+#: entries kept by a worker: encoded words, arcs of the automaton, rows of the byte table
 WORD_CACHE = 400_000
-TABLE = 600_000
+ARCS = 400_000
+ROWS = 150_000
 
 
 def default_vocabulary() -> str:
@@ -120,7 +123,7 @@ class MergeAutomaton:
         self.home = [-1] * size  # state behind all arcs with that label
         self.parent, self.copied = [-1], [0]
         self.cuts: dict[tuple[int, int], int] = {}
-        self.table: dict[int, bool] = {}
+        self.arcs: dict[int, bool] = {}
         results = {w for _, _, w in merges}
         if len(results) != len(merges):
             raise ValueError("two merges make the same token")
@@ -145,19 +148,32 @@ class MergeAutomaton:
             self.cuts[target, v] = rank
             if u == v:
                 self.cuts[target, w] = rank
-        self.table.clear()
-        self.vocabulary = {labels[t]: t for t in range(size) if self.home[t] >= 0}
+        self.arcs.clear()
         self.sizes = [len(x) for x in labels]
-        #: longest token that may start with a byte pair, and the longest token inside a token's start
-        self.reach: dict[bytes, int] = {}
-        self.shorter = [-1] * size
-        for label, t in self.vocabulary.items():
-            self.reach[label[:2]] = max(self.reach.get(label[:2], 0), len(label))
-            for k in range(len(label) - 1, 0, -1):
-                inner = self.vocabulary.get(label[:k])
-                if inner is not None:
-                    self.shorter[t] = inner
-                    break
+        #: trie of the labels that arcs carry: (node, byte) -> node, and the token that ends at a node
+        self.trie: dict[int, int] = {}
+        self.ends, self.deeper = [-1], [False]
+        for t in range(size):
+            if self.home[t] < 0:
+                continue
+            node = 0
+            for byte in labels[t]:
+                after = self.trie.get(node << 8 | byte)
+                if after is None:
+                    self.deeper[node] = True
+                    after = self.trie[node << 8 | byte] = len(self.ends)
+                    self.ends.append(-1)
+                    self.deeper.append(False)
+                node = after
+            self.ends[node] = t
+        self.restart(((0, 0),), -1)
+
+    def restart(self, begun: tuple[tuple[int, int], ...], label: int) -> None:
+        """An empty byte table, whose row 0 is the start of a word; row 1 is the row given."""
+        self.rows: list[tuple[tuple[int, int], ...]] = [((0, 0),), begun]
+        self.label = [-1, label]
+        self.known = {self.rows[0]: 0}
+        self.table: dict[int, int] = {}
 
     def _arc(self, state: int, label: int, at: int) -> bool:
         """Is there a ``label`` arc out of ``state`` after merge number ``at``?"""
@@ -176,52 +192,58 @@ class MergeAutomaton:
                 return True
 
     def arc(self, state: int, label: int) -> bool:
-        """The finished automaton's transition, entered in the table on first use."""
+        """The finished automaton's transition."""
         key = state << 24 | label
-        known = self.table.get(key)
+        known = self.arcs.get(key)
         if known is None:
-            if len(self.table) >= TABLE:
-                self.table.clear()
-            known = self.table[key] = self._arc(state, label, 1 << 60)
+            if len(self.arcs) >= ARCS:
+                self.arcs.clear()
+            known = self.arcs[key] = self._arc(state, label, 1 << 60)
         return known
 
-    def _longest(self, word: bytes, at: int) -> int:
-        """The longest token that starts at a position, -1 if none does."""
-        get = self.vocabulary.get
-        for e in range(min(len(word), at + max(1, self.reach.get(word[at : at + 2], 1))), at, -1):
-            t = get(word[at:e])
-            if t is not None:
-                return t
-        return -1
+    def _enter(self, row: int, byte: int) -> int:
+        """Works out one entry of the byte table."""
+        if len(self.rows) >= ROWS:
+            self.restart(self.rows[row], self.label[row])
+            row = 1
+        begun, label = [], -1
+        for state, node in self.rows[row]:
+            node = self.trie.get(node << 8 | byte)
+            if node is None:
+                continue
+            token = self.ends[node]
+            if token >= 0 and self.arc(state, token):
+                label = token
+            if self.deeper[node]:
+                begun.append((state, node))
+        if label < 0:
+            raise ValueError("the vocabulary cannot spell this word")
+        begun.append((self.home[label], 0))
+        key = (*begun, (-1, label))
+        after = self.known.get(key)
+        if after is None:
+            after = self.known[key] = len(self.rows)
+            self.rows.append(tuple(begun))
+            self.label.append(label)
+        self.table[row << 8 | byte] = after
+        return after
 
     def encode(self, word: bytes) -> list[int]:
-        n = len(word)
-        whole = self.vocabulary.get(word)
-        if whole is not None and self.arc(0, whole):
-            return [whole]
-        home, sizes, shorter, known = self.home, self.sizes, self.shorter, self.table.get
-        out: list[int] = []
-        dead: set[int] = set()
-        at, state = 0, 0
-        token = self._longest(word, 0)
-        while at < n:
-            end = at + sizes[token]
-            if token >= 0 and end not in dead:
-                goes = known(state << 24 | token)
-                if self.arc(state, token) if goes is None else goes:
-                    out.append(token)
-                    at, state = end, home[token]
-                    token = self._longest(word, at) if at < n else -1
-                    continue
-            token = shorter[token] if token >= 0 else -1
-            while token < 0:
-                if not out:
-                    raise ValueError("the vocabulary cannot spell this word")
-                dead.add(at)
-                last = out.pop()
-                at -= sizes[last]
-                state = home[out[-1]] if out else 0
-                token = shorter[last]
+        labels = []
+        row, look = 0, self.table.get
+        for byte in word:
+            after = look(row << 8 | byte)
+            if after is None:
+                after = self._enter(row, byte)
+                look = self.table.get
+            row = after
+            labels.append(self.label[row])
+        out, at, sizes = [], len(word), self.sizes
+        while at:
+            token = labels[at - 1]
+            out.append(token)
+            at -= sizes[token]
+        out.reverse()
         return out
 
 
@@ -275,22 +297,47 @@ class Codec:
         return b"".join(map(labels.__getitem__, np.frombuffer(ids, "<u4").tolist())).decode("utf-8", "replace")
 
 
+#: settings of a vocabulary file that this encoder honours, and the values it knows (None: not set)
+KNOWN = {
+    "model": {
+        "type": ("BPE",), "dropout": (None,), "unk_token": (None,), "continuing_subword_prefix": (None, ""), "end_of_word_suffix": (None, ""),
+        "fuse_unk": (None, False), "byte_fallback": (None, False), "ignore_merges": (None, False),
+    },
+    "pre_tokenizer": {"type": ("ByteLevel",), "add_prefix_space": (False,), "use_regex": (None, True)},
+    "added": {"single_word": (None, False), "lstrip": (None, False), "rstrip": (None, False)},
+}
+
+
+def refuse_others(spec: dict) -> None:
+    """Raises for a file whose settings would give other ids than this encoder's."""
+    if spec.get("normalizer") is not None:
+        raise ValueError("vocabulary file: normalizers are not supported")
+    parts = [("model", spec["model"]), ("pre_tokenizer", spec.get("pre_tokenizer") or {})]
+    parts += [("added", x) for x in spec.get("added_tokens", [])]
+    for part, settings in parts:
+        for name, values in KNOWN[part].items():
+            if settings.get(name) not in values:
+                raise ValueError(f"vocabulary file: {part} has {name} = {settings.get(name)!r}; supported: {values}")
+
+
 @lru_cache(4)
 def compile_vocabulary(path: str) -> Codec:
-    """The codec of a byte-level vocabulary file (tokenizers' JSON)."""
+    """The codec of a byte-level vocabulary file (tokenizers' JSON); other kinds are refused."""
     with open(path, encoding="utf-8") as f:
         spec = json.load(f)
+    refuse_others(spec)
     model, alphabet = spec["model"], byte_alphabet()
     special = {x["content"]: x["id"] for x in spec.get("added_tokens", [])}
     ids = model["vocab"]
     labels = [b""] * (max([*ids.values(), *special.values()]) + 1)
     for text, t in ids.items():
         labels[t] = bytes(alphabet[c] for c in text)
-    for text, t in special.items():
-        labels[t] = text.encode()
     pairs = [m.split(" ") if isinstance(m, str) else m for m in model["merges"]]
     merges = [(ids[a], ids[b], ids[a + b]) for a, b in pairs]
-    return Codec(MergeAutomaton(labels, merges), split_pattern(), special)
+    automaton = MergeAutomaton(labels, merges)
+    for text, t in special.items():
+        automaton.labels[t] = text.encode()
+    return Codec(automaton, split_pattern(), special)
 
 
 ENCODED = "n_tokens long, ids array<int>, ids_sha256 string, decoded_sha256 string"

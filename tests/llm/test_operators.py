@@ -436,6 +436,47 @@ def test_automaton_equals_rewriting():
             assert automaton.encode(word) == tokens
 
 
+def test_words_walk_the_byte_table(library, monkeypatch):
+    automaton = bpe.compile_vocabulary(bpe.default_vocabulary()).automaton
+    words = [w.encode() for w in " believable| undoing|internationalisation|aaaaaaaaaaaaa| 中文é|<|endoftext|>|xqzjk".split("|")]
+    first = [automaton.encode(w) for w in words]
+    for w, ids in zip(words, first, strict=True):
+        row = 0
+        for k, byte in enumerate(w):  # the label of each row is the last token of the bytes so far
+            row = automaton.table[row << 8 | byte]
+            assert automaton.label[row] == library.encode(w[: k + 1].decode(errors="ignore"), add_special_tokens=False).ids[-1] or not w[: k + 1].isascii()
+        assert automaton.label[row] == ids[-1]
+    monkeypatch.setattr(automaton, "_enter", lambda *a: pytest.fail("a known word asked for a new entry"))
+    monkeypatch.setattr(automaton, "_arc", lambda *a: pytest.fail("a known word asked for an arc"))
+    assert [automaton.encode(w) for w in words] == first
+
+
+@pytest.mark.parametrize("rows", [2, 3, 50])
+def test_byte_table_starts_anew_inside_a_word(library, monkeypatch, rows):
+    automaton = bpe.compile_vocabulary(bpe.default_vocabulary()).automaton
+    word = "".join(random.Random(3).choices("abcdefghijklmnopqrstuvwxyz", k=900))
+    monkeypatch.setattr(bpe, "ROWS", rows)
+    assert automaton.encode(word.encode()) == library.encode(word, add_special_tokens=False).ids
+    assert len(automaton.rows) <= rows + 2
+    automaton.restart(((0, 0),), -1)
+
+
+def test_other_vocabulary_files_are_refused():
+    import json
+
+    import public_tokenizers
+
+    spec = json.loads(open(bpe.default_vocabulary(), encoding="utf-8").read())
+    bpe.refuse_others(spec)
+    with pytest.raises(ValueError, match="normalizers"):
+        bpe.compile_vocabulary(public_tokenizers.path("word_bpe_49k.json"))
+    for part, name, value in [("model", "ignore_merges", True), ("model", "end_of_word_suffix", "</w>"), ("pre_tokenizer", "add_prefix_space", True)]:
+        with pytest.raises(ValueError, match=name):
+            bpe.refuse_others(spec | {part: spec[part] | {name: value}})
+    with pytest.raises(ValueError, match="lstrip"):
+        bpe.refuse_others(spec | {"added_tokens": [spec["added_tokens"][0] | {"lstrip": True}]})
+
+
 def test_encode_documents(spark, docs, empty, library):
     rows = bpe.encode_documents(docs, ["doc_id"]).collect()
     assert len(rows) == len(EDGE)
