@@ -1,30 +1,38 @@
 """Mixing sources to target weights by entropy balancing, with DataFrame operations only.
 
-Documents get rates ``exp(eta)`` that meet token constraints while staying as near
-to 1 as these allow (least relative entropy over tokens). The convex dual has one
-variable per constrained group; ``eta`` is the sum of the variables of a
-document's groups. Its gradient in a group is the tilted token mass less the
-target, its curvature the tilted mass, so a Newton step is ``(target - mass) / mass``.
-With one margin (sources) the Hessian is diagonal and each source's iteration runs
-in its own row; with several margins, blocks take turns over the table of margin
-cells. Documents enter only through sums by cell, so iterations never scan them.
+Documents get rates that meet token constraints while staying as near to 1 as these
+allow (least relative entropy over tokens, no rate above ``cap``). The convex dual has one
+variable per constrained group; with ``eta`` the sum of the variables of a document's
+groups, its rate is ``min(cap, exp(eta))``: the cap is part of the dual, which goes on
+linearly beyond it. The gradient in a group is the tilted token mass less the target, the
+curvature between two groups the tilted mass that they share below the cap. Newton
+steps, never longer than 1 and cut back until the dual falls, run until the largest
+relative miss of a target is below ``tol``. Documents enter through sums by
+cell (a combination of groups) only, so rounds never scan them. With one margin, as for sources,
+the Hessian is diagonal and the rounds stay in the rows of the groups; with several, the
+sums of all pairs of groups, of a checked number, give the linear system of a step.
 
 Rounding. Rates become whole copies cell by cell, a cell being the documents of one
 source and one size, ordered by falling size: the cumulated count times the rate is
 rounded and differenced, which keeps the token error below about one document. Four
 correction rounds then add or take single copies of the largest sizes that still
-fit the remaining error. Inside a cell the first documents by a digest of the id
-get the extra copy. Ranks come from counts by 256 digest prefixes plus ranks within
-a prefix, so a cell that holds a third of all rows is never sorted in one task.
+fit the remaining error. Inside a cell the first documents by a digest of id and text
+get the extra copy. Ranks come from counts by digest prefixes plus ranks within
+a prefix; there are as many prefixes as keep a prefix's rows of one cell few, so a cell that
+holds a third of all rows, or an id that many rows share, is never sorted in one task.
 
 Edge cases: null text has size 0 and is never worth tokens; a null source is a
 source of its own, last in order; a source without words has target 0; repeated
-rows are separate documents; an empty table gives an empty result; other columns are ignored or, in
+rows are separate documents; an empty table gives an empty result; targets that no rates meet end at
+the nearest capped ones; other columns are ignored or, in
 ``mixed_documents``, repeated with their rows.
 """
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -32,7 +40,6 @@ from spark_drift.plans.lineage import cut
 
 WORD = "[^\\x20\\x09-\\x0D]+"
 CAP = 3
-NEWTON_ROUNDS = 40
 CORRECTIONS = 4
 
 
@@ -41,8 +48,9 @@ def words_in(text: Column) -> Column:
 
 
 def sized(docs: DataFrame, carry: bool = False) -> DataFrame:
-    """``doc_id, source, size, digest`` and, with ``carry``, the whole ``row`` and a tie-break."""
-    digest = F.conv(F.substring(F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), 1, 15), 16, 10)
+    """``doc_id, source, size, digest`` and, with ``carry``, the whole ``row``."""
+    name = F.concat(F.coalesce(F.col("doc_id").cast("string"), F.lit("")), F.lit(":"), F.md5(F.coalesce(F.col("text"), F.lit("")).cast("binary")))
+    digest = F.conv(F.substring(F.md5(name.cast("binary")), 1, 15), 16, 10)
     columns = [
         F.col("doc_id").cast("long").alias("doc_id"),
         F.col("source").cast("string").alias("source"),
@@ -50,7 +58,7 @@ def sized(docs: DataFrame, carry: bool = False) -> DataFrame:
         digest.cast("long").alias("digest"),
     ]
     if carry:
-        columns += [F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.xxhash64("text").alias("tie")]
+        columns.append(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     return docs.select(*columns)
 
 
@@ -79,44 +87,139 @@ def source_targets(cells: DataFrame, cap: int = CAP, weights: int = 3) -> DataFr
     return by.select("source", "source_size", F.coalesce(target, F.lit(0.0)).alias("target"))
 
 
-def newton_rate(size: Column, target: Column, cap: int = CAP, rounds: int = NEWTON_ROUNDS) -> Column:
-    """Rate of a group whose dual variable is independent of the others."""
-    mass = lambda eta: size.cast("double") * F.exp(eta)
-    step = lambda eta: F.greatest(F.lit(-1.0), F.least(F.lit(1.0), (target - mass(eta)) / mass(eta)))
-    eta = F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), F.lit(0.0), lambda acc, _: acc + step(acc))
-    rate = F.when((size > 0) & (target > 0), F.exp(eta)).otherwise(F.lit(0.0))
-    return F.least(F.lit(float(cap)), F.round(rate, 12))
+# ------------------------------------------------------------- entropy balancing
+
+#: Newton rounds of one margin per job, between two measurements
+INNER = 8
 
 
-def balance(docs: DataFrame, size: str, margins: dict[str, DataFrame], rounds: int = 12, cap: float = CAP) -> DataFrame:
-    """Rates for several token constraints at once.
+def balance(
+    docs: DataFrame, size: str, margins: dict[str, DataFrame], cap: float = CAP, tol: float = 1e-12, rounds: int = 100, most: int = 512
+) -> DataFrame:
+    """Rates that meet token constraints: one row per cell with its ``tokens, rate, gap``.
 
-    ``margins``: column -> ``(column, target)``. Returns one row per cell of the
-    margin columns with its ``tokens`` and ``rate``. Block Newton rounds over cells;
-    infeasible targets end at the nearest capped rates.
+    ``margins``: column -> ``(column, target)``; groups without a target are free. A cell is a
+    combination of the margin columns. ``gap``: the largest relative miss of a target
+    at the end, above ``tol`` only if the targets cannot be met. With several margins at
+    most ``most`` groups are allowed in all.
     """
     names = list(margins)
-    cells = cut(docs.groupBy(*names).agg(F.sum(size).cast("double").alias("tokens")).withColumn("eta", F.lit(0.0)))
+    cells = cut(docs.groupBy(*names).agg(F.sum(size).cast("double").alias("tokens")))
+    if len(names) == 1:
+        return _one_margin(cells, names[0], margins[names[0]], float(cap), tol, rounds)
+    return _several(cells, names, margins, float(cap), tol, rounds, most)
+
+
+def _tilt(eta: Column, cap: float) -> Column:
+    return F.least(F.lit(cap), F.exp(eta))
+
+
+def _missed(target: Column, mass: Column) -> Column:
+    return F.abs(target - mass) / F.greatest(target, F.lit(1.0))
+
+
+def _one_margin(cells: DataFrame, name: str, targets: DataFrame, cap: float, tol: float, rounds: int) -> DataFrame:
+    """Each group's variable iterates in the group's own row."""
+    want = targets.select(F.col(name).alias("key"), F.col("target").cast("double").alias("want"))
+    state = cells.join(want, F.col(name).eqNullSafe(F.col("key")), "left")
+    reachable = F.least(F.coalesce("want", "tokens"), F.col("tokens") * cap)
+    state = cut(state.select(name, "tokens", reachable.alias("target"), F.coalesce("want", "tokens").alias("want"), F.lit(0.0).alias("eta")))
+
+    def step(eta: Column) -> Column:
+        mass = F.col("tokens") * _tilt(eta, cap)
+        curve = F.when(eta < math.log(cap), mass)
+        newton = F.coalesce(F.try_divide(F.col("target") - mass, curve), F.signum(F.col("target") - mass))
+        return eta + F.greatest(F.lit(-1.0), F.least(F.lit(1.0), newton))
+
+    settled = F.col("target") <= 0  # no tokens wanted: the rate's limit is 0
+    mass = F.when(settled, 0.0).otherwise(F.col("tokens") * _tilt(F.col("eta"), cap))
+    for _ in range(-(-rounds // INNER)):
+        if (state.agg(F.max(_missed(F.col("target"), mass))).first()[0] or 0.0) <= tol:
+            break
+        eta = F.aggregate(F.sequence(F.lit(1), F.lit(INNER)), F.col("eta"), lambda acc, _: step(acc))
+        state = cut(state.withColumn("eta", F.when(settled, F.col("eta")).otherwise(eta)))
+    rate = F.when(settled, 0.0).otherwise(_tilt(F.col("eta"), cap))
+    gap = state.agg(F.coalesce(F.max(_missed(F.col("want"), mass)), F.lit(0.0))).first()[0]
+    return state.select(name, "tokens", rate.alias("rate"), F.lit(float(gap)).alias("gap"))
+
+
+def _several(cells: DataFrame, names: list[str], margins: dict[str, DataFrame], cap: float, tol: float, rounds: int, most: int) -> DataFrame:
+    """Newton steps over all groups of all margins together."""
+    spark = cells.sparkSession
+    found = {m: margins[m].select(m, F.col("target").cast("double").alias("target")).limit(most + 1).collect() for m in names}
+    groups = [(m, r[0]) for m in names for r in found[m]]
+    if len(groups) > most:
+        raise ValueError(f"{len(groups)} constrained groups; several margins allow {most}")
+    place = {g: k for k, g in enumerate(groups)}
+    want = np.array([r[1] for m in names for r in found[m]])
+
+    def tilted(eta: np.ndarray) -> DataFrame:
+        out = cells.withColumn("eta", F.lit(0.0))
+        for m in names:
+            rows = [(key, float(eta[k])) for (own, key), k in place.items() if own == m]
+            table = spark.createDataFrame(rows, f"key {cells.schema[m].dataType.simpleString()}, add double")
+            out = out.join(F.broadcast(table), F.col(m).eqNullSafe(F.col("key")), "left")
+            out = out.withColumn("eta", F.col("eta") + F.coalesce("add", F.lit(0.0))).drop("key", "add")
+        return out
+
+    def measured(eta: np.ndarray):
+        """Masses, curvature and the dual's value: one aggregate per pair of margins."""
+        top = math.log(cap)
+        rows = tilted(eta)
+        mass = F.col("tokens") * _tilt(F.col("eta"), cap)
+        curve = F.when(F.col("eta") < top, mass).otherwise(0.0)
+        value = F.when(F.col("eta") <= top, mass).otherwise(F.col("tokens") * cap * (1 + F.col("eta") - top))
+        masses, hessian, total = np.zeros(len(groups)), np.zeros((len(groups), len(groups))), 0.0
+        for i, a in enumerate(names):
+            for b in names[i + 1 :]:
+                pairs = rows.groupBy(a, b).agg(F.sum(mass).alias("m"), F.sum(curve).alias("w"), F.sum(value).alias("v")).collect()
+                for r in pairs:
+                    g, h = place.get((a, r[0])), place.get((b, r[1]))
+                    if g is not None and h is not None:
+                        hessian[g, h] += r["w"]
+                        hessian[h, g] += r["w"]
+                    first = (i, b) == (0, names[1])
+                    total += r["v"] if first else 0.0
+                    # each margin's own sums are taken from one pair it is in
+                    if g is not None and b == names[-1]:
+                        masses[g] += r["m"]
+                        hessian[g, g] += r["w"]
+                    if h is not None and i == 0 and b == names[-1]:
+                        masses[h] += r["m"]
+                        hessian[h, h] += r["w"]
+        return masses, hessian, total - float(eta @ want)
+
+    eta = np.zeros(len(groups))
+    masses, hessian, value = measured(eta)
+    missed = lambda m: float((np.abs(want - m) / np.maximum(want, 1.0)).max(initial=0.0))
     for _ in range(rounds):
-        for name in names:
-            rate = F.least(F.lit(float(cap)), F.exp("eta"))
-            mass = cells.groupBy(name).agg(F.sum(F.col("tokens") * rate).alias("mass")).alias("m")
-            want = margins[name].select(F.col(name).alias("key"), "target")
-            move = F.try_divide(F.col("target") - F.col("mass"), F.col("mass"))
-            move = F.greatest(F.lit(-1.0), F.least(F.lit(1.0), F.coalesce(move, F.lit(0.0))))
-            steps = mass.join(want, F.col(name).eqNullSafe(F.col("key"))).select("key", move.alias("move"))
-            cells = cells.join(steps, F.col(name).eqNullSafe(F.col("key")), "left").select(
-                *names, "tokens", (F.col("eta") + F.coalesce("move", F.lit(0.0))).alias("eta")
-            )
-        cells = cut(cells)
-    return cells.select(*names, "tokens", F.least(F.lit(float(cap)), F.exp("eta")).alias("rate"))
+        if missed(masses) <= tol:
+            break
+        # margins share their total, so the system is singular; the least solution serves
+        way = np.linalg.lstsq(hessian, want - masses, rcond=1e-12)[0]
+        way /= max(1.0, float(np.abs(way).max()))
+        slope, share = float((masses - want) @ way), 1.0
+        while share > 1e-6:
+            trial = measured(eta + share * way)
+            if trial[2] <= value + 1e-4 * share * slope + 1e-12 * abs(value):
+                break
+            share /= 2
+        else:
+            break
+        eta = eta + share * way
+        if trial[2] >= value and missed(trial[0]) >= missed(masses):
+            masses, hessian, value = trial
+            break
+        masses, hessian, value = trial
+    return tilted(eta).select(*names, "tokens", _tilt(F.col("eta"), cap).alias("rate"), F.lit(missed(masses)).alias("gap"))
 
 
 def cell_copies(cells: DataFrame, targets: DataFrame, cap: int = CAP) -> DataFrame:
     """``source, size, n, copies`` (copies of a cell altogether), source size and target."""
-    t = targets.select(F.col("source").alias("of"), "source_size", "target")
-    rated = t.withColumn("rate", newton_rate(F.col("source_size"), F.col("target"), cap))
-    c = cells.join(rated, F.col("source").eqNullSafe(F.col("of"))).drop("of")
+    rates = balance(cells.select("source", (F.col("size") * F.col("n")).alias("tokens")), "tokens", {"source": targets}, cap)
+    rates = rates.select(F.col("source").alias("of"), F.round("rate", 12).alias("rate"))
+    t = targets.select(F.col("source").alias("named"), "source_size", "target")
+    c = cells.join(rates, F.col("source").eqNullSafe(F.col("of"))).join(t, F.col("source").eqNullSafe(F.col("named"))).drop("of", "named")
     falling = Window.partitionBy("source").orderBy(F.col("size").desc())
     upto = F.sum("n").over(falling.rowsBetween(Window.unboundedPreceding, 0))
     whole = lambda n: F.floor(n * F.col("rate") + 0.5)
@@ -136,30 +239,34 @@ def cell_copies(cells: DataFrame, targets: DataFrame, cap: int = CAP) -> DataFra
     return c.select("source", "size", "n", "copies", "source_size", "target")
 
 
+#: rows of one cell that a digest prefix holds, about, at most
+PREFIX_ROWS = 50_000
+
+
 def mix(sizes: DataFrame, light: DataFrame | None = None, cap: int = CAP) -> DataFrame:
     """``sizes`` (from ``sized``) with ``source_size, target, copies, taken``.
 
     ``light``: the same rows without the carried ones, where those are costly.
     """
     light = light if light is not None else sizes
-    salt = F.shiftright("digest", 52)
-    counts = cut(light.groupBy("source", "size", salt.alias("salt")).agg(F.count(F.lit(1)).alias("m")))
-    cells = counts.groupBy("source", "size").agg(F.sum("m").alias("n"))
-    planned = cut(cell_copies(cells, source_targets(cells, cap), cap))
-    order = Window.partitionBy("source", "size").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
-    starts = counts.withColumn("start", F.coalesce(F.sum("m").over(order), F.lit(0)))
-    p = planned.select(F.col("source").alias("s2"), F.col("size").alias("z2"), "n", "copies", "source_size", "target")
-    starts = starts.join(p, F.col("source").eqNullSafe(F.col("s2")) & (F.col("size") == F.col("z2"))).select(
-        "s2", "z2", F.col("salt").alias("salt2"), "start", "n", "copies", "source_size", "target"
-    )
-    ties = ["digest", "doc_id", *(["tie"] if "tie" in sizes.columns else [])]
-    ranked = sizes.withColumn("salt", salt)
-    same = F.col("source").eqNullSafe(F.col("s2")) & (F.col("size") == F.col("z2")) & (F.col("salt") == F.col("salt2"))
-    ranked = ranked.join(starts, same)
-    rank = F.row_number().over(Window.partitionBy("source", "size", "salt").orderBy(*ties)) + F.col("start")
+    bits = min(40, max(8, (light.count() // PREFIX_ROWS).bit_length()))
+    # a null source has a name of its own, so that joins and windows share one partitioning
+    keyed = lambda df: df.withColumns({
+        "cell_": F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n")), "salt": F.shiftright("digest", 60 - bits)
+    })
+    keys = ["cell_", "size", "salt"]
+    counts = cut(keyed(light).groupBy(*keys, "source").agg(F.count(F.lit(1)).alias("m")))
+    cells = cut(counts.groupBy("source", "size").agg(F.sum("m").alias("n")))
+    planned = cell_copies(cells, cut(source_targets(cells, cap)), cap)
+    planned = cut(planned.withColumn("cell_", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))).drop("source"))
+    order = Window.partitionBy("cell_", "size").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
+    starts = counts.withColumn("start", F.coalesce(F.sum("m").over(order), F.lit(0))).join(planned, ["cell_", "size"])
+    starts = starts.select(*keys, "start", "n", "copies", "source_size", "target")
+    ranked = keyed(sizes).join(starts, keys)
+    rank = F.row_number().over(Window.partitionBy(*keys).orderBy("digest", "doc_id")) + F.col("start")
     each = F.floor(F.col("copies") / F.col("n")) + F.when(rank <= F.col("copies") % F.col("n"), 1).otherwise(0)
     out = ranked.withColumn("each", each.cast("long"))
-    keep = [c for c in sizes.columns if c not in ("digest", "tie")]
+    keep = [c for c in sizes.columns if c != "digest"]
     return out.select(
         *keep, "source_size", "target", F.col("each").alias("copies"), (F.col("each") * F.col("size")).alias("taken")
     )
@@ -184,7 +291,7 @@ c{k + 1} as (select source, size, n, source_size, target, copies + sign(gap) * g
         )
     return f"""
 with d as (select doc_id, source, coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0)::bigint as size,
-  ('0x' || substr(md5(coalesce(doc_id::varchar, '')), 1, 15))::bigint as digest from {table}),
+  ('0x' || substr(md5(coalesce(doc_id::varchar, '') || ':' || md5(coalesce(text, ''))), 1, 15))::bigint as digest from {table}),
 cells as (select source, size, count(*)::bigint as n from d group by all),
 s1 as (select source, sum(size * n)::bigint as source_size from cells group by source),
 s2 as (select *, (row_number() over (order by source nulls last) - 1) % 3 + 1 as weight from s1),

@@ -511,15 +511,64 @@ def test_mix_meets_targets(spark, docs, empty):
     assert mixed.schema == docs.schema or [f.dataType for f in mixed.schema] == [f.dataType for f in docs.schema]
 
 
-def test_several_margins_balance(spark):
-    rows = [(a, b, 10.0 * (1 + a) * (2 + b)) for a in range(3) for b in range(2)]
-    cells = spark.createDataFrame(rows, "a int, b int, size double")
-    want_a = spark.createDataFrame([(0, 60.0), (1, 90.0), (2, 150.0)], "a int, target double")
-    want_b = spark.createDataFrame([(0, 100.0), (1, 200.0)], "b int, target double")
-    got = mixing.balance(cells, "size", {"a": want_a, "b": want_b}, rounds=5).toPandas()
-    mass = got["tokens"] * got["rate"]
-    assert mass.groupby(got["a"]).sum().tolist() == pytest.approx([60, 90, 150], rel=0.02)
-    assert mass.groupby(got["b"]).sum().tolist() == pytest.approx([100, 200], rel=0.02)
+def dual_form(rows, want_a, want_b, cap):
+    """Rates by plain alternating bisections on the two margins' variables."""
+    a, b = {k: 0.0 for k in want_a}, {k: 0.0 for k in want_b}
+    mass = lambda side, key: sum(n * min(cap, np.exp(a[i] + b[j])) for i, j, n in rows if (i, j)[side] == key)
+    for _ in range(400):
+        for side, table, want in ((0, a, want_a), (1, b, want_b)):
+            for key in table:
+                low, high = -30.0, 30.0
+                for _ in range(80):
+                    table[key] = (low + high) / 2
+                    low, high = (table[key], high) if mass(side, key) < want[key] else (low, table[key])
+    return {(i, j): min(cap, np.exp(a[i] + b[j])) for i, j, _ in rows}
+
+
+def test_balance_solves_the_dual_with_its_cap(spark):
+    rows = [(i, j, 10.0 * (1 + i) * (2 + j)) for i in range(3) for j in range(2)]
+    cells = spark.createDataFrame([r for r in rows for _ in range(2)], "a int, b int, size double")
+    want_a, want_b = {0: 250.0, 1: 130.0, 2: 150.0}, {0: 130.0, 1: 400.0}
+    frame = lambda name, want: spark.createDataFrame(list(want.items()), f"{name} int, target double")
+    got = mixing.balance(cells, "size", {"a": frame("a", want_a), "b": frame("b", want_b)}, cap=3).collect()
+    assert max(r["gap"] for r in got) <= 1e-9
+    rate = {(r["a"], r["b"]): r["rate"] for r in got}
+    want = dual_form([(i, j, 2 * n) for i, j, n in rows], want_a, want_b, 3)
+    assert rate == pytest.approx(want, abs=1e-6)
+    assert max(rate.values()) == 3.0 and min(rate.values()) < 1  # the cap binds, inside the dual
+    for k, t in want_a.items():
+        assert sum(r["tokens"] * r["rate"] for r in got if r["a"] == k) == pytest.approx(t, rel=1e-9)
+        size = sum(r["tokens"] for r in got if r["a"] == k)
+        assert len({round(r["rate"], 6) for r in got if r["a"] == k}) > 1 and size  # no quotient of sums
+    with pytest.raises(ValueError, match="constrained groups"):
+        mixing.balance(cells, "size", {"a": frame("a", want_a), "b": frame("b", want_b)}, most=4)
+    far = mixing.balance(cells, "size", {"a": frame("a", {0: 1e6, 1: 130.0, 2: 150.0}), "b": frame("b", want_b)}, rounds=30).first()
+    assert far["gap"] > 0.1  # no rates meet these
+
+
+def test_balance_of_one_margin_iterates(spark, monkeypatch):
+    rows = [("x", 100.0), ("y", 40.0), (None, 10.0), ("free", 5.0), ("none", 8.0), ("full", 4.0), ("over", 4.0)]
+    cells = spark.createDataFrame(rows, "s string, size double")
+    goal = {"x": 250.0, "y": 1e-3, None: 11.0, "none": 0.0, "full": 12.0, "over": 99.0}
+    want = spark.createDataFrame(list(goal.items()), "s string, target double")
+    got = {r["s"]: r for r in mixing.balance(cells, "size", {"s": want}).collect()}
+    plain = {"x": 2.5, "y": 2.5e-5, None: 1.1, "free": 1.0, "none": 0.0, "full": 3.0, "over": 3.0}
+    assert {k: r["rate"] for k, r in got.items()} == pytest.approx(plain, rel=1e-11)
+    assert got["x"]["gap"] == pytest.approx((99 - 12) / 99)
+    # one Newton round from 1 is a tangent's step, not the quotient
+    monkeypatch.setattr(mixing, "INNER", 1)
+    short = {r["s"]: r["rate"] for r in mixing.balance(cells, "size", {"s": want}, rounds=1).collect()}
+    assert short[None] == pytest.approx(np.exp(0.1)) and short["x"] == pytest.approx(np.e)
+
+
+def test_one_id_on_many_rows_spreads_over_prefixes(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "PREFIX_ROWS", 1)
+    rows = [(7 if k % 3 else None, f"w w w {k}", None, "a", 0) for k in range(600)]
+    sizes = mixing.sized(spark.createDataFrame(rows, DOCS))
+    spread = sizes.groupBy("source", "size", F.shiftright("digest", 50)).count().agg(F.max("count")).first()[0]
+    assert spread < 12
+    out = mixing.mix(sizes)
+    assert out.count() == 600 and out.agg(F.sum("taken")).first()[0] == 2400
 
 
 def test_mixing_stays_native(spark, small):
