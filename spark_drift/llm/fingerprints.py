@@ -12,25 +12,27 @@ covers. The containment of A in B is the weight of A's digests that B has too, a
 share of all A's weight; the empty text is contained in the empty text alone.
 
 Neighbours. The next document in falling ``doc_id`` order is found with one exchange
-of the texts: rows go to buckets between quantiles of the id, each bucket also gets
-the head of the bucket below it as a ghost, and a task walks its sorted bucket.
+of the texts: rows go to buckets between quantiles of the id, of which there are enough for
+buckets of some thousand rows; an id that fills several quantiles is split by its texts' digests. Each
+bucket also gets the head of the bucket that follows it as a ghost, one row whatever its
+repeats, and a task walks its sorted buckets.
 
 Edge cases: null text is empty; texts of any length are taken whole; a null
-``doc_id`` comes last; equal ids are ordered by text; a table of one row is followed
-by itself; an empty table gives an empty result; other columns are ignored.
+``doc_id`` comes last; equal ids are ordered by a digest of the text; repeated rows follow each other;
+a table of one row is followed by itself; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spark_drift.functions.expressions import place
 from spark_drift.llm.batches import slices
 from spark_drift.plans.lineage import shuffle_partitions
 
@@ -130,39 +132,74 @@ def spliced(text: str, following: str) -> str:
 # --------------------------------------------------------------- neighbours
 
 FIRST = -(1 << 63)
+#: rows of a bucket, about, and the most buckets (their bounds travel with the plan)
+BUCKET_ROWS, MOST_BUCKETS = 4096, 1 << 16
+#: parts that one id may be split into
+_PARTS = 1 << 20
+
+
+def _numbers(values: list[int], kind: str) -> Column:
+    """An array literal, folded when planned."""
+    return F.split(F.lit(",".join(map(str, values))), ",").cast(f"array<{kind}>") if values else F.lit([]).cast(f"array<{kind}>")
+
+
+def _bucketed(keyed: DataFrame, found: list[int]) -> DataFrame:
+    """``keyed`` with ``bucket``; ``found``: quantiles of the key, which repeat for a crowded one.
+
+    Rows whose key is such a bound come after the other rows of its bucket and are split into
+    as many parts, by ``tie``, as it has repeats."""
+    bounds = sorted(set(found))
+    times = Counter(found)
+    at = place_in(_numbers(bounds, "long"), len(bounds), F.col("key"))
+    repeats = F.get(_numbers([0, *[times[b] if times[b] > 1 else 0 for b in bounds]], "int"), F.col("at_"))
+    own = F.coalesce(F.get(_numbers(bounds, "long"), F.col("at_") - 1) == F.col("key"), F.lit(False)) & (repeats > 0)
+    part = F.when(own, 1 + F.least(F.floor(F.col("tie") / float(1 << 63) * repeats), repeats - 1)).otherwise(0)
+    return keyed.withColumn("at_", at).withColumn("bucket", F.col("at_").cast("long") * _PARTS + part).drop("at_")
+
+
+def place_in(bounds: Column, count: int, key: Column) -> Column:
+    """How many of ``count`` sorted bounds lie at or below ``key``, by binary search."""
+    if not count:
+        return F.lit(0)
+    steps = [1 << k for k in reversed(range(count.bit_length()))]
+    fits = lambda at: (at <= count) & (F.get(bounds, at - 1) <= key)
+    return F.aggregate(F.lit(steps), F.lit(0), lambda low, step: F.when(fits(low + step), low + step).otherwise(low))
 
 
 def with_next(docs: DataFrame, buckets: int | None = None) -> DataFrame:
     """Rows ``bucket, key, ghost, doc_id, text``, dealt and sorted so that each row is
     followed by the next document of its bucket; a ghost closes each bucket."""
     parts = shuffle_partitions(docs.sparkSession)
-    buckets = buckets or 4 * parts
+    if buckets is None:
+        buckets = min(MOST_BUCKETS, max(4 * parts, -(-docs.count() // BUCKET_ROWS)))
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    ids = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST)).alias("key"))
     keyed = docs.select(
         F.coalesce(F.col("doc_id").cast("long"), F.lit(FIRST)).alias("key"),
+        F.shiftrightunsigned(F.xxhash64(text), 1).alias("tie"),
         F.col("doc_id").cast("long").alias("doc_id"),
-        F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"),
+        text.alias("text"),
     )
     shares = [k / buckets for k in range(1, buckets)]
-    found = keyed.agg(F.percentile_approx("key", shares, 100 * buckets)).first()[0] if shares else []
-    bounds = sorted(set(found or []))
-    dealt = keyed.withColumn("bucket", place(bounds, F.col("key")))
-    # one row per bucket: the largest key, and which bucket it follows
-    heads = keyed.select("key").withColumn("bucket", place(bounds, F.col("key"))).groupBy("bucket").agg(F.max("key").alias("head"))
-    rising = Window.orderBy("bucket")
-    closes = F.coalesce(F.lead("bucket").over(rising), F.min("bucket").over(Window.partitionBy()))
-    heads = heads.select("head", closes.alias("closes"))
-    # at most `buckets` rows, whatever the number of documents
-    joined = dealt.join(F.broadcast(heads), F.col("key") == F.col("head"), "left")
-    places = F.array(
-        F.struct(F.col("bucket").alias("bucket"), F.lit(False).alias("ghost")),
-        F.struct(F.col("closes").alias("bucket"), F.lit(True).alias("ghost")),
-    )
-    both = joined.select("key", "doc_id", "text", F.explode(places).alias("at"))
+    found = ids.agg(F.percentile_approx("key", F.lit(shares), 10 * buckets)).first()[0] if shares else []
+    dealt = _bucketed(keyed, list(found or []))
+    # one row per bucket: its first row in the order of the walk, and the bucket it closes
+    heads = dealt.groupBy("bucket").agg(F.min(F.struct(F.bitwise_not("key").alias("down"), "tie")).alias("head"))
+    number = F.shiftright("bucket", 20)
+    walk = Window.orderBy(number.desc(), F.col("bucket") % _PARTS)
+    last = walk.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)
+    closes = F.coalesce(F.lag("bucket").over(walk), F.last("bucket").over(last))
+    heads = heads.select(F.bitwise_not("head.down").alias("head_key"), F.col("head.tie").alias("head_tie"), closes.alias("closes"))
+    # at most two heads per quantile; of a head's repeats one row becomes the ghost
+    same = (F.col("key") == F.col("head_key")) & (F.col("tie") == F.col("head_tie"))
+    ghosts = dealt.join(F.broadcast(heads), same).groupBy(F.col("closes").alias("bucket"), "key", "tie").agg(F.first("text").alias("text"))
+    rows = dealt.select("bucket", "key", F.lit(False).alias("ghost"), "doc_id", "text", "tie")
+    ghosts = ghosts.select("bucket", "key", F.lit(True).alias("ghost"), F.lit(None).cast("long").alias("doc_id"), "text", "tie")
     return (
-        both.where("at.bucket is not null")
-        .select("at.bucket", "key", "at.ghost", "doc_id", "text")
-        .repartition(parts, "bucket")
-        .sortWithinPartitions("bucket", "ghost", F.desc("key"), "text")
+        rows.unionByName(ghosts)
+        .repartition(max(parts, buckets // 4), "bucket")
+        .sortWithinPartitions("bucket", "ghost", F.desc("key"), "tie")
+        .drop("tie")
     )
 
 

@@ -6,8 +6,8 @@ machine, with hinge loss and an L2 term, is fitted by dual coordinate descent: e
 visit of a row solves its dual variable exactly and updates the weights of its
 indicators. A logistic curve through the margins turns them into scores.
 
-At most ``limit`` labelled documents, chosen by id digest and none held out, are
-sampled. Scoring reads whole texts of all rows.
+At most ``limit`` labelled documents and ``samples.SAMPLE_BYTES`` of their text, chosen by id
+digest and none held out, are sampled; an id that several rows share is drawn once. Scoring reads whole texts of all rows.
 
 Edge cases: null and empty texts have the bias alone as their margin; without both
 classes every score is the share of class 1; repeated rows repeat; an empty table gives

@@ -3,7 +3,8 @@
 Statistics of a text are computed in one Arrow pass. Two limits are fixed: fewer
 than 10 words, or more than a fifth of the words inside repeated 5-word windows, fail.
 The rest is judged by boosted trees on the statistics, fitted on at most ``limit``
-labelled documents (the ones with the smallest id digests). Shares of symbols,
+labelled documents and ``samples.SAMPLE_BYTES`` of their text (the ones with the smallest id
+digests, each id once). Shares of symbols,
 repeated lines and repeated words are constrained: more of them never raises a
 document's score. The trees are flattened into numpy node arrays, broadcast, and
 score a batch of documents level by level.

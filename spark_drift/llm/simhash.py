@@ -6,9 +6,10 @@ Plan. (1) One Arrow pass turns each text into a 64-bit fingerprint; only
 agree on at least two whole bands, so each band pair is a bucket key and no link
 can be missed. (3) In a bucket, fingerprints are stored as vertical bit planes;
 distances of 64 lanes advance together in carry-save counters, and a block of
-lanes is abandoned once each lane is past the radius. A bucket passes on a
-spanning forest of its links, never all pairs. Buckets above ``chunk`` members
-are split into chunk pairs, so that a hot bucket spreads over many tasks.
+lanes is abandoned once each lane is past the radius. A bucket of more than 16
+members passes on a spanning forest of its links, a smaller one its links, of which it has
+120 at most. Buckets above ``chunk`` members are split into chunk pairs, so that a hot
+bucket spreads over many tasks.
 (4) Links are contracted to components by alternating star rounds, with a
 checkpoint between rounds; neither links nor labels reach the driver.
 

@@ -9,8 +9,8 @@ step goes the other way (the non-negative estimator). Logistic loss, proximal st
 with an L1 threshold, so that most n-grams get no weight at all.
 
 The prior is the share of toxic rows among the labels outside the held-out fold. At
-most ``positives`` and ``unlabelled`` documents, chosen by id digest, are sampled, none of them
-held out. Scoring reads whole texts of all rows.
+most ``positives`` and ``unlabelled`` documents, and ``samples.SAMPLE_BYTES`` of text of each, chosen by
+id digest, are sampled, none of them held out; an id that several rows share is drawn once. Scoring reads whole texts of all rows.
 
 Edge cases: null and empty texts get the score of no indicator at all; without
 confirmed positives every score is the prior's; repeated rows repeat; an empty table
@@ -28,7 +28,7 @@ from pyspark.sql import functions as F
 
 from spark_drift.llm.batches import slices, texts
 from spark_drift.llm.ngrams import SIZE, Rows, feature_rows, stem_indicators
-from spark_drift.llm.samples import drawn, held_out, labelled
+from spark_drift.llm.samples import bounded, drawn, held_out, labelled
 
 PARTS, PART = 5, 0
 
@@ -85,8 +85,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, positives: int = 2000, unla
     confirmed = labelled(docs, labels.where("toxic = 1"), "toxic", positives, PARTS, PART)
     ids = docs.where(F.col("doc_id").isNotNull() & ~held_out(F.col("doc_id"), PARTS, PART))
     ids = drawn(ids.select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), unlabelled, "unlabelled")
-    plain = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    plain = plain.join(F.broadcast(ids), "doc_id").select(F.lit(0).alias("y"), "text")
+    plain = bounded(docs, ids, "unlabelled").select(F.lit(0).alias("y"), "text")
     sample = confirmed.select(F.lit(1).alias("y"), "text").union(plain)
     return fit_pu(Rows(sample.mapInArrow(feature_rows("stems"), "y int, x array<int>").toArrow()), prior)
 

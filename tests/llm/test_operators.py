@@ -26,6 +26,7 @@ from spark_drift.llm import (
     quality_classifier,
     quality_rules,
     queries,
+    samples,
     simhash,
     toxicity,
 )
@@ -214,6 +215,19 @@ def test_trees_respect_directions():
     assert (boosting.fit(x, -y + 1, np.array([1, 1, 1]), trees=5).margin(x[:3]).shape) == (3,)
 
 
+def test_samples_are_bounded_in_rows_and_bytes(spark):
+    rows = [(7, f"version {k} " + "x" * 1000) for k in range(200)] + [(k, "y" * 100) for k in range(10, 60)] + [(99, None), (None, "z")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    marks = spark.createDataFrame([(r, 1) for r in [7, 7, *range(10, 60), 99, None]], "doc_id long, quality int")
+    drawn = samples.labelled(docs, marks, "quality", 1000).collect()
+    assert sorted(r["doc_id"] for r in drawn) == [7, *range(10, 60), 99]  # an id counts once
+    assert samples.labelled(docs, marks, "quality", 1000).where("doc_id = 7").first()["text"] == next(r["text"] for r in drawn if r["doc_id"] == 7)
+    few = samples.labelled(docs, marks, "quality", 1000, most_bytes=1500).collect()
+    assert 1 <= len(few) < 20 and sum(len(r["text"] or "") for r in few) <= 1500
+    assert len(samples.labelled(docs, marks, "quality", 5).collect()) == 5
+    assert samples.labelled(docs.where("false"), marks, "quality", 5).count() == 0
+
+
 # ----------------------------------------------------------------------- 4 toxicity
 
 
@@ -599,21 +613,52 @@ def test_chunks_resist_shifts():
     assert fingerprints.containment({}, {}) == 1 and fingerprints.containment({}, a) == 0
 
 
-@pytest.mark.parametrize("buckets", [1, 3, 8])
+def brute_chunks(text):
+    """Chunk digests and their bytes, byte by byte."""
+    data, out, start, h = text.encode(), {}, 0, 0
+    hashes = []
+    for byte in data:
+        h = ((h << 1) + int(fingerprints.GEAR[byte])) & 0xFFFFFFFF
+        hashes.append(h)
+    while start < len(data):
+        end = min(start + 256, len(data))
+        if len(data) - start > 16:
+            for k in range(start + 16, end + 1):
+                bits = 8 if k - start < 64 else 4
+                if hashes[k - 1] >> (32 - bits) == 0:
+                    end = k
+                    break
+        digest = xxhash.xxh3_64_intdigest(data[start:end]) >> 16
+        out[digest] = out.get(digest, 0) + end - start
+        start = end
+    return out
+
+
+def brute_share(a, b):
+    if not a:
+        return 0.0 if b else 1.0
+    return sum(min(n, b.get(d, 0)) for d, n in a.items()) / sum(a.values())
+
+
+@pytest.mark.parametrize("buckets", [1, 3, 8, None])
 def test_neighbours(spark, docs, empty, buckets, monkeypatch):
     inner = fingerprints.with_next
     monkeypatch.setattr(fingerprints, "with_next", lambda d: inner(d, buckets))
-    rows = [(k * 3, sentence(k, 5 + k), None, None, 0) for k in range(40)] + [(500, None, None, None, 0), (501, "", None, None, 0), (None, "last", None, None, 0)]
+    rows = [(k * 3, sentence(k, 5 + 3 * k) + (" " + sentence(k - 1, 30)) * (k % 3), None, None, 0) for k in range(40)]
+    rows += [(500, None, None, None, 0), (501, "", None, None, 0), (None, "last", None, None, 0)]
     got = {r["doc_id"]: r for r in fingerprints.neighbour_likeness(spark.createDataFrame(rows, DOCS)).collect()}
     order = sorted(rows, key=lambda r: -(r[0] if r[0] is not None else -1))
     for row, after in zip(order, order[1:] + order[:1], strict=True):
         text, nxt = row[1] or "", after[1] or ""
         half = len(text) // 2
         edited = text[: len(text) - half] + nxt[:half]
-        r = got[row[0]]
+        r, own, other = got[row[0]], brute_chunks(text), brute_chunks(edited)
         assert r["n_chars"] == len(text)
         assert r["edited_sha256"] == hashlib.sha256(edited.encode()).hexdigest()
-        assert r["near_next"] == fingerprints.containment(fingerprints.chunk_weights(text), fingerprints.chunk_weights(nxt))
+        assert fingerprints.from_text(r["fingerprint"]) == own
+        assert fingerprints.from_text(r["edited_fingerprint"]) == other
+        assert r["near_edited"] == pytest.approx(brute_share(own, other), abs=1e-12)
+        assert r["near_next"] == pytest.approx(brute_share(own, brute_chunks(nxt)), abs=1e-12)
     assert fingerprints.neighbour_likeness(docs).count() == len(EDGE)
     assert fingerprints.neighbour_likeness(empty).count() == 0
     one = spark.createDataFrame([(4, "alone here", None, None, 0)], DOCS)
@@ -621,6 +666,26 @@ def test_neighbours(spark, docs, empty, buckets, monkeypatch):
     assert fingerprints.fingerprint_documents(docs, ["doc_id"]).count() == len(EDGE)
 
 
+def test_an_id_on_many_rows_is_split_over_buckets(spark):
+    rows = [(k, f"own {k}", None, None, 0) for k in range(100)]
+    rows += [(50, f"shared id {k}", None, None, 0) for k in range(300)] + [(None, f"no id {k}", None, None, 0) for k in range(200)]
+    rows += [(50, "the same row", None, None, 0)] * 30
+    frame = spark.createDataFrame(rows, DOCS)
+    dealt = fingerprints.with_next(frame, 20)
+    sizes = dealt.groupBy("bucket").agg(F.count_if(~F.col("ghost")).alias("n"), F.count_if("ghost").alias("ghosts")).collect()
+    assert max(r["n"] for r in sizes) < 100 and len(sizes) > 15
+    assert {r["ghosts"] for r in sizes} == {1}  # one ghost a bucket, whatever its repeats
+    got = fingerprints.neighbour_likeness(frame).collect()
+    assert len(got) == len(rows)
+    tie = {t: v for t, v in frame.select("text", F.shiftrightunsigned(F.xxhash64("text"), 1)).collect()}
+    order = sorted(rows, key=lambda r: (-(r[0] if r[0] is not None else -1), tie[r[1]]))
+    want = Counter()
+    for row, after in zip(order, order[1:] + order[:1], strict=True):
+        half = len(row[1]) // 2
+        want[row[0], hashlib.sha256((row[1][: len(row[1]) - half] + after[1][:half]).encode()).hexdigest()] += 1
+    assert Counter((r["doc_id"], r["edited_sha256"]) for r in got) == want
+
+
 # --------------------------------------------------------------------- 10 line dedup
 
 
