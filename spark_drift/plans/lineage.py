@@ -16,8 +16,9 @@ from pyspark.sql import DataFrame, SparkSession
 def ensure_checkpoint_dir(spark: SparkSession) -> str:
     """The folder the cluster names in ``spark.checkpoint.dir``.
 
-    Only where a session names none (unit tests on one machine) is a temporary
-    folder set, which is removed when the process ends.
+    Where a session names none, a local one (unit tests) gets a temporary folder, which is
+    removed when the process ends; on a cluster, whose executors could not read such a folder,
+    the setting is asked for.
     """
     sc = spark.sparkContext
     current = sc.getCheckpointDir()
@@ -25,6 +26,8 @@ def ensure_checkpoint_dir(spark: SparkSession) -> str:
         return current
     named = sc.getConf().get("spark.checkpoint.dir")
     if not named:
+        if not (sc.master == "local" or sc.master.startswith("local[")):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         named = tempfile.mkdtemp(prefix="spark_drift_")
         atexit.register(shutil.rmtree, named, True)
     sc.setCheckpointDir(named)
