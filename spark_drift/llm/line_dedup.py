@@ -48,15 +48,17 @@ _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 ADDED = ("kept_text", "n_lines", "n_dropped")
 
 
-def line_counts(docs: DataFrame, min_chars: int = 1) -> DataFrame:
-    """``(hash, docs)`` of all distinct line keys: how many documents contain each."""
+def line_counts(docs: DataFrame, min_chars: int = 1, per: str = "doc_id") -> DataFrame:
+    """``(hash, docs)`` of all distinct line keys: how many documents contain each, documents
+    being told apart by id or, ``per="text"``, by text, so that exact copies count once."""
     lines = F.split(F.translate("text", _UPPER, _LOWER), "\n")
     keys = F.transform(lines, lambda x: F.btrim(x, F.lit(BLANKS)))
     keys = F.filter(keys, lambda k: F.char_length(k) >= min_chars)
     hashes = F.array_distinct(F.transform(keys, lambda k: F.xxhash64(k)))
     # a row without an id is told from ids by the second number
-    named = F.coalesce(F.col("doc_id").cast("long"), F.xxhash64("text")).alias("of")
-    each = docs.select(named, F.col("doc_id").isNull().alias("nameless"), F.explode(hashes).alias("hash"))
+    by_text = F.lit(True) if per == "text" else F.col("doc_id").isNull()
+    named = F.when(by_text, F.xxhash64("text")).otherwise(F.col("doc_id").cast("long")).alias("of")
+    each = docs.select(named, by_text.alias("nameless"), F.explode(hashes).alias("hash"))
     return each.groupBy("hash").agg(F.count_distinct("of", "nameless").alias("docs"))
 
 
@@ -161,10 +163,10 @@ def build_index(counts: DataFrame, shard_keys: int = 1 << 17) -> DataFrame:
 
 
 def kept_lines(
-    docs: DataFrame, min_docs: int = 10, min_chars: int = 1, index_bytes: int = 64 << 20, shard_keys: int = 1 << 17
+    docs: DataFrame, min_docs: int = 10, min_chars: int = 1, index_bytes: int = 64 << 20, shard_keys: int = 1 << 17, per: str = "doc_id"
 ) -> DataFrame:
     """Columns of ``docs`` (as struct ``row``) plus ``kept_text, n_lines, n_dropped`` (as struct ``added``)."""
-    index = build_index(line_counts(docs, min_chars), shard_keys)
+    index = build_index(line_counts(docs, min_chars, per), shard_keys)
     size = index.agg(F.coalesce(F.sum(F.length("blob")), F.lit(0)), F.coalesce(F.max("shards"), F.lit(1))).first()
     if size[0] <= index_bytes:
         return _probe_here(docs, index, size[1], min_docs, min_chars)
@@ -317,10 +319,10 @@ def _probe_there(docs: DataFrame, index: DataFrame, shards: int, min_docs: int,
     return met.mapInArrow(run, _out_schema(met))
 
 
-def drop_common_lines(docs: DataFrame, min_docs: int = 10, min_chars: int = 1) -> DataFrame:
+def drop_common_lines(docs: DataFrame, min_docs: int = 10, min_chars: int = 1, per: str = "doc_id") -> DataFrame:
     """``docs`` with the common lines taken out of ``text``; ``n_chars``, where the
     table has it, is the new length in code points. Columns and rows stay."""
-    kept = kept_lines(docs, min_docs, min_chars)
+    kept = kept_lines(docs, min_docs, min_chars, per=per)
     out = []
     for c in docs.columns:
         old = F.col(f"row.`{c}`")

@@ -269,7 +269,8 @@ def brute_print(text, k=3):
     return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
 
 
-def brute_components(prints, radius):
+def brute_components(prints, radius, linked=None):
+    linked = linked or (lambda a, b: (a ^ b).bit_count() <= radius)
     ids = list(range(len(prints)))
     root = dict(zip(ids, ids, strict=True))
 
@@ -280,7 +281,7 @@ def brute_components(prints, radius):
 
     for i in ids:
         for j in range(i):
-            if (prints[i] ^ prints[j]).bit_count() <= radius:
+            if linked(prints[i], prints[j]):
                 a, b = find(i), find(j)
                 root[max(a, b)] = min(a, b)
     return [find(i) for i in ids]
@@ -777,9 +778,14 @@ def test_pipeline_equals_stage_by_stage_brute_force(spark, small, library):
     docs = spark.read.parquet(f"{small}/documents.parquet")
     trees = quality_rules.fit_rules(docs, spark.read.parquet(f"{small}/labels.parquet"))
     rows = [r for r in docs.collect() if r["doc_id"] in {k["doc_id"] for k in quality_rules.judge(docs, trees).where("kept").collect()}]
-    texts = dict(zip([r["doc_id"] for r in rows], [t for *_, t in brute_lines([r["text"] for r in rows], 10)], strict=True))
+    different = sorted({r["text"] for r in rows})  # exact copies count once
+    kept_text = dict(zip(different, [t for *_, t in brute_lines(different, 10)], strict=True))
+    texts = {r["doc_id"]: kept_text[r["text"]] for r in rows}
     ids = sorted(texts)
-    comp = brute_components([brute_print(texts[i]) for i in ids], corpus_pipeline.RADIUS)
+    prints = [brute_print(texts[i]) for i in ids]
+    shingles = [{tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set() for w in (split_words(texts[i].lower()) for i in ids)]
+    alike = lambda a, b: len(shingles[a] & shingles[b]) >= 0.8 * len(shingles[a] | shingles[b])
+    comp = brute_components(list(range(len(ids))), 0, lambda a, b: (prints[a] ^ prints[b]).bit_count() <= corpus_pipeline.RADIUS or alike(a, b))
     stay = [i for k, i in enumerate(ids) if comp[k] == k]
     source = {r["doc_id"]: r["source"] for r in rows}
     frame = spark.createDataFrame([(i, texts[i], source[i]) for i in stay], "doc_id long, text string, source string")
@@ -790,15 +796,49 @@ def test_pipeline_equals_stage_by_stage_brute_force(spark, small, library):
         assert list(r.ids) == library.encode(texts[r.doc_id], add_special_tokens=False).ids
 
 
-def test_stages_pass_columns_through(spark, docs, labels, tmp_path):
+def through(spark, frame, home):
     import corpus_pipeline
 
-    plain = docs.where("doc_id is not null")
+    for name, stage in corpus_pipeline.STAGES:
+        stage(spark, frame, str(home)).write.parquet(str(home / name))
+        frame = spark.read.parquet(str(home / name))
+        yield name, frame
+
+
+def test_stages_take_odd_rows_and_extra_columns(spark, docs, labels, tmp_path):
     labels.write.parquet(str(tmp_path / "labels.parquet"))
-    frame = plain
-    for k, (name, stage) in enumerate(corpus_pipeline.STAGES):
-        stage(spark, frame, str(tmp_path)).write.parquet(str(tmp_path / name))
-        frame = spark.read.parquet(str(tmp_path / name))
-        if k < len(corpus_pipeline.STAGES) - 1:
+    got = dict(through(spark, docs, tmp_path))
+    for name, frame in got.items():
+        if name != "encoding":
             assert frame.columns == docs.columns
-    assert isinstance(frame.schema["ids"].dataType, T.ArrayType)
+    ids = lambda name: sorted(str(r["doc_id"]) for r in got[name].collect())
+    assert ids("quality_rules") == sorted(["1", "2", "6", "9"])  # the others have fewer than ten words
+    assert ids("near_dedup") == sorted(["1", "6"]) or ids("near_dedup") == sorted(["1", "6", "9"])
+    assert isinstance(got["encoding"].schema["ids"].dataType, T.ArrayType)
+
+
+def test_stages_take_rows_without_ids(spark, labels, tmp_path):
+    rows = [(None, sentence(k), None, None, None) for k in (1, 1, 2)] + [(5, sentence(3), None, "a", 1)] * 3 + [(6, None, None, "a", 0)]
+    labels.write.parquet(str(tmp_path / "labels.parquet"))
+    got = {name: sorted(str(r["doc_id"]) for r in f.collect()) for name, f in through(spark, spark.createDataFrame(rows, DOCS), tmp_path)}
+    assert got["quality_rules"] == got["line_dedup"] == ["5"] * 3 + ["None"] * 3
+    assert got["near_dedup"] == ["5"] + ["None"] * 3
+    assert set(got["encoding"]) <= {"5", "None"}
+
+
+def test_stages_take_empty_tables(spark, docs, labels, tmp_path):
+    labels.where("false").write.parquet(str(tmp_path / "labels.parquet"))
+    for name, frame in through(spark, docs.where("false"), tmp_path):
+        assert frame.count() == 0, name
+
+
+def test_line_stage_keeps_one_of_many_copies(spark):
+    import corpus_pipeline
+
+    text = "\n".join(sentence(40 + k, 15) for k in range(4))
+    rows = [(k, text, None, "a", 1) for k in range(30)] + [(100 + k, f"shared by many\n{sentence(k, 20)}", None, "a", 1) for k in range(12)]
+    frame = corpus_pipeline.line_dedup_stage(spark, spark.createDataFrame(rows, DOCS), "")
+    kept = {r["doc_id"]: r["text"] for r in frame.collect()}
+    assert all(kept[k] == text for k in range(30)) and all(kept[100 + k] == sentence(k, 20) for k in range(12))
+    once = corpus_pipeline.near_dedup_stage(spark, frame, "").collect()
+    assert sorted(r["doc_id"] for r in once if r["doc_id"] < 100) == [0]
