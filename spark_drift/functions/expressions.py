@@ -30,17 +30,12 @@ def distance(left: list[Column], right: list[Column]) -> Column:
     return F.sqrt(total)
 
 
-def place(bounds: list, key: Column) -> Column:
-    """How many of the sorted ``bounds`` lie at or below ``key``, by binary search."""
-    if not bounds:
-        return F.lit(0)
-    table, steps = F.lit(list(bounds)), []
-    step = 1 << (len(bounds).bit_length() - 1)
-    while step:
-        steps.append(step)
-        step >>= 1
-    fits = lambda at: (at <= len(bounds)) & (F.get(table, at - 1) <= key)
-    return F.aggregate(F.lit(steps), F.lit(0), lambda lo, s: F.when(fits(lo + s), lo + s).otherwise(lo))
+def placed(bounds: Column, key: Column) -> Column:
+    """How many of the sorted ``bounds``, an array column, lie at or below ``key``, by halving."""
+    halves = F.sequence(F.lit(0), F.ceil(F.log2(F.size(bounds) + 1.0)).cast("int"))
+    fits = lambda at: (at <= F.size(bounds)) & (F.get(bounds, at - 1) <= key)
+    steps = F.transform(F.reverse(halves), lambda k: F.pow(F.lit(2.0), k).cast("int"))
+    return F.aggregate(steps, F.lit(0), lambda low, step: F.when(fits(low + step), low + step).otherwise(low))
 
 
 def fixed(column: Column, digits: int = 6) -> Column:

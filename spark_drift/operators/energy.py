@@ -5,11 +5,14 @@ pairs included. Pairs are never materialised: each method ends in partial sums.
 
 * ``pairwise``: a salted equi-join, the norm in generated code, sums above the join.
 * ``blocks``: rows packed into blocks, pairs of blocks multiplied in Arrow tasks; for
-  many dimensions.
+  many dimensions, as columns or as one array column.
 * ``sorted``: exact in one dimension, from counts in value order, bucket by bucket.
 * ``cells``: rows replaced by weighted cell centres, with a certified error.
 * ``sliced``: mean over random directions of the one-dimensional exact method.
-* ``sampled``: pairwise on a deterministic share of each group.
+* ``sampled``: pairwise on a deterministic share of each group, drawn by row id.
+
+Where rows are dealt over shares, the digest is of all columns of the frame given, so a row id among
+them spreads rows with equal features.
 """
 
 from __future__ import annotations
@@ -21,15 +24,21 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spark_drift.functions.expressions import distance, place
+from spark_drift.functions.expressions import distance, hash_unit, placed
+from spark_drift.plans.lineage import cut
 
 TERMS = ("n", "m", "between", "within_ref", "within_cur", "distance")
 
 
-def _named(df: DataFrame, by: list[str], features: list[str], tag: str, weight: str | None) -> DataFrame:
+def _share(df: DataFrame, shares) -> Column:
+    """Which share a row is dealt to, by a digest of all its columns."""
+    return F.pmod(F.xxhash64(*[F.col(f"`{c}`") for c in df.columns]), shares)
+
+
+def _named(df: DataFrame, by: list[str], features: list[str], tag: str, weight: str | None, *more: Column) -> DataFrame:
     columns = [F.col(c).alias(f"{tag}k{i}") for i, c in enumerate(by)]
     columns += [F.col(c).cast("double").alias(f"{tag}f{i}") for i, c in enumerate(features)]
-    return df.select(*columns, (F.col(weight) if weight else F.lit(1.0)).alias(f"{tag}w"))
+    return df.select(*columns, (F.col(weight) if weight else F.lit(1.0)).alias(f"{tag}w"), *more)
 
 
 def pair_sums(
@@ -43,9 +52,8 @@ def pair_sums(
     many tasks and a join without keys stays an equi-join.
     """
     by, also = list(by), list(also)
-    every = [f"xf{i}" for i in range(len(features))]
-    left = _named(x, by, features, "x", weight).withColumn("salt", F.pmod(F.hash(*every), F.lit(salts)))
-    right = _named(y, by + also, features, "y", weight).withColumn("salt2", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    left = _named(x, by, features, "x", weight, _share(x, F.lit(salts)).alias("salt"))
+    right = _named(y, by + also, features, "y", weight).withColumn("salt2", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))))
     on = F.col("salt") == F.col("salt2")
     for i in range(len(by)):
         on &= F.col(f"xk{i}").eqNullSafe(F.col(f"yk{i}"))
@@ -55,32 +63,43 @@ def pair_sums(
 
 
 def block_sums(x: DataFrame, y: DataFrame, features: list[str], by: list[str] = (), rows: int = 1024) -> DataFrame:
-    """As ``pair_sums`` for equal ``by`` keys, by matrix products over blocks of rows."""
+    """As ``pair_sums`` for equal ``by`` keys, by matrix products over blocks of rows.
+
+    ``features``: columns of numbers, or one array column. Each pair of blocks is a key of its
+    own, so pairs spread over all tasks, with or without ``by``.
+    """
     by = list(by)
-    d = len(features)
+    name = [F.col(c).alias(f"k{i}") for i, c in enumerate(by)]
+    keys = [f"k{i}" for i in range(len(by))]
+    array = len(features) == 1 and dict(x.dtypes)[features[0]].startswith("array")
 
     def packed(df: DataFrame, tag: str) -> DataFrame:
-        vector = F.array(*[F.col(c).cast("double") for c in features])
-        size = df.groupBy(*by).agg(F.count(F.lit(1)).alias("n")) if by else df.agg(F.count(F.lit(1)).alias("n"))
-        keyed = df.join(F.broadcast(size) if not by else size, by) if by else df.crossJoin(F.broadcast(size))
-        shares = F.greatest(F.lit(1), F.ceil(F.col("n") / rows))
-        no = F.pmod(F.xxhash64(*features), shares)
-        return keyed.groupBy(*by, no.alias(f"{tag}no")).agg(F.flatten(F.collect_list(vector)).alias(f"{tag}rows"))
+        vector = F.col(features[0]).cast("array<double>") if array else F.array(*[F.col(c).cast("double") for c in features])
+        flat = df.select(*name, vector.alias("v"), F.xxhash64(*[F.col(f"`{c}`") for c in df.columns]).alias("spread"))
+        size = flat.groupBy(*keys).agg(F.count(F.lit(1)).alias("n"))
+        # a group's size is one row per key, without keys one row altogether
+        sized = flat.join(size, keys) if by else flat.crossJoin(F.broadcast(size))
+        shares = F.greatest(F.lit(1).cast("long"), F.ceil(F.col("n") / rows))
+        blocks = sized.withColumn("no", F.pmod("spread", shares)).groupBy(*keys, "no").agg(F.collect_list("v").alias("rows"))
+        return blocks.select(*keys, F.col("no").alias(f"{tag}no"), F.col("rows").alias(f"{tag}rows"))
 
     a, b = packed(x, "x"), packed(y, "y")
-    if by:
-        pairs = a.join(b, by)
-    else:
-        # block lists, not rows: a few per million
-        pairs = a.withColumn("one", F.lit(1)).join(b.withColumn("one", F.lit(1)), "one").drop("one")
-    source = pairs.select(F.struct(*by).alias("key") if by else F.struct(F.lit(0).alias("none")).alias("key"), "xrows", "yrows")
+    others = lambda blocks, no: blocks.groupBy(*keys).agg(F.collect_list(no).alias("others"))
+    meet = lambda one, two: one.join(two, keys) if by else one.crossJoin(F.broadcast(two))
+    left = meet(a, others(b.select(*keys, "yno"), "yno")).select(*keys, "xno", "xrows", F.explode("others").alias("yno"))
+    right = meet(b, others(a.select(*keys, "xno"), "xno")).select(*keys, "yno", "yrows", F.explode("others").alias("xno"))
+    pairs = left.join(right.hint("shuffle_hash"), [*keys, "xno", "yno"])
+    source = pairs.select(F.struct(*keys).alias("key") if by else F.struct(F.lit(0).alias("none")).alias("key"), "xrows", "yrows")
+
+    def matrix(lists) -> np.ndarray:
+        flat = lists.values
+        return flat.flatten().to_numpy().reshape(len(flat), -1)
 
     def run(batches):
         for batch in batches:
             totals = []
             for xs, ys in zip(batch.column(1), batch.column(2), strict=True):
-                p = xs.values.to_numpy().reshape(-1, d)
-                q = ys.values.to_numpy().reshape(-1, d)
+                p, q = matrix(xs), matrix(ys)
                 shift = p[0]
                 p, q = p - shift, q - shift
                 sq = (p * p).sum(1)[:, None] + (q * q).sum(1)[None] - 2 * p @ q.T
@@ -91,7 +110,7 @@ def block_sums(x: DataFrame, y: DataFrame, features: list[str], by: list[str] =
 
     schema = source.select("key", F.lit(0.0).alias("total")).schema
     sums = source.mapInArrow(run, schema)
-    return sums.groupBy(*[F.col(f"key.{c}").alias(c) for c in by]).agg(F.sum("total").alias("total"))
+    return sums.groupBy(*[F.col(f"key.k{i}").alias(c) for i, c in enumerate(by)]).agg(F.sum("total").alias("total"))
 
 
 def _counted(df: DataFrame, by: list[str], name: str, weight: str | None = None) -> DataFrame:
@@ -129,10 +148,8 @@ def energy_distance(
     if method == "sliced":
         return sliced_distance(ref, cur, features, by, **options)
     if method == "sampled":
-        cap, seed = options.get("cap", 2000), options.get("seed", 0)
-        return energy_distance(
-            sampled(ref, features, by, cap, seed), sampled(cur, features, by, cap, seed), features, by, "pairwise", estimator, normalise
-        )
+        draw = lambda df: sampled(df, options["key"], by, options.get("cap", 2000), options.get("seed", 0))
+        return energy_distance(draw(ref), draw(cur), features, by, "pairwise", estimator, normalise)
     weight = None
     if method == "cells":
         cell = options["cell"]
@@ -171,45 +188,61 @@ def _terms(out: DataFrame, by: list[str], estimator: str, normalise: bool) -> Da
 
 
 def sorted_distance(
-    ref: DataFrame, cur: DataFrame, feature: str, by: list[str] = (), buckets: int = 64, estimator: str = "v", normalise: bool = True
-) -> DataFrame:
+    ref: DataFrame, cur: DataFrame, feature: str, by: list[str] = (), buckets: int | None = None, estimator: str = "v", normalise: bool = True,
+    also: list[str] = (),
+) -> DataFrame:
     """Exact one-dimensional terms from counts in value order.
 
-    Values are counted, dealt to buckets between quantiles, and summed bucket by bucket;
-    what lies before a bucket comes from a table of one row per group and bucket, so no
-    task ever orders all values.
+    ``also``: further keys of ``cur`` (times): each of its groups meets the whole reference of its
+    ``by`` keys, whose own term and running sums are computed once. Values are counted, dealt
+    to buckets between the quantiles of their own ``by`` group, and a bucket's running sums start from a
+    table of one row per group and bucket, so no task ever orders all values of a group.
     """
-    by = list(by)
+    by, every = list(by), [*by, *also]
     v = F.col(feature).cast("double")
-    both = ref.select(*by, v.alias("v"), F.lit(1).alias("a"), F.lit(0).alias("b")).unionByName(
-        cur.select(*by, v.alias("v"), F.lit(0).alias("a"), F.lit(1).alias("b"))
-    )
-    counts = both.groupBy(*by, "v").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
-    shares = [k / buckets for k in range(1, buckets)]
-    bounds = sorted(set(both.agg(F.percentile_approx("v", shares, 10 * buckets)).first()[0] or []))
-    counts = counts.withColumn("bucket", place(bounds, F.col("v")))
-    table = counts.groupBy(*by, "bucket").agg(F.sum("a").alias("a0"), F.sum("b").alias("b0"), F.min("v").alias("low"))
-    whole = Window.partitionBy(*by)
-    order = whole.orderBy("bucket")
-    before = order.rowsBetween(Window.unboundedPreceding, -1)
-    zero = F.lit(0)
+    a = ref.groupBy(*by, v.alias("v")).agg(F.count(F.lit(1)).alias("w"))
+    b = cur.groupBy(*every, v.alias("v")).agg(F.count(F.lit(1)).alias("w"))
+    if buckets is None:
+        buckets = max(64, -(-ref.count() // 1_000_000))
+    shares = F.lit([k / buckets for k in range(1, buckets)]) if buckets > 1 else None
+    bounds = F.array().cast("array<double>") if shares is None else F.array_distinct(F.percentile_approx("v", shares, 10 * buckets))
+    # one row of bounds per group
+    spans = ref.select(*by, v.alias("v")).unionByName(cur.select(*by, v.alias("v"))).groupBy(*by).agg(bounds.alias("bounds"))
+
+    def dealt(rows: DataFrame) -> DataFrame:
+        met = rows.join(spans, by) if by else rows.crossJoin(F.broadcast(spans))
+        return met.withColumn("bucket", placed(F.col("bounds"), F.col("v"))).drop("bounds")
+
+    a, b = cut(dealt(a)), cut(dealt(b))
+    out = _gaps(a, a, by, []).withColumnRenamed("total", "sr").withColumnRenamed("m", "n")
+    out = b.groupBy(*every).agg(F.sum("w").alias("m")).join(out, by, "left") if by else b.groupBy(*every).agg(F.sum("w").alias("m")).crossJoin(F.broadcast(out))
+    for name, one in (("sb", _gaps(a, b, by, list(also))), ("sc", _gaps(b, b, every, []))):
+        one = one.drop("m").withColumnRenamed("total", name)
+        out = out.join(one, every, "left") if every else out.crossJoin(F.broadcast(one))
+    return _terms(out.where("m > 0"), every, estimator, normalise)
+
+
+def _gaps(x: DataFrame, y: DataFrame, by: list[str], also: list[str]) -> DataFrame:
+    """``by.., also.., total, m``: summed distances of all pairs of a row of ``x`` and one of ``y``
+    that agree in ``by``, from running counts and sums of ``x`` in value order."""
+    sides = x.groupBy(*by, "bucket").agg(F.sum("w").alias("c0"), F.sum(F.col("w") * F.col("v")).alias("s0"))
+    marks = y.select(*by, "bucket").distinct().withColumns({"c0": F.lit(0).cast("long"), "s0": F.lit(0.0)})
+    table = sides.unionByName(marks).groupBy(*by, "bucket").agg(F.sum("c0").alias("c0"), F.sum("s0").alias("s0"))
+    group = Window.partitionBy(*by)
+    before = group.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    start = {n: F.coalesce(F.sum(n).over(before), F.lit(0)) for n in ("c0", "s0")}
     table = table.select(
-        *by, "bucket", F.lead("low").over(order).alias("upper"),
-        F.coalesce(F.sum("a0").over(before), zero).alias("a_before"), F.coalesce(F.sum("b0").over(before), zero).alias("b_before"),
-        F.sum("a0").over(whole).alias("n"), F.sum("b0").over(whole).alias("m"),
-    )
-    local = Window.partitionBy(*by, "bucket").orderBy("v")
-    upto = local.rowsBetween(Window.unboundedPreceding, 0)
-    rows = counts.select("*", F.sum("a").over(upto).alias("ca"), F.sum("b").over(upto).alias("cb"), F.lead("v").over(local).alias("next"))
+        *by, "bucket", start["c0"].alias("c_before"), start["s0"].alias("s_before"), F.sum("c0").over(group).alias("c_all"), F.sum("s0").over(group).alias("s_all")
+    )
+    none = [F.lit(None).cast(y.schema[c].dataType).alias(c) for c in also]
+    mine = x.select(*by, *none, "bucket", "v", F.col("w").alias("a"), F.lit(0).cast("long").alias("b"))
+    both = mine.unionByName(y.select(*by, *also, "bucket", "v", F.lit(0).cast("long").alias("a"), F.col("w").alias("b")))
+    upto = Window.partitionBy(*by, "bucket").orderBy("v").rangeBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = both.select("*", F.sum("a").over(upto).alias("c"), F.sum(F.col("a") * F.col("v")).over(upto).alias("s")).where("b > 0")
     rows = rows.join(table, [*by, "bucket"])
-    gap = F.coalesce("next", "upper", "v") - F.col("v")
-    f, g = F.col("ca") + F.col("a_before"), F.col("cb") + F.col("b_before")
-    n, m = F.col("n"), F.col("m")
-    out = rows.groupBy(*by).agg(
-        F.max("n").alias("n"), F.max("m").alias("m"),
-        F.sum((f * (m - g) + g * (n - f)) * gap).alias("sb"), F.sum(2 * f * (n - f) * gap).alias("sr"), F.sum(2 * g * (m - g) * gap).alias("sc"),
-    ).where("m > 0")
-    return _terms(out, by, estimator, normalise)
+    c, s = F.col("c") + F.col("c_before"), F.col("s") + F.col("s_before")
+    gap = F.col("v") * (2 * c - F.col("c_all")) + F.col("s_all") - 2 * s
+    return rows.groupBy(*by, *also).agg(F.sum(F.col("b") * gap).alias("total"), F.sum("b").alias("m"))
 
 
 def cells_of(df: DataFrame, features: list[str], cell: float, by: list[str] = ()) -> DataFrame:
@@ -222,14 +255,15 @@ def cells_of(df: DataFrame, features: list[str], cell: float, by: list[str] = ()
     )
 
 
-def sampled(df: DataFrame, features: list[str], by: list[str], cap: int, seed: int = 0) -> DataFrame:
-    """About ``cap`` rows per group (all rows of smaller ones), chosen by hash."""
-    draw = F.pmod(F.xxhash64(F.lit(seed), *features), F.lit(1 << 30)) / float(1 << 30)
+def sampled(df: DataFrame, key: str, by: list[str], cap: int, seed: int = 0) -> DataFrame:
+    """About ``cap`` rows per group (all rows of smaller ones), drawn by a digest of the row id
+    ``key``: rows with equal features enter or leave each on its own."""
+    draw = hash_unit(F.concat(F.lit(f"{seed}:"), F.col(key).cast("string")))
     if not by:
         n = df.count()
-        return df.where(draw < cap / max(n, 1))
+        return df.where(draw <= cap / max(n, 1))
     sizes = df.groupBy(*by).agg(F.count(F.lit(1)).alias("size"))
-    return df.join(sizes, list(by)).where(draw < F.lit(float(cap)) / F.col("size")).drop("size")
+    return df.join(sizes, list(by)).where(draw <= F.lit(float(cap)) / F.col("size")).drop("size")
 
 
 def norm_constant(d: int) -> float:
@@ -238,23 +272,23 @@ def norm_constant(d: int) -> float:
 
 
 def sliced_distance(
-    ref: DataFrame, cur: DataFrame, features: list[str], by: list[str] = (), directions: int = 100, seed: int = 0
+    ref: DataFrame, cur: DataFrame, features: list[str], by: list[str] = (), directions: int = 100, seed: int = 0, also: list[str] = ()
 ) -> DataFrame:
-    """Distance from the exact one-dimensional terms of random projections."""
-    by, d = list(by), len(features)
+    """Distance from the exact one-dimensional terms of random projections; ``also`` as for ``sorted_distance``."""
+    by, also, d = list(by), list(also), len(features)
     units = np.random.Generator(np.random.PCG64(seed)).normal(size=(directions, d))
     units /= np.linalg.norm(units, axis=1, keepdims=True)
 
-    def cast_on(df: DataFrame) -> DataFrame:
+    def cast_on(df: DataFrame, keys: list[str]) -> DataFrame:
         rays = F.lit(0.0)
         table = F.array(*[F.array(*[F.lit(float(v)) for v in u]) for u in units])
-        return df.select(*by, F.posexplode(table).alias("ray", "unit"), *features).select(
-            *by, "ray", sum((F.col(c).cast("double") * F.col("unit")[i] for i, c in enumerate(features)), rays).alias("v")
+        return df.select(*keys, F.posexplode(table).alias("ray", "unit"), *features).select(
+            *keys, "ray", sum((F.col(c).cast("double") * F.col("unit")[i] for i, c in enumerate(features)), rays).alias("v")
         )
 
-    each = sorted_distance(cast_on(ref), cast_on(cur), "v", [*by, "ray"])
+    each = sorted_distance(cast_on(ref, by), cast_on(cur, [*by, *also]), "v", [*by, "ray"], also=also)
     c = norm_constant(d)
-    mean = each.groupBy(*by).agg(
+    mean = each.groupBy(*by, *also).agg(
         F.max("n").alias("n"), F.max("m").alias("m"), *[(F.avg(t) * c).alias(t) for t in ("between", "within_ref", "within_cur")]
     )
     return mean.withColumn("distance", finish(*[F.col(t) for t in TERMS[:-1]]))

@@ -17,6 +17,7 @@ from spark_drift.queries.base import (
     query,
     rounded,
     split_days,
+    unit_sql,
 )
 from spark_drift.sources.tables import read
 
@@ -101,9 +102,9 @@ def energy_cells(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def embedded(spark: SparkSession, sf_dir: str, dims: int = 64) -> tuple[DataFrame, DataFrame, list[str]]:
-    names = [f"f{k}" for k in range(dims)]
-    v = read(spark, sf_dir, "embeddings").select("vec_id", *[F.col("embedding")[k].cast("double").alias(n) for k, n in enumerate(names)])
-    return v.where("vec_id % 2 = 0"), v.where("vec_id % 2 = 1"), names
+    """Even and odd rows with the first ``dims`` entries of their vectors as one array."""
+    v = read(spark, sf_dir, "embeddings").select("vec_id", F.slice("embedding", 1, dims).cast("array<double>").alias("v"))
+    return v.where("vec_id % 2 = 0"), v.where("vec_id % 2 = 1"), ["v"]
 
 
 @query(
@@ -125,10 +126,26 @@ def energy_sliced(spark: SparkSession, sf_dir: str) -> DataFrame:
     return energy.energy_distance(p.where("i % 2 = 0"), p.where("i % 2 = 1").withColumn("x", F.col("x") + 0.5), POINT, method="sliced", directions=50)
 
 
-@query(name="energy_sampled")
+_U = unit_sql("'0:' || i::varchar")
+_P = [("r", "0", "x"), ("c", "1", "x + 0.5")]
+SAMPLED_SQL = f"""with {POINTS_SQL}, """ + ", ".join(
+    f"""{n} as (select event_type, {x} as x, y from (select *, {_U} as u, count(*) over (partition by event_type) as size from pts where i % 2 = {odd}) where u <= 200.0::double / size)"""
+    for n, odd, x in _P
+)
+_G = "sqrt((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y))"
+
+
+@query(
+    f"""{SAMPLED_SQL}, n as (select event_type, count(*) as n from r group by 1), m as (select event_type, count(*) as m from c group by 1),
+b as (select a.event_type, avg({_G}) as b from r a join c b using (event_type) group by 1), w as (select a.event_type, avg({_G}) as w from r a join r b using (event_type) group by 1),
+v as (select a.event_type, avg({_G}) as v from c a join c b using (event_type) group by 1)
+select event_type, n::bigint as n, m::bigint as m, round(b, 6) as between, round(w, 6) as within_ref, round(v, 6) as within_cur, round({finish_sql("b", "w", "v")}, 6) as distance
+from n join m using (event_type) join b using (event_type) join w using (event_type) join v using (event_type)"""
+)
 def energy_sampled(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = points(spark, sf_dir)
-    return energy.energy_distance(p.where("i % 2 = 0"), p.where("i % 2 = 1"), POINT, ["event_type"], method="sampled", cap=200)
+    cur = p.where("i % 2 = 1").withColumn("x", F.col("x") + 0.5)
+    return rounded(energy.energy_distance(p.where("i % 2 = 0"), cur, POINT, ["event_type"], method="sampled", cap=200, key="i"), *TERMS)
 
 
 @query(

@@ -190,9 +190,7 @@ def w11_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.col("c_mktsegment").alias("segment"), F.year("l_shipdate").alias("year"), F.col("l_quantity").alias("x")
     )
     ref = rows.where("year = 1995").select("segment", "x")
-    years = [1996, 1997, 1998, 1999, 2000, 2001]
-    spread = ref.withColumn("year", F.explode(F.array(*[F.lit(y) for y in years])))
-    out = energy.energy_distance(spread, rows.where("year > 1995"), ["x"], ["segment", "year"], "sorted")
+    out = energy.energy_distance(ref, rows.where("year > 1995"), ["x"], ["segment"], "sorted", also=["year"])
     return rounded(out.select("segment", "year", F.col("distance").alias("degree")), "degree")
 
 
