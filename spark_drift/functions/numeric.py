@@ -253,7 +253,8 @@ class OnlineConfig:
     truncation: str = "correct"  # correct | none
     order: str = "batch"  # batch | row
     min_pool: int | None = None
-    most: int = 5
+    most: int = 10
+    fold: float | None = None  # new components nearer than this to another are folded into it
     kind: str = "bic"
     seed: int = 0
 
@@ -324,8 +325,11 @@ def online_step(
             np.concatenate([mix.cov, new.cov]),
             np.concatenate([mix.born, np.full(len(new.ids), t)]),
         )
+        if cfg.fold is not None:
+            mix = fold_twins(mix, cfg.fold)
         if len(x):
             late = ~ok
+            late |= ~np.isin(comp, mix.ids)  # a fold may have taken a component away
             if late.any():
                 _, logpdf = mahalanobis_and_logpdf(x[late], mix)
                 comp = comp.copy()
@@ -335,6 +339,95 @@ def online_step(
     return OnlineState(mix, pool, pool_ids), comp, provisional
 
 
+def merged(mix: Mixture, source: int, target: int) -> Mixture:
+    """Component ``source`` folded into ``target`` by exact statistics."""
+    a, b = int(np.nonzero(mix.ids == target)[0][0]), int(np.nonzero(mix.ids == source)[0][0])
+    n1, n2, gap = mix.n[a], mix.n[b], mix.mean[b] - mix.mean[a]
+    out = mix.copy()
+    out.cov[a] = (n1 * mix.cov[a] + n2 * mix.cov[b]) / (n1 + n2) + n1 * n2 / (n1 + n2) ** 2 * np.outer(gap, gap)
+    out.mean[a] = mix.mean[a] + gap * n2 / (n1 + n2)
+    out.n[a] = n1 + n2
+    keep = np.arange(len(mix.ids)) != b
+    return Mixture(out.ids[keep], out.n[keep], out.mean[keep], out.cov[keep], out.born[keep])
+
+
+def bhattacharyya(mix: Mixture, i: int, j: int) -> float:
+    """Distance between two components, by position."""
+    middle = (mix.cov[i] + mix.cov[j]) / 2
+    gap = mix.mean[i] - mix.mean[j]
+    half_log = lambda c: np.linalg.slogdet(c)[1] / 2
+    return float(gap @ np.linalg.solve(middle, gap) / 8 + half_log(middle) - (half_log(mix.cov[i]) + half_log(mix.cov[j])) / 2)
+
+
+def fold_twins(mix: Mixture, most: float) -> Mixture:
+    """Components nearer than ``most`` in Bhattacharyya distance folded together, into the smaller id."""
+    changed = True
+    while changed and len(mix.ids) > 1:
+        changed = False
+        for i in range(len(mix.ids)):
+            for j in range(i + 1, len(mix.ids)):
+                if bhattacharyya(mix, i, j) < most:
+                    mix, changed = merged(mix, int(mix.ids[j]), int(mix.ids[i])), True
+                    break
+            if changed:
+                break
+    return mix
+
+
+class Monitor:
+    """The whole method over a stream that fits one task: clustering, window, degree.
+
+    ``window``: rows that the current window holds at most. Where components are born, merged or
+    folded, the reference and the rows of the window whose place is open are judged anew.
+    """
+
+    def __init__(self, ref: np.ndarray, cfg: OnlineConfig, window: int | None = None, floor: bool = False, reassign: bool = True) -> None:
+        self.cfg, self.window, self.floor, self.reassign = cfg, window, floor, reassign
+        self.state = OnlineState(select_order(ref, cfg.most, cfg.kind, cfg.seed), ref[:0], np.zeros(0, np.int64))
+        self.rows, self.own, self.open = ref[:0], np.zeros(0, np.int64), np.zeros(0, bool)
+        self.refer(ref)
+
+    @property
+    def mix(self) -> Mixture:
+        return self.state.mix
+
+    def closest(self, x: np.ndarray) -> np.ndarray:
+        """Component of the largest density, without a gate."""
+        return self.mix.ids[mahalanobis_and_logpdf(x, self.mix)[1].argmax(1)] if len(x) else np.zeros(0, np.int64)
+
+    def refer(self, ref: np.ndarray) -> None:
+        """A new reference."""
+        self.ref, self.ref_own, self.within = ref, self.closest(ref), {}
+
+    def _judge_anew(self, also: np.ndarray | None = None) -> None:
+        if self.reassign:
+            self.ref_own, self.within = self.closest(self.ref), {}
+        again = self.open | ~np.isin(self.own, self.mix.ids) | (np.isin(self.own, also) if also is not None else False)
+        if again.any():
+            self.own[again] = self.closest(self.rows[again])
+        self.open[:] = False
+
+    def arrive(self, x: np.ndarray, t: float, window: int | None = None) -> int:
+        """Rows of one time point; returns how many components they gave birth to."""
+        known = set(self.mix.ids.tolist())
+        self.state, comp, open_ = online_step(self.state, x, np.zeros(len(x), np.int64), t, self.cfg)
+        keep = window or self.window or len(self.rows) + len(x)
+        self.rows = np.concatenate([self.rows, x])[-keep:]
+        self.own, self.open = np.concatenate([self.own, comp])[-keep:], np.concatenate([self.open, open_])[-keep:]
+        births = len(set(self.mix.ids.tolist()) - known)
+        if births or set(self.mix.ids.tolist()) != known:
+            self._judge_anew()
+        return births
+
+    def merge(self, source: int, target: int) -> None:
+        """An analyst's merge: statistics are joined, rows of both and those still open are judged anew."""
+        self.state = OnlineState(merged(self.mix, source, target), self.state.pool, self.state.pool_ids)
+        self._judge_anew(np.array([source, target]))
+
+    def degree(self) -> tuple[float, list[tuple[int, float, float]]]:
+        return component_degree(self.ref, self.ref_own, self.rows, self.own, floor=self.floor, within=self.within)
+
+
 def component_degree(
     ref: np.ndarray, ref_comp: np.ndarray, cur: np.ndarray, cur_comp: np.ndarray, floor: bool = False,
     within: dict | None = None, unbiased: bool = False,

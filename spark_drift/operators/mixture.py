@@ -8,6 +8,7 @@ expectation-maximisation round is that map and one partial aggregate.
 from __future__ import annotations
 
 import math
+from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -141,11 +142,17 @@ def fit(
 
     Starts from a fit on ``start_rows`` rows chosen by hash, then runs distributed rounds.
     """
-    rows = cut(df.select(*features))
-    n = rows.count()
-    draw = F.pmod(F.xxhash64(F.lit(seed), *features), F.lit(1 << 30)) < F.lit(int((1 << 30) * min(1.0, start_rows / max(n, 1))))
-    x = np.array([[float(v) for v in r] for r in rows.where(draw).limit(2 * start_rows).collect()])
-    x = x[np.lexsort(x.T)]
+    return _fit(*_start(cut(df.select(*features)), features, seed, start_rows), features, k, seed, rounds, tol, ridge)
+
+
+def _start(rows: DataFrame, features: list[str], seed: int, start_rows: int) -> tuple[DataFrame, int, np.ndarray]:
+    """All rows, their number, and those that a fit starts from: the smallest digests, bounded by ``start_rows``."""
+    order = [F.xxhash64(F.lit(seed), *features), *features]
+    x = np.array([[float(v) for v in r] for r in rows.orderBy(*order).limit(start_rows).collect()]).reshape(-1, len(features))
+    return rows, rows.count(), x[np.lexsort(x.T)]
+
+
+def _fit(rows: DataFrame, n: int, x: np.ndarray, features: list[str], k: int, seed: int, rounds: int, tol: float, ridge: float) -> tuple[Mixture, float]:
     mix, _ = numeric.em_fit(x, k, seed)
     mix.n = mix.n * n / len(x)
     last = -math.inf
@@ -158,18 +165,26 @@ def fit(
     return Mixture(np.arange(k), mix.n[order], mix.mean[order], mix.cov[order]), value
 
 
-def select(df: DataFrame, features: list[str], orders: range = range(1, 6), kind: str = "bic", seed: int = 0):
-    """Scores per number of components and the mixture of the best: ``(rows, mixture)``."""
-    n = df.count()
-    found = []
-    for k in orders:
-        if k > 1 and n < 5 * numeric.parameters(k, len(features)):
-            break
-        mix, value = fit(df, features, k, seed)
-        found.append((numeric.criterion(value, k, len(features), n, kind), k, value, mix))
+def select(
+    df: DataFrame, features: list[str], orders: range = range(1, 11), kind: str = "bic", seed: int = 0, rounds: int = 25, tol: float = 1e-5,
+    ridge: float = 1e-6, start_rows: int = 2000, at_once: int = 4,
+):
+    """Scores per number of components and the mixture of the best: ``(rows, mixture)``.
+
+    Orders with fewer than five rows per parameter are left out, but for one component. ``at_end``: the best order is the
+    largest that was tried, so a larger one might be better still. The fits' jobs run ``at_once`` at a time.
+    """
+    start = _start(cut(df.select(*features)), features, seed, start_rows)
+    tried = [k for k in orders if k == 1 or start[1] >= 5 * numeric.parameters(k, len(features))]
+    with ThreadPoolExecutor(at_once) as pool:
+        fits = list(pool.map(lambda k: _fit(*start, features, k, seed, rounds, tol, ridge), tried))
+    found = [(numeric.criterion(value, k, len(features), start[1], kind), k, value, mix) for k, (mix, value) in zip(tried, fits, strict=True)]
     best = min(found, key=lambda f: f[0])
-    rows = [(k, float(v), numeric.parameters(k, len(features)), float(s), k == best[1]) for s, k, v, _ in found]
-    return df.sparkSession.createDataFrame(rows, "k int, log_likelihood double, params int, score double, chosen boolean"), best[3]
+    rows = [
+        (k, float(v), numeric.parameters(k, len(features)), float(s), k == best[1], best[1] == tried[-1]) for s, k, v, _ in found
+    ]
+    schema = "k int, log_likelihood double, params int, score double, chosen boolean, at_end boolean"
+    return df.sparkSession.createDataFrame(rows, schema), best[3]
 
 
 def absorb(df: DataFrame, features: list[str], mix: Mixture, cfg: OnlineConfig | None = None) -> Mixture:
@@ -198,33 +213,21 @@ def pool_threshold(assigned: DataFrame) -> DataFrame:
 
 def merge_components(mix: Mixture, source: int, target: int) -> Mixture:
     """Component ``source`` folded into ``target`` by exact statistics."""
-    a, b = int(np.nonzero(mix.ids == target)[0][0]), int(np.nonzero(mix.ids == source)[0][0])
-    n1, n2, gap = mix.n[a], mix.n[b], mix.mean[b] - mix.mean[a]
-    out = mix.copy()
-    out.cov[a] = (n1 * mix.cov[a] + n2 * mix.cov[b]) / (n1 + n2) + n1 * n2 / (n1 + n2) ** 2 * np.outer(gap, gap)
-    out.mean[a] = mix.mean[a] + gap * n2 / (n1 + n2)
-    out.n[a] = n1 + n2
-    keep = np.arange(len(mix.ids)) != b
-    return Mixture(out.ids[keep], out.n[keep], out.mean[keep], out.cov[keep], out.born[keep])
+    return numeric.merged(mix, source, target)
 
 
 def fold_twins(mix: Mixture, most: float) -> Mixture:
     """Components nearer than ``most`` in Bhattacharyya distance folded together."""
-    changed = True
-    while changed and len(mix.ids) > 1:
-        changed = False
-        for i in range(len(mix.ids)):
-            for j in range(i + 1, len(mix.ids)):
-                middle = (mix.cov[i] + mix.cov[j]) / 2
-                gap = mix.mean[i] - mix.mean[j]
-                sign = lambda c: np.linalg.slogdet(c)[1]
-                d = gap @ np.linalg.solve(middle, gap) / 8 + (sign(middle) - (sign(mix.cov[i]) + sign(mix.cov[j])) / 2) / 2
-                if d < most:
-                    mix, changed = merge_components(mix, int(mix.ids[j]), int(mix.ids[i])), True
-                    break
-            if changed:
-                break
-    return mix
+    return numeric.fold_twins(mix, most)
+
+
+def merge_and_judge(assigned: DataFrame, features: list[str], mix: Mixture, source: int, target: int, gate: str = "chi2", level: float = 0.95) -> tuple[Mixture, DataFrame]:
+    """An analyst's merge: the joined mixture, and ``assigned`` (``comp_id, provisional``) in which the rows of
+    both components and the provisional ones are judged anew; all others keep their place."""
+    joined = numeric.merged(mix, source, target)
+    touched = F.col("provisional") | F.col("comp_id").isin(int(source), int(target))
+    again = assign(assigned.where(touched), features, joined, gate, level)
+    return joined, assigned.where(~touched).unionByName(again)
 
 
 def activity(assigned: DataFrame, t: str, window: int, least: int) -> DataFrame:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spark_drift.functions import numeric
-from spark_drift.functions.numeric import OnlineConfig, OnlineState
+from spark_drift.functions.numeric import Monitor, OnlineConfig
 from spark_drift.operators import degree, mixture
 from spark_drift.plans.lineage import cut
 
@@ -30,25 +30,14 @@ def series_of(ref: np.ndarray, batches, cfg: OnlineConfig, window: int = 1, reas
 
     ``window``: the current rows are those of the last ``window`` batches.
     """
-    mix = numeric.select_order(ref, cfg.most, cfg.kind, cfg.seed)
-    state = OnlineState(mix, ref[:0], np.zeros(0, np.int64))
-    ref_comp = mix.ids[numeric.mahalanobis_and_logpdf(ref, mix)[1].argmax(1)]
-    held: list[tuple[np.ndarray, np.ndarray]] = []
-    within: dict = {}
+    monitor = Monitor(ref, cfg, reassign=reassign)
+    sizes: list[int] = []
     for t, x in batches:
-        known = len(state.mix.ids)
-        state, comp, _ = numeric.online_step(state, x, np.zeros(len(x), np.int64), t, cfg)
-        births = len(state.mix.ids) - known
-        if births:
-            within.clear()
-            if reassign:
-                ref_comp = state.mix.ids[numeric.mahalanobis_and_logpdf(ref, state.mix)[1].argmax(1)]
-        held = [*held, (x, comp)][-window:]
-        cur = np.concatenate([a for a, _ in held])
-        own = np.concatenate([b for _, b in held])
-        if len(cur):
-            value, _ = numeric.component_degree(ref, ref_comp, cur, own, within=within)
-            yield t, len(cur), value, len(state.mix.ids), len(state.pool), births
+        sizes = [*sizes, len(x)][-window:]
+        births = monitor.arrive(x, t, sum(sizes))
+        if len(monitor.rows):
+            value, _ = monitor.degree()
+            yield t, len(monitor.rows), value, len(monitor.mix.ids), len(monitor.state.pool), births
 
 
 def kernel_series(
@@ -88,6 +77,7 @@ class Stepper:
         self.mix = mix if mix is not None else self._fitted(train)
         self.ref = self._assigned(train)
         self.pool: DataFrame | None = None
+        self.last: DataFrame | None = None  # the newest batch with its components
 
     def _fitted(self, rows: DataFrame) -> numeric.Mixture:
         return mixture.select(rows, self.features, range(1, self.cfg.most + 1), self.cfg.kind, self.cfg.seed)[1]
@@ -118,8 +108,11 @@ class Stepper:
             )
             self.ref = self._assigned(self.ref)
             late = mixture.assign(marked.where("provisional").select(*features, "t_"), features, self.mix)
-            marked = marked.where("not provisional").unionByName(late)
+            known = F.col("comp_id").isin(*[int(i) for i in self.mix.ids])
+            lost = mixture.assign(marked.where(~known & ~F.col("provisional")).select(*features, "t_"), features, self.mix)
+            marked = marked.where(known & ~F.col("provisional")).unionByName(late).unionByName(lost)
             self.pool, size = None, 0
+        self.last = marked
         value = degree.drift_degree(self.ref, marked, "t_", features).first()["degree"]
         return float(at), n, float(value), len(self.mix.ids), size, births
 

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from spark_drift.functions import numeric
-from spark_drift.functions.numeric import Mixture, OnlineConfig, OnlineState
+from spark_drift.functions.numeric import Mixture, OnlineConfig
 from spark_drift.operators import mixture
 from spark_drift.operators.online import SERIES, Stepper
 
@@ -60,10 +60,7 @@ class BatchMonitor:
         self, train: np.ndarray, features: list[str], cfg: OnlineConfig | None = None, sink: Callable[[dict], None] | None = None, max_rows: int = 100_000
     ) -> None:
         self.cfg, self.features, self.sink, self.max_rows = cfg or OnlineConfig(), features, sink, max_rows
-        self.ref = train
-        mix = numeric.select_order(train, self.cfg.most, self.cfg.kind, self.cfg.seed)
-        self.state = OnlineState(mix, train[:0], np.zeros(0, np.int64))
-        self.ref_comp = mix.ids[numeric.mahalanobis_and_logpdf(train, mix)[1].argmax(1)]
+        self.monitor = numeric.Monitor(train, self.cfg)
         self.last, self.rows = -1, []
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
@@ -77,12 +74,9 @@ class BatchMonitor:
         if not len(x):
             return
         x = x[np.lexsort(x.T[::-1])]
-        known = len(self.state.mix.ids)
-        self.state, comp, _ = numeric.online_step(self.state, x, np.zeros(len(x), np.int64), batch_id, self.cfg)
-        if len(self.state.mix.ids) > known:
-            self.ref_comp = self.state.mix.ids[numeric.mahalanobis_and_logpdf(self.ref, self.state.mix)[1].argmax(1)]
-        value, _ = numeric.component_degree(self.ref, self.ref_comp, x, comp)
-        row = {"t": batch_id, "n": len(x), "degree": value, "components": len(self.state.mix.ids)}
+        self.monitor.arrive(x, batch_id, len(x))
+        value, _ = self.monitor.degree()
+        row = {"t": batch_id, "n": len(x), "degree": value, "components": len(self.monitor.mix.ids)}
         self.rows.append(row)
         if self.sink:
             self.sink(row)
