@@ -6,26 +6,89 @@ from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.ml import Pipeline, PipelineModel
-from pyspark.ml.classification import LinearSVC, LogisticRegression, OneVsRest
+from pyspark.ml.classification import LogisticRegression
 from pyspark.ml.feature import VectorAssembler
 from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from spark_drift.plans.lineage import cut
 
-def train_learner(rows: DataFrame, features: list[str], label: str = "label", kind: str = "logistic") -> PipelineModel:
+
+@dataclass(frozen=True)
+class LinearMachines:
+    """Linear support vector machines, one against the rest for each class that was met; predicts in
+    generated expressions: the class with the largest value, ties to the smallest."""
+
+    features: list[str]
+    classes: list[int]
+    weights: np.ndarray  # (classes, 1 + features), the intercept first
+
+    def transform(self, rows: DataFrame) -> DataFrame:
+        each = []
+        for c, w in zip(self.classes, self.weights, strict=True):
+            value = F.lit(float(w[0]))
+            for name, v in zip(self.features, w[1:], strict=True):
+                value = value + F.col(name).cast("double") * F.lit(float(v))
+            each.append(F.struct(value.alias("value"), F.lit(-c).alias("class")))
+        return rows.withColumn("pred_", (-F.array_max(F.array(*each))["class"]).cast("double"))
+
+
+def fit_machines(rows: DataFrame, features: list[str], label: str, ridge: float = 1e-3, rounds: int = 25, tol: float = 1e-6) -> LinearMachines:
+    """Newton steps on the squared hinge loss of all classes at once: one job a round, whose sums (a
+    gradient and a Hessian per class) are added on the executors. A single class is always predicted."""
+    lean = cut(rows.where(F.col(label).isNotNull()).select(F.array(*[F.col(c).cast("double") for c in features]).alias("x"), F.col(label).cast("int").alias("y")))
+    counts = {r["y"]: r["n"] for r in lean.groupBy("y").agg(F.count(F.lit(1)).alias("n")).collect()}
+    classes, d = sorted(counts), len(features) + 1
+    w = np.zeros((len(classes), d))
+    if len(classes) < 2:
+        return LinearMachines(features, classes or [0], w if classes else np.zeros((1, d)))
+    known, n = np.array(classes), sum(counts.values())
+
+    def sums(w: np.ndarray) -> np.ndarray:
+        def run(batches):
+            total = np.zeros((len(classes), d + d * d))
+            for batch in batches:
+                flat = batch.column(0).flatten().to_numpy(zero_copy_only=False)
+                x = np.column_stack([np.ones(batch.num_rows), flat.reshape(batch.num_rows, d - 1)])
+                sign = np.where(batch.column(1).to_numpy()[:, None] == known[None], 1.0, -1.0)
+                short = np.maximum(1 - sign * (x @ w.T), 0.0)
+                total[:, :d] += -(sign * short).T @ x
+                for k in range(len(classes)):
+                    active = x[short[:, k] > 0]
+                    total[k, d:] += (active.T @ active).ravel()
+            flat = total.ravel()
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat))), pa.array(flat)], names=["k", "v"])
+
+        found = lean.mapInArrow(run, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).toPandas()
+        out = np.zeros(len(classes) * (d + d * d))
+        out[found["k"].to_numpy()] = found["v"].to_numpy()
+        return out.reshape(len(classes), -1)
+
+    for _ in range(rounds):
+        total, moved = sums(w), 0.0
+        for k in range(len(classes)):
+            gradient = total[k, :d] / n + ridge * w[k]
+            step = np.linalg.solve(total[k, d:].reshape(d, d) / n + ridge * np.eye(d), gradient)
+            w[k] -= step
+            moved = max(moved, float(np.abs(step).max()))
+        if moved < tol:
+            break
+    return LinearMachines(list(features), classes, w)
+
+
+def train_learner(rows: DataFrame, features: list[str], label: str = "label", kind: str = "logistic") -> PipelineModel | LinearMachines:
     """Classifier on a subset: logistic regression, or linear machines one against the rest."""
+    if kind == "svm":
+        return fit_machines(rows, features, label)
     vector = VectorAssembler(inputCols=features, outputCol="vector_", handleInvalid="skip")
-    if kind == "logistic":
-        model = LogisticRegression(featuresCol="vector_", labelCol=label, predictionCol="pred_", maxIter=50, regParam=1e-3)
-    else:
-        base = LinearSVC(maxIter=30, regParam=1e-3)
-        model = OneVsRest(classifier=base, featuresCol="vector_", labelCol=label, predictionCol="pred_")
+    model = LogisticRegression(featuresCol="vector_", labelCol=label, predictionCol="pred_", maxIter=50, regParam=1e-3)
     return Pipeline(stages=[vector, model]).fit(rows.select(*features, F.col(label).cast("double").alias(label)))
 
 
-def predict(models: dict[str, PipelineModel], rows: DataFrame, key: list[str]) -> DataFrame:
+def predict(models: dict[str, PipelineModel | LinearMachines], rows: DataFrame, key: list[str]) -> DataFrame:
     """``key.., learner, pred``: one pass per learner, predictions side by side, no join."""
     out = rows
     for name, model in models.items():

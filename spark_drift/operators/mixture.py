@@ -2,7 +2,9 @@
 
 Components are a small table that travels as literals: the density of every component
 is one generated expression per row, so assignment is a map over the scan. An
-expectation-maximisation round is that map and one partial aggregate.
+expectation-maximisation round is that map and one partial aggregate. Beyond ``WIDE`` features the
+expressions, which grow with the square of the features, would no longer compile to one method; there the same map
+runs in Arrow batches, and each task hands on its sums, which are added by place on the executors.
 """
 
 from __future__ import annotations
@@ -11,6 +13,8 @@ import math
 from concurrent.futures import ThreadPoolExecutor
 
 import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,6 +23,42 @@ from spark_drift.functions.numeric import LOG2PI, Mixture, OnlineConfig
 from spark_drift.plans.lineage import cut
 
 
+#: features up to which densities and moments are generated expressions
+WIDE = 5
+
+
+def _added(rows: DataFrame, features: list[str], size: int, partial) -> np.ndarray:
+    """Sums over all rows of the arrays that ``partial(x, batch)`` gives, one partial array per task."""
+    lean = rows.select(F.array(*[F.col(c).cast("double") for c in features]).alias("x_"), *[c for c in rows.columns if c not in features])
+
+    def run(batches):
+        total = np.zeros(size)
+        for batch in batches:
+            if batch.num_rows:
+                total += partial(batch.column(0).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1), batch)
+        some = np.nonzero(total)[0]
+        yield pa.RecordBatch.from_arrays([pa.array(some), pa.array(total[some])], names=["k", "v"])
+
+    out = np.zeros(size)
+    for r in lean.mapInArrow(run, "k long, v double").groupBy("k").agg(F.sum("v").alias("v")).collect():
+        out[r["k"]] = r["v"]
+    return out
+
+
+def _statistics(x: np.ndarray, weight: np.ndarray) -> np.ndarray:
+    """Per column of weights: their sum, the weighted sum of rows, and that of outer products, flat."""
+    second = np.einsum("nk,ni,nj->kij", weight, x, x).reshape(weight.shape[1], -1)
+    return np.concatenate([weight.sum(0)[:, None], weight.T @ x, second], axis=1).ravel()
+
+
+def _from_statistics(flat: np.ndarray, ids, d: int, ridge: float) -> Mixture:
+    rows = flat.reshape(len(ids), 1 + d + d * d)
+    n = np.maximum(rows[:, 0], 1e-9)
+    mean = rows[:, 1 : 1 + d] / n[:, None]
+    cov = rows[:, 1 + d :].reshape(-1, d, d) / n[:, None, None] - np.einsum("ki,kj->kij", mean, mean) + ridge * np.eye(d)[None]
+    return Mixture(np.array(ids), n, mean, cov)
+
+
 def table(spark: SparkSession, mix: Mixture) -> DataFrame:
     """``comp_id, n, mean, cov`` (row-major), one row per component."""
     rows = [
@@ -70,6 +110,8 @@ def assign(df: DataFrame, features: list[str], mix: Mixture, gate: str = "chi2",
     """``df`` with ``comp_id, provisional, log_density`` (replacing columns of these names);
     ties go to the smallest id."""
     df = df.drop("comp_id", "provisional", "log_density")
+    if mix.dims > WIDE:
+        return _assign_wide(df, features, mix, gate, level)
     # the quadratic forms become columns once; all else is arithmetic on them
     _, logdet = numeric.factors(mix.cov)
     names = df.columns
@@ -100,6 +142,20 @@ def assign(df: DataFrame, features: list[str], mix: Mixture, gate: str = "chi2",
     )
 
 
+def _assign_wide(df: DataFrame, features: list[str], mix: Mixture, gate: str, level: float) -> DataFrame:
+    cfg = OnlineConfig(gate=gate, level=level)
+
+    @F.pandas_udf("comp_id int, provisional boolean, log_density double")
+    def place(rows: pd.Series) -> pd.DataFrame:
+        x = np.stack(rows.to_numpy()) if len(rows) else np.zeros((0, mix.dims))
+        own, ok = numeric.gated(x, mix, cfg)
+        logpdf = numeric.mahalanobis_and_logpdf(x, mix)[1]
+        return pd.DataFrame({"comp_id": mix.ids[own].astype(np.int32), "provisional": ~ok, "log_density": logpdf[np.arange(len(x)), own]})
+
+    out = df.withColumn("best_", place(F.array(*[F.col(c).cast("double") for c in features])))
+    return out.select(*df.columns, "best_.comp_id", "best_.provisional", "best_.log_density")
+
+
 def _moments(features: list[str], weight: Column, tag: str) -> list[Column]:
     d = len(features)
     x = [F.col(c).cast("double") for c in features]
@@ -123,6 +179,17 @@ def _mixture_of(row, tags: list[str], ids, d: int, ridge: float) -> Mixture:
 
 def em_step(df: DataFrame, features: list[str], mix: Mixture, ridge: float = 1e-6) -> tuple[Mixture, float]:
     """One round over all rows: the new mixture and the log likelihood of the old one."""
+    if mix.dims > WIDE:
+        size = len(mix.ids) * (1 + mix.dims + mix.dims**2)
+
+        def partial(x: np.ndarray, _) -> np.ndarray:
+            joint = numeric.mahalanobis_and_logpdf(x, mix)[1] + np.log(np.maximum(mix.n, 1e-12) / mix.n.sum())[None]
+            top = joint.max(1, keepdims=True)
+            lse = top + np.log(np.exp(joint - top).sum(1, keepdims=True))
+            return np.concatenate([_statistics(x, np.exp(joint - lse)), [lse.sum()]])
+
+        flat = _added(df.select(*features), features, size + 1, partial)
+        return _from_statistics(flat[:-1], mix.ids, mix.dims, ridge), float(flat[-1])
     joint = [c + F.lit(math.log(max(mix.n[k], 1e-12) / mix.n.sum())) for k, c in enumerate(log_densities(features, mix))]
     rows = df.select(*features, *[c.alias(f"j{k}") for k, c in enumerate(joint)])
     top = F.greatest(*[F.col(f"j{k}") for k in range(len(joint))]) if len(joint) > 1 else F.col("j0")
@@ -191,13 +258,25 @@ def absorb(df: DataFrame, features: list[str], mix: Mixture, cfg: OnlineConfig |
     """Statistics of the accepted rows of ``df`` (``comp_id, provisional``) merged into
     their components; one partial aggregate, one row per component to the driver."""
     cfg = cfg or OnlineConfig()
-    rows = df.where(~F.col("provisional")).groupBy("comp_id").agg(*_moments(features, F.lit(1.0), "k")).collect()
+    accepted, found = df.where(~F.col("provisional")), {}
+    if mix.dims > WIDE:
+        size = len(mix.ids) * (1 + mix.dims + mix.dims**2)
+
+        def partial(x: np.ndarray, batch) -> np.ndarray:
+            own = batch.column(1).to_numpy(zero_copy_only=False)
+            return _statistics(x, (own[:, None] == mix.ids[None]).astype(float))
+
+        flat = _added(accepted.select(*features, "comp_id"), features, size, partial)
+        new = _from_statistics(flat, mix.ids, mix.dims, 0.0)
+        found = {int(c): Mixture(new.ids[k : k + 1], new.n[k : k + 1], new.mean[k : k + 1], new.cov[k : k + 1]) for k, c in enumerate(mix.ids) if new.n[k] >= 1}
+    else:
+        for row in accepted.groupBy("comp_id").agg(*_moments(features, F.lit(1.0), "k")).collect():
+            found[row["comp_id"]] = _mixture_of(row, ["k"], [row["comp_id"]], len(features), 0.0)
     shrink = numeric.truncation_factor(cfg.level, mix.dims) if cfg.gate == "chi2" and cfg.truncation == "correct" else 1.0
     out = mix.copy()
     where = {int(c): k for k, c in enumerate(mix.ids)}
-    for row in rows:
-        k = where[row["comp_id"]]
-        new = _mixture_of(row, ["k"], [row["comp_id"]], len(features), 0.0)
+    for comp, new in found.items():
+        k = where[comp]
         n1, n2, gap = out.n[k], new.n[0], new.mean[0] - out.mean[k]
         out.cov[k] = (n1 * out.cov[k] + n2 * new.cov[0] / shrink) / (n1 + n2) + n1 * n2 / (n1 + n2) ** 2 * np.outer(gap, gap)
         out.mean[k] += gap * n2 / (n1 + n2)
