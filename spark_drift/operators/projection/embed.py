@@ -12,6 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -230,14 +231,28 @@ def sample_by_component(df: DataFrame, size: int, key: str = "sample_id") -> Dat
 
 
 def place(sampled: DataFrame, rest: DataFrame, features: list[str], k: int = 3, key: str = "sample_id") -> DataFrame:
-    """Places of rows outside the sample: inverse-distance mean of the k nearest sampled
-    rows. The sample is bounded by its quota, hence broadcast."""
-    s = F.broadcast(sampled.select(F.col(key).alias("s_id"), "x", "y", *[F.col(c).alias(f"s_{c}") for c in features]).withColumn("j", F.lit(1)))
-    gap = F.sqrt(sum(((F.col(c) - F.col(f"s_{c}")) ** 2 for c in features), F.lit(0.0)))
-    near = rest.withColumn("j", F.lit(1)).join(s, "j").select(key, "s_id", "x", "y", gap.alias("d"))
-    rank = F.row_number().over(Window.partitionBy(key).orderBy("d", "s_id"))
-    near = near.withColumn("r", rank).where(F.col("r") <= k).withColumn("w", 1.0 / (F.col("d") + 1e-9))
-    return near.groupBy(key).agg((F.sum(F.col("x") * F.col("w")) / F.sum("w")).alias("x"), (F.sum(F.col("y") * F.col("w")) / F.sum("w")).alias("y"))
+    """``key, x, y`` of rows outside the sample: inverse-distance mean of the k nearest sampled rows.
+
+    The sample, bounded by its quota, goes to each task, which places its rows in Arrow batches;
+    no row is moved."""
+    known = sampled.select(key, "x", "y", *features).orderBy(key).toPandas()
+    sent = rest.sparkSession.sparkContext.broadcast((known[features].to_numpy(float), known[["x", "y"]].to_numpy(float)))
+    lean = rest.select(key, F.array(*[F.col(c).cast("double") for c in features]).alias("v"))
+
+    def run(batches):
+        x, y = sent.value
+        near = min(k, len(x))
+        for batch in batches:
+            rows = batch.column(1).flatten().to_numpy(zero_copy_only=False).reshape(batch.num_rows, -1)
+            for at in range(0, len(rows), 2048):
+                some = rows[at : at + 2048]
+                d = np.sqrt(sum((some[:, f, None] - x[None, :, f]) ** 2 for f in range(x.shape[1])))
+                pick = np.argsort(d, axis=1, kind="stable")[:, :near]
+                w = 1.0 / (np.take_along_axis(d, pick, 1) + 1e-9)
+                out = (y[pick] * w[..., None]).sum(1) / w.sum(1)[:, None]
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(at, len(some)), pa.array(out[:, 0]), pa.array(out[:, 1])], names=[key, "x", "y"])
+
+    return lean.mapInArrow(run, f"{key} {dict(rest.dtypes)[key]}, x double, y double")
 
 
 def quality(previous: DataFrame, current: DataFrame) -> DataFrame:

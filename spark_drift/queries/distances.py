@@ -222,10 +222,12 @@ left join (select c.month, c.comp_id, avg({gap_sql("c", "s", one)}) as v from cu
 left join (select r.comp_id, avg({gap_sql("r", "s", one)}) as w from ref r join ref s on r.comp_id = s.comp_id group by 1) w using (comp_id)"""
 
 
-@query(
-    f"""with {SPLIT_SQL}, f as ({" union all ".join(_feature_sql(f) for f in DAY_FEATURES)})
+def features_sql(split: str) -> str:
+    return f"""with {split}, f as ({" union all ".join(_feature_sql(f) for f in DAY_FEATURES)})
 select month, feature, round(sum(share * distance), 6) as degree from f group by 1, 2"""
-)
+
+
+@query(features_sql(SPLIT_SQL))
 def drift_per_feature(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(degree.per_feature(*split_days(spark, sf_dir), "month", DAY_FEATURES), "degree")
 
@@ -267,6 +269,23 @@ def sliding_window_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(degree.windowed(rows.where("i < 300"), rows, "i", ["x"], 200, 100), "degree")
 
 
+@query(
+    """with p as (select ts, event_id as i, value as x from events), ref as (select x from p where i < 300),
+win as (select date_trunc('day', ts) + to_days(k::int) as window_end, x from p, (select unnest([1, 2]) as k)),
+n as (select window_end, count(*) as n_rows from win group by 1 having count(*) >= 20),
+b as (select w.window_end, avg(abs(w.x - r.x)) as b from win w, ref r group by 1),
+v as (select w.window_end, avg(abs(w.x - z.x)) as v from win w join win z using (window_end) group by 1),
+w as (select avg(abs(a.x - b.x)) as w from ref a, ref b)
+select strftime(window_end, '%Y-%m-%d') as window_end, n_rows::bigint as n_rows, round(greatest(0, 1 - (w + v) / (2 * b)), 6) as degree
+from n join b using (window_end) join v using (window_end), w"""
+)
+def sliding_time_degree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Windows of two days that begin every day."""
+    rows = read(spark, sf_dir, "events").select("ts", F.col("event_id").alias("i"), F.col("value").alias("x"), F.lit(0).alias("comp_id"))
+    out = degree.time_windowed(rows.where("i < 300"), rows, "ts", ["x"], "2 days", "1 day", 20)
+    return rounded(out.withColumn("window_end", F.date_format("window_end", "yyyy-MM-dd")), "degree")
+
+
 @query(
     f"""with {PARTS_SQL}, s as (select month, round(sum(share * distance), 6) as degree from parts group by 1)
 select month, degree, coalesce(sum((degree >= 0.2)::int) over (order by month rows between 1 preceding and current row), 0) >= 2 as alarm from s"""

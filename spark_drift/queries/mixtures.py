@@ -124,12 +124,12 @@ def mixture_fit_library(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def mixture_select_bic(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixture.select(points(spark, sf_dir), POINT, range(1, 4))[0]
+    return mixture.select(points(spark, sf_dir), POINT)[0]
 
 
 @query()
 def mixture_select_aic(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixture.select(points(spark, sf_dir), POINT, range(1, 4), "aic")[0]
+    return mixture.select(points(spark, sf_dir), POINT, kind="aic")[0]
 
 
 @query(f"with {DENSITY_SQL}, s as (select comp_id, count(*) as n from best where r = 1 group by 1) select round(avg(n) / 2, 6) as threshold from s")
@@ -148,6 +148,25 @@ def merge_component(spark: SparkSession, sf_dir: str) -> DataFrame:
     return statistics(spark, mixture.merge_components(COMPONENTS, 1, 0))
 
 
+_JOINED = """jo as (select 0 as comp_id, s.n, s.mx, s.my, sum(u.n * (a + (u.mx - s.mx) * (u.mx - s.mx))) / s.n as a, sum(u.n * (b + (u.mx - s.mx) * (u.my - s.my))) / s.n as b,
+  sum(u.n * (d + (u.my - s.my) * (u.my - s.my))) / s.n as d from (select * from comps where comp_id in (0, 1)) u,
+  (select sum(n) as n, sum(n * mx) / sum(n) as mx, sum(n * my) / sum(n) as my from comps where comp_id in (0, 1)) s group by s.n, s.mx, s.my
+union all select comp_id, n, mx, my, a, b, d from comps where comp_id = 2),
+jm as (select i, comp_id, (d * (x - mx) * (x - mx) - 2 * b * (x - mx) * (y - my) + a * (y - my) * (y - my)) / (a * d - b * b) as d2, a * d - b * b as det from pts, jo),
+jd as (select *, row_number() over (partition by i order by -0.5 * (d2 + ln(det)) desc, comp_id) as r from jm)"""
+
+
+@query(
+    f"""with {DENSITY_SQL}, {_JOINED}, o as (select i, comp_id, d2 > {-2 * np.log(0.05)} as provisional from best where r = 1)
+select o.i, case when o.provisional or o.comp_id in (0, 1) then jd.comp_id else o.comp_id end::int as comp_id,
+  case when o.provisional or o.comp_id in (0, 1) then jd.d2 > {-2 * np.log(0.05)} else o.provisional end as provisional from o join jd on jd.i = o.i and jd.r = 1"""
+)
+def merge_judges_anew(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """An analyst's merge: rows of both components and provisional ones find their place again."""
+    marked = mixture.assign(points(spark, sf_dir), POINT, COMPONENTS)
+    return mixture.merge_and_judge(marked, POINT, COMPONENTS, 1, 0)[1].select("i", "comp_id", "provisional")
+
+
 @query(
     f"""with {DENSITY_SQL}, b as (select comp_id, day from best where r = 1)
 select comp_id, sum((day > (select max(day) from b) - 3)::int)::bigint as rows_recent, sum((day > (select max(day) from b) - 3)::int) >= 100 as active from b group by 1"""
@@ -174,19 +193,19 @@ def shrink_factors(spark: SparkSession, sf_dir: str) -> DataFrame:
 def online_series_kernel(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The whole method in order within one task per key: monthly series of the days."""
     ref, cur = split_days(spark, sf_dir)
-    return online.kernel_series(ref, cur, "month", DAY_FEATURES, cfg=OnlineConfig(most=3))
+    return online.kernel_series(ref, cur, "month", DAY_FEATURES)
 
 
 @query()
 def online_series_row_order(spark: SparkSession, sf_dir: str) -> DataFrame:
     ref, cur = split_days(spark, sf_dir)
-    return online.kernel_series(ref, cur, "month", DAY_FEATURES, cfg=OnlineConfig(most=3, order="row"))
+    return online.kernel_series(ref, cur, "month", DAY_FEATURES, cfg=OnlineConfig(order="row"))
 
 
 @query()
 def online_series_analyst_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     ref, cur = split_days(spark, sf_dir)
-    return online.kernel_series(ref, cur, "month", DAY_FEATURES, cfg=OnlineConfig(most=3, min_pool=40))
+    return online.kernel_series(ref, cur, "month", DAY_FEATURES, cfg=OnlineConfig(min_pool=40))
 
 
 @query()
@@ -195,7 +214,7 @@ def online_series_stepwise(spark: SparkSession, sf_dir: str) -> DataFrame:
     ref, cur = split_days(spark, sf_dir)
     yearly = cur.withColumn("year", F.floor(F.col("month") / 12).cast("int"))
     times = [r[0] for r in yearly.select("year").distinct().orderBy("year").collect()]
-    return online.stepwise_series(ref, yearly, "year", DAY_FEATURES, times, OnlineConfig(most=2))
+    return online.stepwise_series(ref, yearly, "year", DAY_FEATURES, times)
 
 
 @query()
@@ -203,7 +222,7 @@ def online_series_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Independent monitors, one per event type."""
     p = points(spark, sf_dir).withColumn("d", F.unix_date("day"))
     first = p.agg(F.min("d")).first()[0]
-    return online.kernel_series(p.where(F.col("d") < first + 7), p.where(F.col("d") >= first + 7), "d", POINT, "event_type", OnlineConfig(most=3))
+    return online.kernel_series(p.where(F.col("d") < first + 7), p.where(F.col("d") >= first + 7), "d", POINT, "event_type")
 
 
 @query(

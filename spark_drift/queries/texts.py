@@ -60,13 +60,13 @@ def tx_page_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def tx_svd(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return topics.reduced(spark, sf_dir, 2000)
+    return topics.reduced(spark, sf_dir)
 
 
 @query()
 def tx_topics(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = text.vectors(read(spark, sf_dir, "documents").select("doc_id", "text"), 2000)
-    return text.topics(rows, 10, rounds=5).select("doc_id", "topic", "ambiguous")
+    rows = text.vectors(read(spark, sf_dir, "documents").select("doc_id", "text"))
+    return text.topics(rows, 10).select("doc_id", "topic", "ambiguous")
 
 
 @query()

@@ -10,11 +10,12 @@ from pyspark.sql import functions as F
 
 from spark_drift.functions import numeric
 from spark_drift.functions.expressions import hash_normal
-from spark_drift.functions.numeric import Mixture, OnlineConfig, OnlineState
+from spark_drift.functions.numeric import Mixture, OnlineConfig
 from spark_drift.operators import degree, energy, mixture, online
 from spark_drift.operators.projection import embed
-from spark_drift.queries.base import DAY_FEATURES, finish_sql, normal_sql, query, rounded, split_days
-from spark_drift.queries.distances import embedded
+from spark_drift.plans.lineage import cut
+from spark_drift.queries.base import DAY_FEATURES, SPLIT_SQL, finish_sql, normal_sql, query, rounded, split_days
+from spark_drift.queries.distances import embedded, features_sql
 from spark_drift.queries.displays import places
 from spark_drift.sources.tables import read
 from spark_drift.workloads import detectors, seasonal, topics
@@ -84,7 +85,7 @@ def w4_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query()
 def w4_single_model(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The initial model alone, for comparison."""
-    return seasonal.replay(spark, sf_dir, adapting=False)
+    return seasonal.replay(spark, sf_dir, seasonal.Script(adapting=False))
 
 
 @query()
@@ -92,15 +93,29 @@ def w4_generations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return seasonal.generations(spark, sf_dir)
 
 
+def _day_sql(feature: str, value: str) -> str:
+    """A feature with the incident of its day, as ``seasonal.planted`` has it."""
+    cases = [f"when t between {low} and {high} then ({value}) * {factor} + {moves.get(feature, 0.0)}" for low, high, moves, factor in seasonal.INCIDENTS.values()]
+    return f"round(case {' '.join(cases)} else {value} end, 5) as {feature}"
+
+
+_W = "2 * pi() * dayofyear(day) / 365.0"
+_WHEN = " ".join(f"when t between {low} and {high} then '{name}'" for name, (low, high, _, _) in seasonal.INCIDENTS.items())
+
+
 @query(
-    """with d as (select l_shipdate::date as day, avg(l_quantity) as f1, avg(l_extendedprice) as f2, count(*)::double as f5 from lineitem group by 1),
+    f"""with d as (select l_shipdate::date as day, avg(l_quantity) as f1, avg(l_extendedprice) as f2, avg(l_discount) as f3, count(*)::double as f5 from lineitem group by 1),
 z as (select day, datediff('day', date '1995-01-01', day) as t, (f1 - avg(f1) over ()) / stddev_pop(f1) over () as f1, (f2 - avg(f2) over ()) / stddev_pop(f2) over () as f2,
-  (f5 - avg(f5) over ()) / stddev_pop(f5) over () as f5 from d)
-select day, t::int as t, round(f1 + 1.2 * cos(2 * pi() * dayofyear(day) / 365.0 + 1) + t * 0.0001 * -3, 5) as f1,
-  round(f2 - cos(2 * pi() * dayofyear(day) / 365.0 + 2) + t * 0.0001 * -2, 5) as f2, round(f5 + 1.2 * sin(2 * pi() * dayofyear(day) / 365.0) + t * 0.0001, 5) as f5 from z"""
+  (f3 - avg(f3) over ()) / stddev_pop(f3) over () as f3, (f5 - avg(f5) over ()) / stddev_pop(f5) over () as f5 from d),
+w as (select day, t, f1 + 2.4 * cos({_W} + 1) + t * 0.0001 * -3 as f1, f2 - 2.0 * cos({_W} + 2) + t * 0.0001 * -2 as f2,
+  f3 + 2.4 * cos({_W} + 3) + t * 0.0001 * -1 as f3, f5 + 2.4 * sin({_W}) + t * 0.0001 as f5 from z)
+select day, t::int as t, case {_WHEN} else '' end as incident, (f1 * cos({_W}) + f2 * sin({_W}) - 0.5 * f3 + 0.3 * f5 > 0)::int as label,
+  ('0x' || substr(md5('split:' || t::varchar), 1, 8))::bigint % 10 < 3 as held_out, {_day_sql("f1", "f1")}, {_day_sql("f2", "f2")}, {_day_sql("f5", "f5")} from w"""
 )
 def seasonal_days(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return rounded(seasonal.daily(spark, sf_dir).select("day", "t", "f1", "f2", "f5"), "f1", "f2", "f5", digits=5)
+    """The daily stream with its five planted incidents, classes and held-out days."""
+    days = seasonal.daily(spark, sf_dir).select("day", "t", "incident", "label", "held_out", "f1", "f2", "f5")
+    return rounded(days, "f1", "f2", "f5", digits=5)
 
 
 @query()
@@ -113,28 +128,33 @@ def w5_replay(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query()
 def w7_latency(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Seconds per new point after 1,500 historical ones, over the rest of the stream."""
+    """Seconds per new day after 1,500 historical ones: detection over the days that follow, and the
+    map's update with one new day, over the first three."""
 
     def run(pdf):
         import pandas as pd
 
-        pdf = pdf.sort_values("i")
-        x = pdf[["x", "y"]].to_numpy(float)
-        history = min(1500, len(x) // 2)
-        ref, cfg = x[:history], OnlineConfig(most=3)
-        mix = numeric.select_order(ref, 3)
-        state, comp = OnlineState(mix, ref[:0], np.zeros(0, np.int64)), mix.ids[numeric.mahalanobis_and_logpdf(ref, mix)[1].argmax(1)]
-        within: dict = {}
-        began, points = time.perf_counter(), 0
+        x = pdf.sort_values("t")[seasonal.FEATURES].to_numpy(float)
+        history = 1500
+        monitor = numeric.Monitor(x[:history], OnlineConfig(), 15)
+        began = time.perf_counter()
         for i in range(history, len(x)):
-            state, own, _ = numeric.online_step(state, x[i : i + 1], np.array([i]), float(i), cfg)
-            numeric.component_degree(ref, comp, x[i : i + 1], own, within=within)
-            points += 1
-        each = (time.perf_counter() - began) / max(points, 1)
-        return pd.DataFrame({"history": [history], "points": [points], "under_five_seconds": [each < 5]})
-
-    e = read(spark, sf_dir, "events").select(F.col("event_id").alias("i"), (F.col("value") / 50).alias("x"), (F.hour("ts") / 12.0 - 1).alias("y"))
-    return e.groupBy(F.lit(0).alias("all_")).applyInPandas(run, "history long, points long, under_five_seconds boolean")
+            monitor.arrive(x[i : i + 1], float(i))
+            monitor.degree()
+        detect = (time.perf_counter() - began) / max(len(x) - history, 1)
+        cfg = embed.EmbedConfig(rounds=40)
+        comp = monitor.closest(x)
+        places = embed.embed(x[:history], comp[:history], monitor.mix, cfg)
+        began, updates = time.perf_counter(), 3
+        for i in range(history, history + updates):
+            old = np.concatenate([places, np.full((1, 2), np.nan)])
+            places = embed.embed(x[: i + 1], comp[: i + 1], monitor.mix, cfg, old)
+        project = (time.perf_counter() - began) / updates
+        return pd.DataFrame({"history": [history], "points": [len(x) - history], "detect_seconds": [detect], "project_seconds": [project], "seconds": [detect + project]})
+
+    days = seasonal.daily(spark, sf_dir)
+    schema = "history long, points long, detect_seconds double, project_seconds double, seconds double"
+    return days.groupBy(F.lit(0).alias("all_")).applyInPandas(run, schema)
 
 
 def _dims_sql(d: int) -> str:
@@ -155,7 +175,10 @@ def w8_dims(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(out, "distance")
 
 
-@query()
+SHIFT_SQL = SPLIT_SQL.replace("cur as (select * from", "cur as (select day, month, comp_id, x1, x2, x3 + case when month >= 36 then 5.0 else 0.0 end as x3, x4 from")
+
+
+@query(features_sql(SHIFT_SQL))
 def w9_feature_shift(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A sensor offset in one feature after 1998: only that feature's line rises."""
     ref, cur = split_days(spark, sf_dir)
@@ -172,7 +195,7 @@ def w10_recurrence(spark: SparkSession, sf_dir: str) -> DataFrame:
     key = F.col("event_id").cast("string")
     rows = e.select(hour.alias("h"), (hash_normal(key) + 6 * night).alias("x"), (hash_normal(key, True) - 6 * night).alias("y"))
     first = rows.agg(F.min("h")).first()[0]
-    return online.kernel_series(rows.where(F.col("h") < first + 12), rows.where(F.col("h") >= first + 12), "h", ["x", "y"], cfg=OnlineConfig(most=3, level=0.999))
+    return online.kernel_series(rows.where(F.col("h") < first + 12), rows.where(F.col("h") >= first + 12), "h", ["x", "y"], cfg=OnlineConfig(level=0.999))
 
 
 @query(
@@ -197,18 +220,25 @@ def w11_keyed(spark: SparkSession, sf_dir: str) -> DataFrame:
 # ------------------------------------------------------------------------ projection
 
 
-def _map(spark: SparkSession, sf_dir: str, cfg: embed.EmbedConfig, size: int = 300) -> DataFrame:
-    """A map of sampled clusters, then its update with rows that come later."""
+def _map(spark: SparkSession, sf_dir: str, cfg: embed.EmbedConfig, size: int = 600) -> DataFrame:
+    """A map of sampled clusters, its update with a sample of the rows that come later, and all
+    other rows placed by their neighbours on it."""
     ref, cur = clusters(spark, sf_dir)
-    rows = ref.select(F.col("event_id").alias("sample_id"), "comp_id", "x", "y").withColumnsRenamed({"x": "a", "y": "b"})
-    sample = embed.sample_by_component(rows, size)
+    named = lambda df: df.select(F.col("event_id").alias("sample_id"), "comp_id", F.col("x").alias("a"), F.col("y").alias("b"))
+    rows, arrived = named(ref), named(cur)
+    sample = cut(embed.sample_by_component(rows, size))
     mix = Mixture(np.arange(4), np.full(4, size / 4), np.array(CENTRES), np.repeat(np.eye(2)[None] * 0.49, 4, axis=0))
     none = F.lit(None).cast("double")
-    first = embed.project(sample.withColumns({"x0": none, "y0": none}), ["a", "b"], mix, cfg)
-    later = cur.select(F.col("event_id").alias("sample_id"), "comp_id", F.col("x").alias("a"), F.col("y").alias("b"))
-    later = embed.sample_by_component(later, size // 4).withColumns({"x0": none, "y0": none})
+    first = cut(embed.project(sample.withColumns({"x0": none, "y0": none}), ["a", "b"], mix, cfg))
+    later = cut(embed.sample_by_component(arrived, size // 6))
     known = sample.join(first.select("sample_id", F.col("x").alias("x0"), F.col("y").alias("y0")), "sample_id")
-    return embed.project(known.unionByName(later), ["a", "b"], mix, cfg)
+    drawn = known.unionByName(later.withColumns({"x0": none, "y0": none}))
+    done = cut(embed.project(drawn, ["a", "b"], mix, cfg)).withColumn("sampled", F.lit(True))
+    everything = rows.withColumn("is_new", F.lit(False)).unionByName(arrived.withColumn("is_new", F.lit(True)))
+    rest = everything.join(drawn.select("sample_id"), "sample_id", "left_anti")
+    placed = embed.place(done.join(drawn.select("sample_id", "a", "b"), "sample_id"), rest, ["a", "b"])
+    placed = placed.join(rest.select("sample_id", "comp_id", "is_new"), "sample_id").withColumn("sampled", F.lit(False))
+    return done.unionByName(placed.select(*done.columns))
 
 
 @query()
@@ -253,14 +283,23 @@ def blue_noise(spark: SparkSession, sf_dir: str) -> DataFrame:
     return places(spark, sf_dir).groupBy("comp_id").applyInPandas(run, "sample_id long, comp_id int, x double, y double")
 
 
-@query()
+_C = "sqrt((r.x - s.x) * (r.x - s.x) + (r.y - s.y) * (r.y - s.y))"
+
+
+@query(
+    f"""with {CLUSTER_SQL}, o as (select *, count(*) over (partition by comp_id) as n, count(*) over () as total,
+  row_number() over (partition by comp_id order by md5(event_id::varchar), event_id) as k from rf), s as (select event_id, x, y from o where k <= ceil(n * (200 / total::double))),
+e as (select event_id, x, y from rf where event_id not in (select event_id from s) union all select event_id, x, y from cu),
+m as (select r.event_id, s.x, s.y, {_C} as d, row_number() over (partition by r.event_id order by {_C}, s.event_id) as k from e r, s)
+select event_id as sample_id, round(sum(x / (d + 1e-9)) / sum(1 / (d + 1e-9)), 5) as x, round(sum(y / (d + 1e-9)) / sum(1 / (d + 1e-9)), 5) as y from m where k <= 3 group by 1"""
+)
 def place_rest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows outside the sampled map, placed by their nearest sampled rows."""
+    """All rows outside the sampled map, placed by their nearest sampled rows."""
     ref, cur = clusters(spark, sf_dir)
-    rows = ref.select(F.col("event_id").alias("sample_id"), "comp_id", "x", "y")
-    sample = embed.sample_by_component(rows, 200).withColumns({"a": F.col("x"), "b": F.col("y")})
-    rest = cur.select(F.col("event_id").alias("sample_id"), F.col("x").alias("a"), F.col("y").alias("b"))
-    return embed.place(sample, rest, ["a", "b"])
+    named = lambda df: df.select(F.col("event_id").alias("sample_id"), "comp_id", "x", "y", F.col("x").alias("a"), F.col("y").alias("b"))
+    sample = cut(embed.sample_by_component(named(ref), 200))
+    rest = named(ref).join(sample.select("sample_id"), "sample_id", "left_anti").unionByName(named(cur))
+    return rounded(embed.place(sample, rest.drop("x", "y"), ["a", "b"]), "x", "y", digits=5)
 
 
 @query()
