@@ -45,21 +45,26 @@ def affinities(d: np.ndarray, perplexity: float) -> np.ndarray:
     n = len(d)
     perplexity = max(1.5, min(perplexity, (n - 1) / 3))
     sq = d * d
-    p = np.zeros_like(sq)
+    np.fill_diagonal(sq, np.inf)
+    sq -= sq.min(1, keepdims=True)
+    np.fill_diagonal(sq, 0.0)
     goal = np.log(perplexity)
     low, high = np.full(n, -np.inf), np.full(n, np.inf)
     beta = 1.0 / np.maximum(np.median(sq, axis=1), 1e-12)
+    e = np.empty_like(sq)
     for _ in range(60):
-        e = np.exp(-(sq - np.where(np.eye(n, dtype=bool), np.inf, sq).min(1, keepdims=True)) * beta[:, None])
-        np.fill_diagonal(e, 0)
+        np.multiply(sq, -beta[:, None], out=e)
+        np.exp(e, out=e)
+        np.fill_diagonal(e, 0.0)
         total = np.maximum(e.sum(1), 1e-300)
-        p = e / total[:, None]
-        h = -(p * np.log(np.maximum(p, 1e-300))).sum(1)
+        h = np.log(total) + beta * np.einsum("ij,ij->i", sq, e) / total
+        if np.abs(h - goal).max() < 1e-6:
+            break
         wide = h > goal
         low, high = np.where(wide, beta, low), np.where(wide, high, beta)
         beta = np.where(np.isinf(high), beta * 2, np.where(np.isinf(low), beta / 2, (low + high) / 2))
-    p = (p + p.T) / (2 * n)
-    return np.maximum(p, 1e-12)
+    e /= total[:, None]
+    return np.maximum((e + e.T) / (2 * n), 1e-12)
 
 
 def _scale(d: np.ndarray, rank: int) -> float:
@@ -87,7 +92,10 @@ def anchor_affinity(d: np.ndarray, own: np.ndarray) -> np.ndarray:
 
 def heavy(a: np.ndarray, b: np.ndarray, self_pairs: bool) -> tuple[np.ndarray, np.ndarray]:
     """Heavy-tailed kernel and its normalised form on 2-D places."""
-    k = 1.0 / (1.0 + pair_distances(a, b) ** 2)
+    k = (a * a).sum(1)[:, None] + (b * b).sum(1)[None] + 1.0
+    k -= 2 * a @ b.T
+    np.maximum(k, 1.0, out=k)
+    np.reciprocal(k, out=k)
     if self_pairs:
         np.fill_diagonal(k, 0)
     return k, np.maximum(k / k.sum(), 1e-15)
@@ -98,17 +106,19 @@ def divergence(p: np.ndarray, q: np.ndarray) -> float:
     return float((p[some] * np.log(p[some] / q[some])).sum())
 
 
-def objective(y, p, old=None, centres=None, pc=None, anchors=None, ps=None, lam=1.0, phi=0.0):
-    """The three divergences and their weighted sum, with the gradient of the sum."""
+def objective(y, p, old=None, centres=None, pc=None, anchors=None, ps=None, lam=1.0, phi=0.0, values=True):
+    """The three divergences and their weighted sum, with the gradient of the sum; without
+    ``values`` the gradient alone, as the descent needs no more."""
     k, q = heavy(y, y, True)
-    terms = [divergence(p, q), 0.0, 0.0]
-    pull = (p - q) * k
+    terms = [divergence(p, q) if values else 0.0, 0.0, 0.0]
+    pull = np.subtract(p, q, out=q)
+    pull *= k
     grad = 4 * lam * (pull.sum(1)[:, None] * y - pull @ y)
     for slot, (places, joint, weight) in enumerate(((centres, pc, phi), (anchors, ps, 1 - lam - phi)), 1):
         if joint is None or weight <= 0:
             continue
         k, q = heavy(y[old], places, False)
-        terms[slot] = divergence(joint, q)
+        terms[slot] = divergence(joint, q) if values else 0.0
         pull = (joint - q) * k
         grad[old] += 2 * weight * (pull.sum(1)[:, None] * y[old] - pull @ places)
     return terms, lam * terms[0] + phi * terms[1] + max(0.0, 1 - lam - phi) * terms[2], grad
@@ -189,7 +199,7 @@ def embed(x: np.ndarray, comp: np.ndarray, mix: Mixture, cfg: EmbedConfig, previ
     warm = old is not None and old.any()
     for step in range(cfg.rounds):
         lift = 4.0 if step < 50 and not warm else 1.0
-        _, _, grad = objective(y, p * lift, **extra)
+        _, _, grad = objective(y, p * lift if lift != 1.0 else p, **extra, values=False)
         gains = np.maximum(np.where(np.sign(grad) != np.sign(move), gains + 0.2, gains * 0.8), 0.01)
         move = (0.5 if step < 100 else 0.8) * move - cfg.rate * gains * grad
         length = np.linalg.norm(move, axis=1, keepdims=True)

@@ -9,7 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from spark_drift.functions import numeric as nu
-from spark_drift.operators import degree, detect, energy, mixture, online
+from spark_drift.operators import degree, detect, energy, ensemble, mixture, online
 from spark_drift.queries.base import COMPONENTS, POINT, points
 from spark_drift.sources import generator, tables
 from spark_drift.streaming import monitors
@@ -95,7 +95,7 @@ def test_kernel_and_batch_monitor_agree(spark):
     train = spark.createDataFrame(ref.tolist(), "a double, b double")
     rows = [(float(k), *map(float, r)) for k, b in enumerate(batches) for r in b]
     stream = spark.createDataFrame(rows, "t double, a double, b double")
-    cfg = nu.OnlineConfig(most=2)
+    cfg = nu.OnlineConfig()
     series = online.kernel_series(train, stream, "t", ["a", "b"], cfg=cfg).orderBy("t").toPandas()
     sorted_ref = ref[np.lexsort(ref.T[::-1])]
     monitor = monitors.BatchMonitor(sorted_ref, ["a", "b"], cfg)
@@ -147,10 +147,219 @@ def test_planted_source(spark):
     assert sorted(a["seg"].unique()) == list(range(10))
 
 
+def brute_counts(reports, truth, w, end):
+    """Detected, late, missed and false reports, one report after the other."""
+    edges = [*truth, end]
+    out = [0, 0, 0, sum(t < truth[0] for t in reports)]
+    for a, b in zip(edges, edges[1:]):
+        inside = sorted(t for t in reports if a <= t < b)
+        out[2 if not inside else 0 if inside[0] - a < w else 1] += 1
+        out[3] += max(0, len(inside) - 1)
+    return out
+
+
+def test_comparison_equals_a_plain_count(spark):
+    from spark_drift.workloads import detectors
+
+    settings = [detect.Detector("direct", 100, 20, 0.03), detect.Detector("total_variation", 200, 100, 0.2, 1, {"bins": 8}), detect.Detector("component", 100, 50, 0.03)]
+    got = {(r["run"], r["detector"]): r for r in detectors.scores(spark, "mean", settings, 9_000, 10, [3, 4], 0.5).collect()}
+    truth = [900 * k for k in range(1, 10)]
+    for seed in (3, 4):
+        x = generator.stream(9_000, 10, "mean", 1.0, seed, 0.5)
+        for k, d in enumerate(settings):
+            r = got[seed, k]
+            assert [r["detected"], r["late"], r["missed"], r["false_reports"]] == brute_counts(list(d.run(x)), truth, d.window, 9_000)
+
+
+def test_planted_stream_equals_its_source(spark):
+    generator.register(spark)
+    read = spark.read.format("planted_drift").options(rows=20_000, segments=7, kind="spread", size=0.8, least=0.3, seed=5).load()
+    x = read.orderBy("i").toPandas()[["x", "y"]].to_numpy()
+    assert (x == generator.stream(20_000, 7, "spread", 0.8, 5, 0.3)).all()
+
+
+def test_detector_uses_gate_pool_and_births():
+    random = np.random.default_rng(8)
+    x = np.concatenate([random.normal(0, 1, (400, 2)), random.normal(6, 1, (400, 2))])
+    cache = {"step": 50}
+    ref, seen = x[:200], []
+    for end in range(400, 801, 50):
+        seen.append(detect.METHODS["component"](ref, x[end - 200 : end], cache))
+    monitor = cache["monitor"]
+    assert len(monitor.mix.ids) > 1 and monitor.mix.born.max() == 0.0 and len(monitor.state.pool) < 200
+    assert seen[0] < 0.05 and seen[-1] > 0.9  # rows of the new component have no reference
+    assert set(monitor.own[-100:].tolist()).isdisjoint(set(monitor.ref_own.tolist()))
+
+
+def test_birth_judges_pooled_rows_anew():
+    random = np.random.default_rng(3)
+    monitor = nu.Monitor(random.normal(size=(200, 2)), nu.OnlineConfig(min_pool=40), window=100)
+    monitor.arrive(random.normal(9, 1, (30, 2)), 1.0)
+    assert monitor.open.all() and set(monitor.own.tolist()) <= set(range(len(monitor.mix.ids)))
+    old = set(monitor.mix.ids.tolist())
+    assert monitor.arrive(random.normal(9, 1, (30, 2)), 2.0) >= 1
+    assert not monitor.open.any() and set(monitor.own.tolist()).isdisjoint(old)  # those of the first batch too
+    assert monitor.degree()[0] == pytest.approx(1.0)
+
+
+def test_merge_joins_statistics_and_judges_rows_anew(spark, small):
+    random = np.random.default_rng(4)
+    ref = np.concatenate([random.normal(0, 1, (150, 2)), random.normal(5, 1, (150, 2))])
+    monitor = nu.Monitor(ref, nu.OnlineConfig(), window=60)
+    assert len(monitor.mix.ids) == 2
+    monitor.arrive(np.concatenate([random.normal(0, 1, (30, 2)), random.normal(5, 1, (30, 2))]), 1.0)
+    whole = nu.Mixture(np.array([0]), np.array([monitor.mix.n.sum()]), np.zeros((1, 2)), np.zeros((1, 2, 2)))
+    mean = (monitor.mix.n[:, None] * monitor.mix.mean).sum(0) / whole.n[0]
+    monitor.merge(1, 0)
+    assert monitor.mix.ids.tolist() == [0] and monitor.mix.mean[0] == pytest.approx(mean)
+    assert set(monitor.own.tolist()) == {0} and set(monitor.ref_own.tolist()) == {0}
+
+
+def test_folding_of_new_twins():
+    random = np.random.default_rng(6)
+    for fold, least in ((None, 2), (3.0, 1)):
+        monitor = nu.Monitor(random.normal(size=(300, 2)), nu.OnlineConfig(min_pool=30, fold=fold))
+        for t in range(30):
+            monitor.arrive(random.normal(0.8, 1.2, (20, 2)), float(t))
+        assert len(monitor.mix.ids) >= least
+        if fold:
+            assert len(monitor.mix.ids) == 1 and set(monitor.own.tolist()) == {0}
+
+
+def test_wide_mixtures_equal_the_kernels(spark):
+    random = np.random.default_rng(7)
+    names = [f"f{k}" for k in range(8)]
+    x = np.concatenate([random.normal(0, 1, (300, 8)), random.normal(3, 1, (200, 8))])
+    df = spark.createDataFrame(x.tolist(), ", ".join(f"{c} double" for c in names)).repartition(3)
+    mix, _ = nu.em_fit(x, 2)
+    for gate in ("chi2", "posterior"):
+        got = mixture.assign(df, names, mix, gate).toPandas()
+        own, ok = nu.gated(got[names].to_numpy(), mix, nu.OnlineConfig(gate=gate))
+        assert (got["comp_id"].to_numpy() == mix.ids[own]).all() and (got["provisional"].to_numpy() == ~ok).all()
+    marked = mixture.assign(df, names, mix)
+    own, ok = nu.gated(x, mix, nu.OnlineConfig())
+    want = nu.absorb(mix, x[ok], own[ok], nu.OnlineConfig())
+    out = mixture.absorb(marked, names, mix)
+    assert out.mean == pytest.approx(want.mean) and out.cov == pytest.approx(want.cov) and out.n == pytest.approx(want.n)
+    stepped, value = mixture.em_step(df, names, mix)
+    joint = nu.mahalanobis_and_logpdf(x, mix)[1] + np.log(mix.n / mix.n.sum())
+    top = joint.max(1, keepdims=True)
+    r = np.exp(joint - top)
+    assert value == pytest.approx(float((top[:, 0] + np.log(r.sum(1))).sum()))
+    r /= r.sum(1, keepdims=True)
+    assert stepped.mean == pytest.approx((r.T @ x) / r.sum(0)[:, None])
+
+
+@pytest.mark.parametrize("salted", [False, True])
+def test_nearest_rows_are_exact_with_cells(spark, salted):
+    random = np.random.default_rng(9)
+    ref = np.concatenate([random.normal(size=(400, 3)), random.normal(40, 1, (3, 3)), np.repeat(random.normal(size=(1, 3)), 20, axis=0)])
+    cur = np.concatenate([random.normal(size=(60, 3)), random.normal(20, 8, (10, 3))])
+    frame = lambda x: spark.createDataFrame([(k, 0, *map(float, r)) for k, r in enumerate(x)], "row_id long, t int, a double, b double, c double")
+    got = degree.nearest(frame(ref), frame(cur), "t", ["a", "b", "c"], 5, "row_id", cells=salted).collect()
+    d = np.sqrt(((cur[:, None] - ref[None]) ** 2).sum(-1))
+    want = {(k, int(j), r + 1) for k in range(len(cur)) for r, j in enumerate(sorted(range(len(ref)), key=lambda j: (d[k, j], j))[:5])}
+    assert {(r["row_id"], r["ref_id"], r["rank"]) for r in got} == want
+
+
+def test_degree_chooses_its_method(spark, small, monkeypatch):
+    p = points(spark, small).select("i", "x", "y").withColumn("comp_id", (F.col("i") % 3).cast("int"))
+    ref, cur = p.where("i < 500"), p.where("i >= 500").withColumn("t", (F.col("i") % 2).cast("int"))
+    values = lambda **o: {r["t"]: r["degree"] for r in degree.drift_degree(ref, cur, "t", POINT, key="i", **o).collect()}
+    exact = values(method="pairwise")
+    assert degree.method_for(ref, cur, POINT).method == "pairwise" and values() == pytest.approx(exact)
+    assert degree.method_for(ref, cur, ["x"]).method == "sorted"
+    assert degree.method_for(ref, cur, POINT, 0.5, 1e4).method == "cells"
+    one = lambda how: {r["t"]: r["degree"] for r in degree.drift_degree(ref, cur, "t", ["x"], method=how).collect()}
+    assert one("sorted") == pytest.approx(one("pairwise"), abs=1e-9)
+    from spark_drift.plans.choose import Choice
+
+    for choice, error in ((Choice("cells", "", {"cell": 0.05}), 0.03), (Choice("sliced", "", {"directions": 150}), 0.03), (Choice("sampled", "", {"cap": 120}), 0.08)):
+        assert values(method=choice) == pytest.approx(exact, abs=error)
+
+
+def test_reference_is_not_repeated_for_each_time(spark, small):
+    p = points(spark, small).select("i", "x", F.lit(0).alias("comp_id"))
+    ref, cur = p.where("i < 300"), p.where("i >= 300").withColumn("t", (F.col("i") % 40).cast("int"))
+    far = degree.contributions(ref, cur, "t", ["x"], method="sorted")
+    near = degree.contributions(ref, cur, "t", ["x"], method="pairwise")
+    both = far.join(near.select("t", F.col("distance").alias("d2")), "t").collect()
+    assert len(both) == 40 and all(r["distance"] == pytest.approx(r["d2"], abs=1e-9) for r in both)
+
+
+def test_equal_rows_are_drawn_each_on_its_own(spark):
+    df = spark.range(2000).select(F.col("id").alias("i"), F.lit(1.0).alias("x"), F.lit("a").alias("k"))
+    assert 350 < energy.sampled(df, "i", ["k"], 500).count() < 650
+    spread = df.groupBy(energy._share(df, F.lit(16))).count().agg(F.max("count")).first()[0]
+    assert spread < 250
+
+
+def test_linear_machines(spark):
+    random = np.random.default_rng(5)
+    centres = {3: (0, 0), 5: (5, 0), 9: (0, 5)}
+    rows = [(*map(float, random.normal(c, 1)), k) for k, c in centres.items() for _ in range(80)] + [(0.0, 0.0, None)]
+    df = spark.createDataFrame(rows, "a double, b double, label int")
+    model = ensemble.train_learner(df, ["a", "b"], kind="svm")
+    got = model.transform(df.where("label is not null")).select("label", "pred_").collect()
+    assert model.classes == [3, 5, 9] and np.mean([r["label"] == r["pred_"] for r in got]) > 0.95
+    # the gradient vanishes at the solution
+    x = np.array([[1, a, b] for a, b, k in rows if k is not None])
+    for c, w in zip(model.classes, model.weights):
+        sign = np.where([k == c for *_, k in rows if k is not None], 1.0, -1.0)
+        short = np.maximum(1 - sign * (x @ w), 0)
+        assert np.abs(-(sign * short) @ x / len(x) + 1e-3 * w).max() < 1e-5
+    alone = ensemble.train_learner(df.where("label = 5"), ["a", "b"], kind="svm")
+    assert {r["pred_"] for r in alone.transform(df).collect()} == {5.0}
+    assert ensemble.train_learner(df.where("false"), ["a", "b"], kind="svm").transform(df).count() == len(rows)
+
+
+def test_seasonal_replay_meets_its_incidents(spark):
+    from spark_drift.workloads import seasonal
+
+    rows = seasonal.replay(spark, "/root/testdata/sf0.001").toPandas()
+    assert set(rows["incident"]) == {"", *seasonal.INCIDENTS}
+    by = lambda name: rows[rows["incident"] == name]
+    assert by("autumn")["alarm"].any() and rows["components"].max() > 1  # a new component
+    assert by("astray")["degree"].max() > 0.2
+    still = seasonal.replay(spark, "/root/testdata/sf0.001", seasonal.Script(adapting=False)).toPandas()
+    assert (still["learners"] == 1).all() and set(still["action"]) == {""}
+    share = lambda f: f["right"].sum() / f["scored"].sum()
+    assert share(rows) > share(still)  # on held-out days, whose labels nothing has seen
+    assert rows["degree"].mean() < still["degree"].mean()
+
+
+def test_later_generations_are_no_worse(spark):
+    from spark_drift.workloads import seasonal
+
+    table = seasonal.generations(spark, "/root/testdata/sf0.001").toPandas()
+    mean = table.groupby("generation")["accuracy"].mean().tolist()
+    assert len(mean) == 3 and table.groupby("generation")["n"].sum().nunique() == 1  # the same rows for all
+    assert mean[0] <= mean[1] + 0.01 and mean[1] <= mean[2] + 0.01 and mean[2] > mean[0]
+
+
+def test_held_out_labels_change_nothing():
+    from spark_drift.workloads import seasonal
+
+    random = np.random.default_rng(2)
+    t = np.arange(100, 420)
+    x, held = random.normal(size=(len(t), 8)), random.random(len(t)) < 0.3
+    y = (x[:, 0] > 0).astype(int)
+    other = np.where(held, 1 - y, y)
+    walk = lambda labels: [(i, d, a, p) for i, d, _, a, _, _, p in seasonal.run_script(t, x, labels, held, seasonal.Script(), seasonal.CONFIG)]
+    assert walk(y) == walk(other)
+
+
+def test_recurring_patterns_give_no_births(spark):
+    from spark_drift.queries import workloads
+
+    rows = workloads.w10_recurrence(spark, "/root/testdata/sf0.01").collect()
+    assert rows and sum(r["births"] for r in rows) == 0
+
+
 def test_component_method_detects_mean_changes(spark):
     from spark_drift.workloads import detectors
 
-    out = detectors.compare(spark, "mean", ["component", "total_variation"], rows=12_000, segments=20, tune_seeds=(50,), seeds=(0, 1))
+    out = detectors.compare(spark, "mean", ["component", "total_variation"], rows=12_000, segments=20, tune_seeds=(50,), seeds=(0, 1), windows=[100])
     rows = {r["method"]: r for r in out.collect()}
     for r in rows.values():
         assert r["detected"] + r["late"] + r["missed"] == pytest.approx(19)
