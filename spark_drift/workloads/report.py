@@ -2,7 +2,7 @@
 
 Environment: ``REPORT_ROWS`` a stream (60,000), ``REPORT_RUNS`` (10), ``REPORT_KINDS`` (mean,spread),
 ``REPORT_TUNE_SEGMENTS`` (all 100), ``REPORT_WINDOWS`` (100,200), ``REPORT_STEP`` as a share of the window (0.2),
-``REPORT_LEAST`` change as a share of the largest (1), ``REPORT_TUNE_RUNS`` (2).
+``REPORT_LEAST`` change as a share of the largest (1), ``REPORT_TUNE_RUNS`` (1).
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ def main() -> None:
     windows = [int(w) for w in os.environ.get("REPORT_WINDOWS", "100,200").split(",")]
     tune = int(os.environ.get("REPORT_TUNE_SEGMENTS", "100"))
     share, least = float(os.environ.get("REPORT_STEP", "0.2")), float(os.environ.get("REPORT_LEAST", "1"))
-    tuning = tuple(range(1000, 1000 + int(os.environ.get("REPORT_TUNE_RUNS", "2"))))
+    tuning = tuple(range(1000, 1000 + int(os.environ.get("REPORT_TUNE_RUNS", "1"))))
     print("| change | method | detected | late | missed | false | setting | inside the grid |\n|---|---|---|---|---|---|---|---|")
     for kind in os.environ.get("REPORT_KINDS", "mean,spread").split(","):
         began = time.time()
