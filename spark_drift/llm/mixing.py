@@ -106,7 +106,10 @@ def balance(
     names = list(margins)
     cells = cut(docs.groupBy(*names).agg(F.sum(size).cast("double").alias("tokens")))
     if len(names) == 1:
-        return _one_margin(cells, names[0], margins[names[0]], float(cap), tol, rounds)
+        name = names[0]
+        want = margins[name].select(F.col(name).alias("key"), F.col("target").cast("double").alias("want"))
+        groups = cells.join(want, F.col(name).eqNullSafe(F.col("key")), "left").drop("key")
+        return balance_groups(groups, float(cap), tol, rounds).drop("want")
     return _several(cells, names, margins, float(cap), tol, rounds, most)
 
 
@@ -118,29 +121,31 @@ def _missed(target: Column, mass: Column) -> Column:
     return F.abs(target - mass) / F.greatest(target, F.lit(1.0))
 
 
-def _one_margin(cells: DataFrame, name: str, targets: DataFrame, cap: float, tol: float, rounds: int) -> DataFrame:
-    """Each group's variable iterates in the group's own row."""
-    want = targets.select(F.col(name).alias("key"), F.col("target").cast("double").alias("want"))
-    state = cells.join(want, F.col(name).eqNullSafe(F.col("key")), "left")
+def balance_groups(groups: DataFrame, cap: float = CAP, tol: float = 1e-12, rounds: int = 100) -> DataFrame:
+    """``groups`` (one row each, with ``tokens`` and the tokens that it should have, ``want``) plus ``rate, gap``.
+
+    With one margin the dual separates: each group's variable iterates in the group's own row, in the
+    partitions that ``groups`` has."""
+    names = groups.columns
     reachable = F.least(F.coalesce("want", "tokens"), F.col("tokens") * cap)
-    state = cut(state.select(name, "tokens", reachable.alias("target"), F.coalesce("want", "tokens").alias("want"), F.lit(0.0).alias("eta")))
+    state = cut(groups.select(*names, reachable.alias("goal_"), F.lit(0.0).alias("eta_")))
 
     def step(eta: Column) -> Column:
         mass = F.col("tokens") * _tilt(eta, cap)
         curve = F.when(eta < math.log(cap), mass)
-        newton = F.coalesce(F.try_divide(F.col("target") - mass, curve), F.signum(F.col("target") - mass))
+        newton = F.coalesce(F.try_divide(F.col("goal_") - mass, curve), F.signum(F.col("goal_") - mass))
         return eta + F.greatest(F.lit(-1.0), F.least(F.lit(1.0), newton))
 
-    settled = F.col("target") <= 0  # no tokens wanted: the rate's limit is 0
-    mass = F.when(settled, 0.0).otherwise(F.col("tokens") * _tilt(F.col("eta"), cap))
+    settled = F.col("goal_") <= 0  # no tokens wanted: the rate's limit is 0
+    mass = F.when(settled, 0.0).otherwise(F.col("tokens") * _tilt(F.col("eta_"), cap))
     for _ in range(-(-rounds // INNER)):
-        if (state.agg(F.max(_missed(F.col("target"), mass))).first()[0] or 0.0) <= tol:
+        if (state.agg(F.max(_missed(F.col("goal_"), mass))).first()[0] or 0.0) <= tol:
             break
-        eta = F.aggregate(F.sequence(F.lit(1), F.lit(INNER)), F.col("eta"), lambda acc, _: step(acc))
-        state = cut(state.withColumn("eta", F.when(settled, F.col("eta")).otherwise(eta)))
-    rate = F.when(settled, 0.0).otherwise(_tilt(F.col("eta"), cap))
-    gap = state.agg(F.coalesce(F.max(_missed(F.col("want"), mass)), F.lit(0.0))).first()[0]
-    return state.select(name, "tokens", rate.alias("rate"), F.lit(float(gap)).alias("gap"))
+        eta = F.aggregate(F.sequence(F.lit(1), F.lit(INNER)), F.col("eta_"), lambda acc, _: step(acc))
+        state = cut(state.withColumn("eta_", F.when(settled, F.col("eta_")).otherwise(eta)))
+    rate = F.when(settled, 0.0).otherwise(_tilt(F.col("eta_"), cap))
+    gap = state.agg(F.coalesce(F.max(_missed(F.coalesce("want", "tokens"), mass)), F.lit(0.0))).first()[0]
+    return state.select(*names, rate.alias("rate"), F.lit(float(gap)).alias("gap"))
 
 
 def _several(cells: DataFrame, names: list[str], margins: dict[str, DataFrame], cap: float, tol: float, rounds: int, most: int) -> DataFrame:
@@ -216,10 +221,9 @@ def _several(cells: DataFrame, names: list[str], margins: dict[str, DataFrame],
 
 def cell_copies(cells: DataFrame, targets: DataFrame, cap: int = CAP) -> DataFrame:
     """``source, size, n, copies`` (copies of a cell altogether), source size and target."""
-    rates = balance(cells.select("source", (F.col("size") * F.col("n")).alias("tokens")), "tokens", {"source": targets}, cap)
-    rates = rates.select(F.col("source").alias("of"), F.round("rate", 12).alias("rate"))
-    t = targets.select(F.col("source").alias("named"), "source_size", "target")
-    c = cells.join(rates, F.col("source").eqNullSafe(F.col("of"))).join(t, F.col("source").eqNullSafe(F.col("named"))).drop("of", "named")
+    named = targets.select(F.col("source").alias("of"), "source_size", "target", F.col("source_size").cast("double").alias("tokens"), F.col("target").alias("want"))
+    rates = balance_groups(named, float(cap)).select("of", "source_size", "target", F.round("rate", 12).alias("rate"))
+    c = cells.join(rates, F.col("source").eqNullSafe(F.col("of"))).drop("of")
     falling = Window.partitionBy("source").orderBy(F.col("size").desc())
     upto = F.sum("n").over(falling.rowsBetween(Window.unboundedPreceding, 0))
     whole = lambda n: F.floor(n * F.col("rate") + 0.5)
@@ -257,7 +261,7 @@ def mix(sizes: DataFrame, light: DataFrame | None = None, cap: int = CAP) -> Dat
     keys = ["cell_", "size", "salt"]
     counts = cut(keyed(light).groupBy(*keys, "source").agg(F.count(F.lit(1)).alias("m")))
     cells = cut(counts.groupBy("source", "size").agg(F.sum("m").alias("n")))
-    planned = cell_copies(cells, cut(source_targets(cells, cap)), cap)
+    planned = cell_copies(cells, source_targets(cells, cap), cap)
     planned = cut(planned.withColumn("cell_", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("n"))).drop("source"))
     order = Window.partitionBy("cell_", "size").orderBy("salt").rowsBetween(Window.unboundedPreceding, -1)
     starts = counts.withColumn("start", F.coalesce(F.sum("m").over(order), F.lit(0))).join(planned, ["cell_", "size"])
