@@ -39,8 +39,8 @@ def log_count_ratio(rows: Rows, smooth: float = 1.0) -> np.ndarray:
     return np.where(seen, np.log((p / (one.sum() + 2 * smooth)) / (q / ((~one).sum() + 2 * smooth))), 0.0)
 
 
-def dual_descent(rows: Rows, scale: np.ndarray, cost: float = 1.0, rounds: int = 12, seed: int = 3) -> tuple[np.ndarray, float]:
-    """Weights (on scaled unit rows) and bias of the hinge-loss machine."""
+def dual_descent(rows: Rows, scale: np.ndarray, cost: float = 1.0, rounds: int = 12, seed: int = 3) -> tuple[np.ndarray, float, np.ndarray]:
+    """Weights (on scaled unit rows) and bias of the hinge-loss machine, and its dual variables."""
     n = len(rows)
     sign = np.where(rows.y == 1, 1.0, -1.0)
     # both classes weigh the same
@@ -65,7 +65,7 @@ def dual_descent(rows: Rows, scale: np.ndarray, cost: float = 1.0, rounds: int =
                 alpha[k] = new
         if moved < 1e-3:
             break
-    return w, bias
+    return w, bias, alpha
 
 
 def calibrate(margin: np.ndarray, y: np.ndarray, rounds: int = 60) -> tuple[float, float]:
@@ -110,7 +110,7 @@ def fit_machine(rows: Rows) -> Machine:
         return Machine(zero, zero, 0.0, 0.0, float(np.log(share / (1 - share))))
     rows.only(np.bincount(rows.values, minlength=SIZE) >= 3)
     scale = log_count_ratio(rows)
-    weights, bias = dual_descent(rows, scale)
+    weights, bias, _ = dual_descent(rows, scale)
     machine = Machine(scale.astype(np.float32), weights.astype(np.float32), bias, 1.0, 0.0)
     margins = np.array([machine.margin(rows.row(k)) for k in range(len(rows))])
     machine.slope, machine.intercept = calibrate(margins, rows.y)

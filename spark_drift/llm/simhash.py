@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spark_drift.llm.batches import mix64, payloads, slices
-from spark_drift.plans.lineage import cut
+from spark_drift.plans.lineage import cut, shuffle_partitions
 
 SEED = 42
 _ALL = np.uint64(0xFFFFFFFFFFFFFFFF)
@@ -338,33 +338,69 @@ def least_common(n: int, similarity: float) -> int:
     return math.ceil(similarity * n - 1e-9)
 
 
+#: bands of a sketch and minima of a band: two sets of similarity 0.8 agree in no band with
+#: probability (1 - 0.8**3)**26, some 8 in a thousand million
+BANDS, IN_BAND = 26, 3
+#: rows of three numbers up to which a table is broadcast; larger ones are shuffled
+BROADCAST_ROWS = 1 << 20
+#: sets up to this size meet by their smallest values, which misses nothing
+SMALL_SET = 40
+_ODD = np.random.Generator(np.random.PCG64(20240611)).integers(0, 1 << 63, (2, BANDS * IN_BAND), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+
+
+def sketch(hashes: np.ndarray) -> np.ndarray:
+    """One key per band: its number and the least values of the set under the band's own orders."""
+    low = np.full(BANDS * IN_BAND, _ALL)
+    for start in range(0, len(hashes), 4096):
+        part = hashes[start : start + 4096][None, :] * _ODD[0][:, None] + _ODD[1][:, None]
+        part ^= part >> np.uint64(29)
+        low = np.minimum(low, (part * np.uint64(0x9E3779B97F4A7C15)).min(axis=1))
+    low = low.reshape(BANDS, IN_BAND)
+    key = np.arange(1, BANDS + 1, dtype=np.uint64)
+    for k in range(IN_BAND):
+        key = mix64(key * np.uint64(0x9E3779B97F4A7C15) ^ low[:, k])
+    return key
+
+
+def meeting_keys(hashes: np.ndarray, similarity: float) -> np.ndarray:
+    """Keys of which two sets of that similarity share one: small sets a sufficient number of their
+    smallest values, others those of their sketch. Sets near the border have both, as two sets of that
+    similarity may lie on either side of it."""
+    n, keys = len(hashes), []
+    if n <= SMALL_SET:
+        keys.append(hashes[: n - least_common(n, similarity) + 1])
+    if n >= similarity * SMALL_SET:
+        keys.append(sketch(hashes))
+    return np.concatenate(keys)
+
+
 def marked_sets(docs: DataFrame, similarity: float = 0.8, shingle_words: int = 5) -> DataFrame:
-    """``(doc_id, text_hash, node, fp, prefix, short_fp)`` per row. ``short_fp`` is the query's
-    fingerprint of three words, the others are of the shingle set: ``node`` names the shingle set; of two
-    sets of that similarity the prefixes, their smallest values, share one at least."""
+    """``(doc_id, text_hash, node, fp, keys, short_fp)`` per row. ``short_fp`` is the query's
+    fingerprint of three words, the others are of the shingle set: ``node`` names the shingle set; two
+    sets of that similarity share one of their ``keys`` at least."""
 
     def run(batches):
         for part in slices(batches, "text"):
-            nodes, fps, prefixes, short = [], [], [], []
+            nodes, fps, keys, short = [], [], [], []
             for x in payloads(part):
                 s = shingle_set(x, shingle_words)
                 nodes.append(xxhash.xxh64_intdigest(s.tobytes(), SEED))
                 fps.append(np.array(print_set(s), np.uint64).view(np.int64))
                 short.append(fingerprint(x))
-                prefixes.append(s[: len(s) - least_common(len(s), similarity) + 1].view(np.int64))
+                keys.append(meeting_keys(s, similarity).view(np.int64))
             yield pa.RecordBatch.from_arrays(
                 [
                     part.column(0), part.column(1), pa.array(np.array(nodes, np.uint64).view(np.int64)),
-                    pa.array(fps, pa.list_(pa.int64())), pa.array(prefixes, pa.list_(pa.int64())),
+                    pa.array(fps, pa.list_(pa.int64())), pa.array(keys, pa.list_(pa.int64())),
                     pa.array(np.array(short, np.uint64).view(np.int64)),
                 ],
-                names=["doc_id", "text_hash", "node", "fp", "prefix", "short_fp"],
+                names=["doc_id", "text_hash", "node", "fp", "keys", "short_fp"],
             )
 
     lean = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"), F.xxhash64("text").alias("text_hash"), F.col("text").cast("binary").alias("text")
     )
-    return lean.mapInArrow(run, "doc_id long, text_hash long, node long, fp array<long>, prefix array<long>, short_fp long")
+    return lean.mapInArrow(run, "doc_id long, text_hash long, node long, fp array<long>, keys array<long>, short_fp long")
 
 
 def _dealt(members: DataFrame, key: str, chunk: int) -> DataFrame:
@@ -388,7 +424,7 @@ def _all_near(fps: np.ndarray, i: np.ndarray, j: np.ndarray, radius: int) -> np.
 
 
 def _near_groups(batches, radius: int):
-    """Of each bucket the members that ``radius`` links, as groups named by their members."""
+    """Of each bucket the members that ``radius`` links, as groups named by their smallest member."""
 
     def flush(rows):
         edges = np.nonzero(np.any(rows[1:, :3] != rows[:-1, :3], axis=1))[0] + 1
@@ -411,12 +447,10 @@ def _near_groups(batches, radius: int):
             for group in np.split(order, np.nonzero(np.diff(label[order]))[0] + 1):
                 if len(group) > 1:
                     found[tuple(sorted(nodes[s : s + size][group].tolist()))] = None
-        names = [xxhash.xxh64_intdigest(np.array(g, np.int64).tobytes(), SEED) for g in found]
+        # a group is named by its smallest member, so that the much alike groups of a crowd's many buckets become one
         many = np.array([len(g) for g in found], np.int64)
-        return pa.RecordBatch.from_arrays(
-            [pa.array(np.repeat(np.array(names, np.uint64), many).view(np.int64)), pa.array(np.array([x for g in found for x in g], np.int64))],
-            names=["grp", "node"],
-        )
+        names = np.repeat(np.array([g[0] for g in found], np.int64), many)
+        return pa.RecordBatch.from_arrays([pa.array(names), pa.array(np.array([x for g in found for x in g], np.int64))], names=["grp", "node"])
 
     held = np.zeros((0, 8), np.int64)
     for batch in batches:
@@ -439,7 +473,7 @@ def similar_links(nodes: np.ndarray, sets: list[np.ndarray], similarity: float)
     label, sizes = np.arange(len(nodes)), np.array([len(s) for s in sets])
     out = []
     for i in range(len(nodes) - 1):
-        rest = np.arange(i + 1, len(nodes))
+        rest = np.nonzero(label[i + 1 :] != label[i])[0] + i + 1
         low, high = np.minimum(sizes[i], sizes[rest]), np.maximum(sizes[i], sizes[rest])
         for j in rest[low >= similarity * high - 1e-9]:
             if label[i] == label[j]:
@@ -452,27 +486,32 @@ def similar_links(nodes: np.ndarray, sets: list[np.ndarray], similarity: float)
 
 
 def similar_groups(
-    docs: DataFrame, near: int = 4, similarity: float = 0.8, shingle_words: int = 5, radius: int = 24, chunk: int = 2048, few: int = 256
+    docs: DataFrame, near: int = 4, similarity: float = 0.8, shingle_words: int = 5, radius: int = 24, chunk: int = 2048, few: int = 1024
 ) -> DataFrame:
     """``doc_id, text_hash, root`` per row: rows of one root are connected by pairs whose
     shingle sets have that Jaccard similarity or more, or whose three-word fingerprints
     differ in ``near`` bits at most.
 
-    Sets that share a prefix value meet in a bucket, which misses no such pair; there the
-    bit-sliced comparison drops those of whose four fingerprints one is beyond ``radius``, and
-    the sets decide on the rest. The ids of these alone are broadcast.
+    Sets that share one of their keys meet in a bucket, which misses a pair of large sets with a probability
+    below 10**-8 and of small ones none; there the bit-sliced comparison drops those of whose four
+    fingerprints one is beyond ``radius``, and the sets decide on the rest.
     """
     marked = cut(marked_sets(docs, similarity, shingle_words))
     named = F.struct(F.coalesce("doc_id", "text_hash").alias("id"), "text_hash")
-    nodes = cut(marked.groupBy("node").agg(F.min(named).alias("one"), F.first("fp").alias("fp"), F.first("prefix").alias("prefix")))
-    met = _dealt(nodes.select(F.explode("prefix").alias("bucket"), "node"), "bucket", chunk)
+    nodes = cut(marked.groupBy("node").agg(F.min(named).alias("one"), F.first("fp").alias("fp"), F.first("keys").alias("keys")))
+    met = _dealt(nodes.select(F.explode("keys").alias("bucket"), "node"), "bucket", chunk)
     prints = [F.col("fp")[k].alias(f"f{k}") for k in range(4)]
     met = met.select("bucket", "p", "q", "node").join(nodes.select("node", *prints), "node").select("bucket", "p", "q", "node", "f0", "f1", "f2", "f3")
-    met = met.repartition("bucket", "p", "q").sortWithinPartitions("bucket", "p", "q", "node")
+    # small rows that cost much: a stated number of tasks, which is not lowered by their bytes
+    spark = docs.sparkSession
+    tasks = max(shuffle_partitions(spark), 2 * spark.sparkContext.defaultParallelism)
+    met = met.repartition(tasks, "bucket", "p", "q").sortWithinPartitions("bucket", "p", "q", "node")
     groups = cut(met.mapInArrow(lambda it: _near_groups(it, radius), "grp long, node long").distinct())
-    wanted = nodes.select("node", "one.id", "one.text_hash").join(groups.select("node").distinct(), "node")
+    wanted = cut(nodes.select("node", "one.id", "one.text_hash").join(groups.select("node").distinct(), "node"))
+    if wanted.count() <= BROADCAST_ROWS:
+        wanted = F.broadcast(wanted)
     texts = docs.select(F.xxhash64("text").alias("text_hash"), F.col("doc_id").cast("long").alias("id"), F.col("text").cast("binary").alias("text"))
-    texts = texts.withColumn("id", F.coalesce("id", "text_hash")).join(F.broadcast(wanted), ["id", "text_hash"]).dropDuplicates(["node"]).select("node", "text")
+    texts = texts.withColumn("id", F.coalesce("id", "text_hash")).join(wanted, ["id", "text_hash"]).dropDuplicates(["node"]).select("node", "text")
 
     def packed(batches):
         for part in slices(batches, "text"):

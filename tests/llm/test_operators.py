@@ -95,6 +95,35 @@ def test_language_prototypes(spark, docs, empty):
     assert language_id.fit_prototypes(empty) == {}
 
 
+def test_language_scores_equal_brute_force(spark):
+    rows = [(k, sentence(k, 12) + " été", "fr" if k % 2 else "en") for k in range(12)] + [(50, "¡Hola! 123 niño", None), (51, "9 !", None)]
+    train = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    letters, size = language_id.letter_vectors(), language_id.DIMENSIONS
+
+    def vector(text):
+        marks, out = [0], np.zeros(size)
+        for c in text.lower():
+            code = (1 + (ord(c) if ord(c) < language_id.OWN else language_id.OWN + ord(c) % language_id.SHARED)) if c.isalpha() else 0
+            if code or marks[-1]:
+                marks.append(code)
+        marks += [0] if marks[-1] else []
+        for k in range(len(marks) - 2):
+            out += np.roll(letters[marks[k]], 2).astype(float) * np.roll(letters[marks[k + 1]], 1) * letters[marks[k + 2]]
+        return out / (np.linalg.norm(out) or 1)
+
+    prototypes = {}
+    for lang in ("en", "fr"):
+        total = sum(vector(t) for _, t, own in rows if own == lang)
+        prototypes[lang] = total / np.linalg.norm(total)
+    got = {r["doc_id"]: r for r in language_id.predict(train, language_id.fit_prototypes(train), ["doc_id"]).collect()}
+    for k, text, _ in rows[:-1]:
+        cosines = {lang: float(vector(text) @ p) for lang, p in prototypes.items()}
+        best = max(sorted(cosines), key=lambda x: cosines[x])
+        assert abs(cosines["en"] - cosines["fr"]) < 1e-5 or got[k]["lang_pred"] == best
+        assert got[k]["score"] == pytest.approx(max(0.0, cosines[best]), abs=1e-5)
+    assert (got[51]["lang_pred"], got[51]["score"]) == ("und", 0.0)
+
+
 def test_long_texts_in_pieces_have_the_same_grams(monkeypatch):
     whole = language_id.Profiler(64).grams(LONG)
     monkeypatch.setattr(language_id, "PIECE", 1000)
@@ -228,6 +257,35 @@ def test_samples_are_bounded_in_rows_and_bytes(spark):
     assert samples.labelled(docs.where("false"), marks, "quality", 5).count() == 0
 
 
+def test_flat_trees_equal_a_walk_of_their_nodes():
+    rnd = np.random.default_rng(4)
+    x = rnd.random((400, 5))
+    trees = boosting.fit(x, (x[:, 0] + x[:, 1] * x[:, 2] > 0.8).astype(float), np.array([1, 0, 0, -1, 0]), trees=15)
+
+    def walked(row):
+        total = trees.base
+        for t in range(len(trees.feature)):
+            node = 0
+            while trees.feature[t, node] >= 0:
+                node = trees.left[t, node] if row[trees.feature[t, node]] <= trees.threshold[t, node] else trees.right[t, node]
+            total += trees.value[t, node]
+        return total
+
+    probe = np.concatenate([rnd.random((60, 5)), x[:60]])
+    assert trees.margin(probe) == pytest.approx([walked(r) for r in probe])
+
+
+def test_verdicts_equal_the_walk(spark):
+    rows = [(k, sentence(k, 20) + (" %%% $$$" * (k % 4)), None, None, 0) for k in range(80)]
+    frame = spark.createDataFrame(rows, DOCS)
+    marks = spark.createDataFrame([(k, int(k % 4 < 2), 0) for k in range(80)], "doc_id long, quality int, toxic int")
+    trees = quality_rules.fit_rules(frame, marks)
+    for r in quality_rules.judge(frame, trees).collect():
+        counts, features = quality_rules.statistics(rows[r["doc_id"]][1].encode())
+        score = float(trees.probability(np.array([features]))[0])
+        assert r["score"] == pytest.approx(score) and r["kept"] == (not r["base_failed"] and score >= 0.5) and r["n_words"] == counts[0]
+
+
 # ----------------------------------------------------------------------- 4 toxicity
 
 
@@ -307,8 +365,9 @@ def test_near_duplicates_equal_brute_force(spark, small, docs, empty):
     assert ids.count("3") + ids.count("4") + ids.count("5") == 1
 
 
-@pytest.mark.parametrize("chunk", [2048, 4])
-def test_near_dedup_stage_links_every_pair_of_similar_texts(spark, chunk):
+@pytest.mark.parametrize(("chunk", "rows"), [(2048, 1 << 20), (4, 0)])
+def test_near_dedup_stage_links_every_pair_of_similar_texts(spark, chunk, rows, monkeypatch):
+    monkeypatch.setattr(simhash, "BROADCAST_ROWS", rows)
     rnd = random.Random(5)
     texts = [sentence(500 + k, 120) for k in range(12)]
     for k in range(12):
@@ -352,6 +411,20 @@ def test_links_of_crowded_buckets(spark, radius, chunk):
     assert len(set(label)) == len(set(comp)) == len(set(zip(label, comp, strict=True)))
 
 
+def test_sets_of_one_similarity_share_a_key():
+    rnd = np.random.default_rng(9)
+    for n in [1, 2, 3, 5, 9, 10, 20, 31, 32, 33, 39, 40, 41, 45, 50, 51, 60, 300]:
+        for _ in range(60):
+            common = simhash.math.ceil(0.8 * n / 0.9)  # sizes n and up to 0.9 n, similar by 0.8 or more
+            more = rnd.integers(0, 1 << 63, 4 * n + 8, dtype=np.uint64)
+            a, b = np.unique(more[:n]), np.unique(np.concatenate([more[:common], more[n : n + max(0, int((n - common) * 0.2))]]))
+            if len(np.intersect1d(a, b)) < 0.8 * len(np.union1d(a, b)):
+                continue
+            assert np.intersect1d(simhash.meeting_keys(a, 0.8), simhash.meeting_keys(b, 0.8)).size
+    assert len(simhash.meeting_keys(np.arange(2000, dtype=np.uint64), 0.8)) == simhash.BANDS
+    assert len(simhash.meeting_keys(np.zeros(0, np.uint64), 0.8)) <= 1
+
+
 def test_bit_sliced_distances():
     rnd = np.random.default_rng(1)
     a = rnd.integers(0, 1 << 63, 130, dtype=np.uint64)
@@ -398,10 +471,21 @@ def test_dual_descent_meets_its_conditions():
     p = (1 + sum(7 in rows.row(k) for k in np.nonzero(ones)[0])) / (ones.sum() + 2)
     q = (1 + sum(7 in rows.row(k) for k in np.nonzero(~ones)[0])) / ((~ones).sum() + 2)
     assert scale[7] == pytest.approx(np.log(p / q))
-    w, bias = quality_classifier.dual_descent(rows, np.ones(ngrams.SIZE), rounds=300)
+    w, bias, alpha = quality_classifier.dual_descent(rows, np.ones(ngrams.SIZE), rounds=3000)
     sign = np.where(ones, 1, -1)
-    margin = np.array([w[rows.row(k)].sum() / np.sqrt(len(rows.row(k))) + bias for k in range(len(rows))])
+    unit = [1 / np.sqrt(len(rows.row(k))) for k in range(len(rows))]
+    margin = np.array([w[rows.row(k)].sum() * unit[k] + bias for k in range(len(rows))])
     assert (sign * margin > 0).mean() > 0.85
+    # the weights are those of the dual variables, which stay in their box, and both objectives agree
+    bound = np.where(ones, len(rows) / (2 * ones.sum()), len(rows) / (2 * (~ones).sum()))
+    made = np.zeros(ngrams.SIZE)
+    for k in range(len(rows)):
+        made[rows.row(k)] += alpha[k] * sign[k] * unit[k]
+    assert np.abs(made - w).max() < 1e-9 and bias == pytest.approx((alpha * sign).sum())
+    assert (alpha >= 0).all() and (alpha <= bound + 1e-12).all()
+    size = (w @ w + bias * bias) / 2
+    primal, dual = size + (bound * np.maximum(1 - sign * margin, 0)).sum(), alpha.sum() - size
+    assert dual <= primal + 1e-9 and primal - dual < 0.01 * primal
 
 
 # ---------------------------------------------------------------------------- 7 BPE
