@@ -47,9 +47,9 @@ from spark_drift.llm.batches import slices, texts
 #: Unicode White_Space, as a character class
 SPACES = "\\t\\n\\x0b\\x0c\\r \\x85\\xa0\\u1680\\u2000-\\u200a\\u2028\\u2029\\u202f\\u205f\\u3000"
 #: entries kept by a worker: encoded words, arcs of the automaton, rows of the byte table
-WORD_CACHE = 400_000
-ARCS = 400_000
-ROWS = 150_000
+WORD_CACHE = 300_000
+ARCS = 240_000
+ROWS = 130_000
 
 
 def default_vocabulary() -> str:
@@ -166,11 +166,12 @@ class MergeAutomaton:
                     self.deeper.append(False)
                 node = after
             self.ends[node] = t
-        self.restart(((0, 0),), -1)
+        self.restart((0,), -1)
 
-    def restart(self, begun: tuple[tuple[int, int], ...], label: int) -> None:
-        """An empty byte table, whose row 0 is the start of a word; row 1 is the row given."""
-        self.rows: list[tuple[tuple[int, int], ...]] = [((0, 0),), begun]
+    def restart(self, begun: tuple[int, ...], label: int) -> None:
+        """An empty byte table, whose row 0 is the start of a word; row 1 is the row given. A row
+        lists its places as ``state << 24 | trie node``."""
+        self.rows: list[tuple[int, ...]] = [(0,), begun]
         self.label = [-1, label]
         self.known = {self.rows[0]: 0}
         self.table: dict[int, int] = {}
@@ -207,19 +208,19 @@ class MergeAutomaton:
             self.restart(self.rows[row], self.label[row])
             row = 1
         begun, label = [], -1
-        for state, node in self.rows[row]:
-            node = self.trie.get(node << 8 | byte)
+        for place in self.rows[row]:
+            state, node = place >> 24, self.trie.get((place & 0xFFFFFF) << 8 | byte)
             if node is None:
                 continue
             token = self.ends[node]
             if token >= 0 and self.arc(state, token):
                 label = token
             if self.deeper[node]:
-                begun.append((state, node))
+                begun.append(state << 24 | node)
         if label < 0:
             raise ValueError("the vocabulary cannot spell this word")
-        begun.append((self.home[label], 0))
-        key = (*begun, (-1, label))
+        begun.append(self.home[label] << 24)
+        key = (*begun, -1 - label)
         after = self.known.get(key)
         if after is None:
             after = self.known[key] = len(self.rows)

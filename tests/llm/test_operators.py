@@ -557,7 +557,7 @@ def test_byte_table_starts_anew_inside_a_word(library, monkeypatch, rows):
     monkeypatch.setattr(bpe, "ROWS", rows)
     assert automaton.encode(word.encode()) == library.encode(word, add_special_tokens=False).ids
     assert len(automaton.rows) <= rows + 2
-    automaton.restart(((0, 0),), -1)
+    automaton.restart((0,), -1)
 
 
 def test_other_vocabulary_files_are_refused():
