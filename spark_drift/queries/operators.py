@@ -6,7 +6,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from spark_drift.operators import views
 from spark_drift.queries.base import DAYS_SQL, days, query, rounded
+from spark_drift.queries.displays import BOX, CELLS, _halo_sql, places
 from spark_drift.sources.tables import read, standardise
 from spark_drift.streaming import monitors
 
@@ -334,13 +336,14 @@ def sql_energy(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rounded(spark.sql("select event_type, energy_distance(value, event_id % 2) as distance from sd_events group by event_type"), "distance")
 
 
-@query("select (row + dr)::int as row, (col + dc)::int as col, round(sum(v * case when dr = 0 and dc = 0 then 0.7 else 0.3 / 24 end), 6) as value from (values (0, 0, 1.0::double), (2, 1, 3.0::double)) g(row, col, v), range(-2, 3) a(dr), range(-2, 3) b(dc) group by 1, 2")
+@query(_halo_sql("0.7", "0.3 / 24").replace("as density from g, o", "as value from g, o"))
 def sql_halo(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A table function called with LATERAL."""
     from spark_drift.functions import sqlfuncs
 
     sqlfuncs.register(spark)
-    text = "select h.row, h.col, sum(h.value) as value from values (0, 0, 1.0D), (2, 1, 3.0D) as g(r, c, v), lateral halo(g.r, g.c, g.v) as h group by h.row, h.col"
+    views.grid(places(spark, sf_dir), "x", "y", BOX, CELLS).createOrReplaceTempView("sd_cells")
+    text = "select h.row, h.col, sum(h.value) as value from sd_cells as g, lateral halo(g.row, g.col, g.density) as h group by h.row, h.col"
     return rounded(spark.sql(text), "value")
 
 
